@@ -12,6 +12,7 @@ from treeloom.llm.bpe import encode_documents
 from treeloom.llm.mixing import mix_positions, mix_sources
 from treeloom.llm.near import near_duplicates
 from treeloom.llm.quality import judge_quality
+from treeloom.llm.repeats import remove_repeats
 from treeloom.llm.sharding import shard_digest
 from treeloom.llm.topk import exact_top_k
 from treeloom.llm.urls import judge_urls
@@ -59,12 +60,16 @@ def op7_url_digests(spark: SparkSession, sf_dir: str) -> DataFrame:
     return judge_urls(_table(spark, sf_dir, "pages"), URL_RULES)
 
 
+def op9_suffix_repeats(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return remove_repeats(_table(spark, sf_dir, "documents")).drop("kept")
+
+
 def op10_hyperminhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near_duplicates(_table(spark, sf_dir, "documents"), k=2)
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op2_hypergeometric_shards, op3_quality_cascade, op4_temperature_mix, op5_exact_topk, op6_rank_array_bpe, op7_url_digests, op10_hyperminhash)}
+    return {f.__name__: f for f in (op2_hypergeometric_shards, op3_quality_cascade, op4_temperature_mix, op5_exact_topk, op6_rank_array_bpe, op7_url_digests, op9_suffix_repeats, op10_hyperminhash)}
 
 
 _WORDS = r"regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+')"
