@@ -9,6 +9,8 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from treeloom.llm.bpe import encode_documents
+from treeloom.llm.language import fit, identify
+from treeloom.llm.lines import drop_recurring_lines
 from treeloom.llm.mixing import mix_positions, mix_sources
 from treeloom.llm.near import near_duplicates
 from treeloom.llm.quality import judge_quality
@@ -34,6 +36,11 @@ def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def op1_line_templates(spark: SparkSession, sf_dir: str) -> DataFrame:
+    kept = drop_recurring_lines(_table(spark, sf_dir, "documents").select("doc_id", "text"))
+    return kept.select("doc_id", "n_lines", "n_dropped", F.sha2(F.coalesce("text", F.lit("")), 256).alias("kept_sha256"))
+
+
 def op2_hypergeometric_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
     return shard_digest(_table(spark, sf_dir, "documents"))
 
@@ -60,6 +67,13 @@ def op7_url_digests(spark: SparkSession, sf_dir: str) -> DataFrame:
     return judge_urls(_table(spark, sf_dir, "pages"), URL_RULES)
 
 
+def op8_language_viterbi(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = _table(spark, sf_dir, "documents").select("doc_id", "text", "lang", (F.crc32(F.col("doc_id").cast("string").cast("binary")) % 4 == 2).alias("held_out"))
+    docs = docs.withColumn("held_out", F.coalesce("held_out", F.lit(False)))
+    model = fit(docs.filter("not held_out and doc_id is not null"))
+    return identify(docs.select("doc_id", "held_out", "text"), model).select("doc_id", "held_out", "lang_pred", "score", F.size("spans").cast("long").alias("n_spans"))
+
+
 def op9_suffix_repeats(spark: SparkSession, sf_dir: str) -> DataFrame:
     return remove_repeats(_table(spark, sf_dir, "documents")).drop("kept")
 
@@ -69,12 +83,33 @@ def op10_hyperminhash(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op2_hypergeometric_shards, op3_quality_cascade, op4_temperature_mix, op5_exact_topk, op6_rank_array_bpe, op7_url_digests, op9_suffix_repeats, op10_hyperminhash)}
+    return {f.__name__: f for f in (op1_line_templates, op2_hypergeometric_shards, op3_quality_cascade, op4_temperature_mix, op5_exact_topk, op6_rank_array_bpe, op7_url_digests, op8_language_viterbi, op9_suffix_repeats, op10_hyperminhash)}
 
 
 _WORDS = r"regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+')"
 
+_BLANK = r"\x20\x09-\x0D"
+
 ORACLE_SQL = {
+    "op1_line_templates": rf"""
+WITH d AS (SELECT doc_id, text, string_split(text, chr(10)) AS lines FROM documents),
+l AS (SELECT doc_id, unnest(range(1, len(lines) + 1)) AS i, unnest(lines) AS raw FROM d),
+n AS (SELECT doc_id, i, trim(regexp_replace(regexp_replace(raw, '[^{_BLANK}]*[0-9][^{_BLANK}]*', '<*>', 'g'), '[{_BLANK}]+', ' ', 'g')) AS s FROM l),
+t AS (SELECT doc_id, i, s, string_split(s, ' ') AS w FROM n WHERE s <> ''),
+c AS (SELECT *, len(w) AS n, (len(w) - 3) // 3 AS k FROM t),
+v AS (
+  SELECT doc_id, i, 'line' AS kind, s AS t FROM c
+  UNION ALL SELECT doc_id, i, '1', n || '|' || array_to_string(w[1:3], ' ') || '|' || array_to_string(w[4 + k:n], ' ') FROM c WHERE n >= 9
+  UNION ALL SELECT doc_id, i, '2', n || '|' || array_to_string(w[1:3 + k], ' ') || '|' || array_to_string(w[4 + 2 * k:n], ' ') FROM c WHERE n >= 9
+  UNION ALL SELECT doc_id, i, '3', n || '|' || array_to_string(w[1:3 + 2 * k], ' ') || '|' FROM c WHERE n >= 9),
+r AS (SELECT kind, t, min(doc_id) AS keeper FROM v GROUP BY kind, t HAVING count(DISTINCT doc_id) >= 5),
+g AS (SELECT DISTINCT doc_id, i FROM v JOIN r USING (kind, t) WHERE doc_id <> keeper),
+k AS (
+  SELECT l.doc_id, count(g.i)::BIGINT AS n_dropped, count(*)::BIGINT AS n_lines,
+    coalesce(string_agg(l.raw, chr(10) ORDER BY l.i) FILTER (WHERE g.i IS NULL), '') AS kept
+  FROM l LEFT JOIN g ON l.doc_id = g.doc_id AND l.i = g.i GROUP BY l.doc_id)
+SELECT d.doc_id, coalesce(n_lines, 0)::BIGINT AS n_lines, coalesce(n_dropped, 0)::BIGINT AS n_dropped, sha256(coalesce(kept, '')) AS kept_sha256
+FROM d LEFT JOIN k ON d.doc_id = k.doc_id""",
     "op3_quality_cascade": rf"""
 WITH d AS (SELECT doc_id, coalesce(text, '') AS t, {_WORDS} AS w FROM documents),
 b AS (
