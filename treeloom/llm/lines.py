@@ -15,10 +15,12 @@ repeated rows are one document here, and each gets the same lines dropped.  An e
 
 from __future__ import annotations
 
+import re
 from collections.abc import Iterator
 
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame
+import xxhash
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from treeloom.llm.store import saved
@@ -26,33 +28,55 @@ from treeloom.llm.store import saved
 LEAD = 3
 GENERAL = 9
 MIN_DOCS = 5
-_BLANK = r"\x20\x09-\x0D"
+_DIGIT = re.compile(rb"[0-9]").search
 
 
-def normal_line(line: Column) -> Column:
-    """Tokens joined by one blank, those with a digit as ``<*>``."""
-    masked = F.regexp_replace(line, rf"(?<![^{_BLANK}])[^{_BLANK}0-9]*+[0-9][^{_BLANK}]*+", "<*>")
-    return F.trim(F.regexp_replace(masked, rf"[{_BLANK}]+", " "))
+def line_templates(line: bytes) -> tuple[int, list[int]] | None:
+    """(leaf, templates) of a line as hashes; None without a token."""
+    t = line.split()  # at blank and \x09-\x0D
+    if not t:
+        return None
+    if _DIGIT(line):
+        t = [b"<*>" if _DIGIT(x) else x for x in t]
+    n, digest = len(t), xxhash.xxh3_64_intdigest
+    out = [digest(b" ".join(t)) - 2**63]
+    if n >= GENERAL:
+        third = (n - LEAD) // 3
+        for i, (a, b) in enumerate(((LEAD, LEAD + third), (LEAD + third, LEAD + 2 * third), (LEAD + 2 * third, n)), 1):
+            out.append(digest(b" ".join([b"%d %d" % (i, n), *t[:a], b"<*>", *t[b:]]), i) - 2**63)
+    return digest(b" ".join(t[:LEAD]), n) - 2**63, out
 
 
 def template_lines(docs: DataFrame) -> DataFrame:
     """row, doc_id, line number, leaf and template hashes of every line with a token of ``docs(row, doc_id, text)``."""
-    lines = docs.select("row", "doc_id", F.posexplode(F.split("text", "\n", -1)).alias("line", "raw"))
-    t = lines.select("row", "doc_id", "line", F.split(normal_line(F.col("raw")), " ").alias("t"), normal_line(F.col("raw")).alias("s")).filter("s <> ''")
-    n = F.size("t")
-    third = F.floor((n - LEAD) / 3).cast("int")
-    heads = (F.lit(LEAD), LEAD + third, LEAD + 2 * third)
-    tails = (LEAD + third, LEAD + 2 * third, n)
-    general = [F.when(n >= GENERAL, F.xxhash64(F.lit(i), n, F.array_join(F.slice("t", 1, a), " "), F.array_join(F.slice("t", b + 1, n), " "))) for i, (a, b) in enumerate(zip(heads, tails))]
-    leaf = F.xxhash64(n, F.array_join(F.slice("t", 1, LEAD), " "))
-    return t.select("row", "doc_id", "line", leaf.alias("leaf"), F.array(F.xxhash64("s", F.lit(-1)), *general).alias("templates"))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            owner, number, leaves, hashes = [], [], [], []
+            for i, text in enumerate(batch.column("text")):
+                if not text.is_valid:
+                    continue
+                for k, line in enumerate(text.as_py().encode("utf-8", "surrogatepass").split(b"\n")):
+                    if (got := line_templates(line)) is not None:
+                        owner.append(i)
+                        number.append(k)
+                        leaves.append(got[0])
+                        hashes.append(got[1])
+            at = pa.array(owner, pa.int64())
+            yield pa.RecordBatch.from_arrays(
+                [batch.column("row").take(at), batch.column("doc_id").take(at), pa.array(number, pa.int32()), pa.array(leaves, pa.int64()), pa.array(hashes, pa.list_(pa.int64()))],
+                ["row", "doc_id", "line", "leaf", "templates"],
+            )
+
+    kind = docs.schema["doc_id"].dataType.simpleString()
+    return docs.select("row", "doc_id", "text").mapInArrow(run, f"row long, doc_id {kind}, line int, leaf long, templates array<long>")
 
 
 def dropped_lines(docs: DataFrame, min_docs: int) -> DataFrame:
     """row, drop (numbers of the lines to drop) of each row of ``docs(row, doc_id, text)`` that loses any."""
     lines = saved(template_lines(docs), "lines")
     leaves = lines.groupBy("leaf").agg(F.count("*").alias("n")).filter(F.col("n") >= min_docs).select("leaf")
-    rows = lines.join(leaves, "leaf", "left_semi").select("row", "doc_id", "line", F.explode("templates").alias("t")).filter("t is not null")
+    rows = lines.join(leaves, "leaf", "left_semi").select("row", "doc_id", "line", F.explode("templates").alias("t"))
     rows = saved(rows, "templates")
     first = F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "row"))
     docs_of = rows.groupBy("t", "row").agg(F.min("doc_id").alias("doc_id"))
