@@ -13,8 +13,9 @@ its context.
    mergesort that compares suffixes by their longest common extension, found by binary search on prefix polynomial
    hashes.  Neighbours' extensions are verified byte by byte; if a collision shows, the task sorts by bytes.  A window
    repeats if another context shares the order class of both of its sides.
-4. Grams with more than ``SORT_LIMIT`` contexts skip the sort: their windows are hashed and counted, again with map-side
-   sums.  That path is exact as well and bounds every group.
+4. Grams with more than ``SORT_LIMIT`` contexts are split: windows that start 1 to 43 bytes apart share a core, and
+   contexts are grouped by that instead; equal stretches collapse to one.  Cores with too many different
+   stretches are split again, down to single windows, which need counting only.  So every group that is sorted is bounded.
 
 Null and shorter texts lose nothing.  Repeated rows repeat each other's bytes.  Rows are told apart by a hash of doc_id and
 text, so that null and repeated ids are fine.  An empty table gives no rows.
@@ -24,6 +25,7 @@ from __future__ import annotations
 
 import hashlib
 from collections.abc import Iterator
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
@@ -35,7 +37,7 @@ from treeloom.llm.store import saved
 
 GRAM = 32
 CHUNK = 1 << 20
-SORT_LIMIT = 64
+SORT_LIMIT = 256
 _MULTIPLIER = 0x9E3779B97F4A7C15
 _INVERSE = pow(_MULTIPLIER, -1, 1 << 64)
 
@@ -286,23 +288,53 @@ def _sorted_spans(contexts: DataFrame, length: int) -> DataFrame:
     return contexts.select("gram", "row", "start", "place", "single", "bytes").mapInArrow(run, "row long, start int, stop int")
 
 
-def _counted_spans(contexts: DataFrame, length: int) -> DataFrame:
-    """The same for grams of very many contexts: windows are hashed and counted."""
+#: Window starts of one slice, level by level.
+SLICES = (43, 11, 3, 1)
+
+
+def _sliced(contexts: DataFrame, length: int, width: int) -> DataFrame:
+    """The stretches of contexts (gram, row, start, place, anchor, single, bytes) that hold windows of one slice, keyed by the
+    bytes that all windows of the slice share."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        digest = xxhash.xxh3_64_intdigest
         for batch in batches:
-            out: list[tuple[int, int, int, int, int, bool]] = []
-            for gram, row, start, place, single, data in zip(*(batch.column(c).to_pylist() for c in ("gram", "row", "start", "place", "single", "bytes"))):
-                for i in range(len(data) - length + 1):
-                    h = xxhash.xxh3_128_intdigest(data[i : i + length], place - i)
-                    out.append(((h & (2**64 - 1)) - 2**63, (h >> 64) - 2**63, row, start + i, single))
-            cols = list(zip(*out)) if out else [[]] * 5
-            yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, (pa.int64(), pa.int64(), pa.int64(), pa.int32(), pa.bool_()))], ["h1", "h2", "row", "start", "single"])
-
-    windows = saved(contexts.mapInArrow(run, "h1 long, h2 long, row long, start int, single boolean"), "windows")
-    twice = windows.groupBy("h1", "h2").agg(F.count("*").alias("n")).filter("n > 1").select("h1", "h2")
-    hit = windows.filter("single").join(twice, ["h1", "h2"], "left_semi")
-    return hit.select("row", "start", (F.col("start") + length).alias("stop"))
+            out = []
+            for row, start, anchor, single, data in zip(*(batch.column(c).to_pylist() for c in ("row", "start", "anchor", "single", "bytes"))):
+                i = anchor - start
+                last = len(data) - length
+                # x: how far a window starts before the anchor; this context has the windows i - last to i
+                for s in range(max(0, i - last) // width, i // width + 1):
+                    low, high = s * width, (s + 1) * width - 1
+                    a, b = max(0, i - high), min(last, i - low)
+                    core = data[max(0, i - low) : i - high + length]
+                    place = i - low - a
+                    piece = data[a : b + length]
+                    out.append((digest(core, s) - 2**63, digest(piece, place & 0xFFFF) - 2**63, row, start + a, place, anchor, single, piece))
+            cols = list(zip(*out)) if out else [[]] * 8
+            kinds = (pa.int64(), pa.int64(), pa.int64(), pa.int32(), pa.int16(), pa.int32(), pa.bool_(), pa.binary())
+            yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, kinds)], ["gram", "piece", "row", "start", "place", "anchor", "single", "bytes"])
+
+    return contexts.select("row", "start", "anchor", "single", "bytes").mapInArrow(run, "gram long, piece long, row long, start int, place short, anchor int, single boolean, bytes binary")
+
+
+def _spans(contexts: DataFrame, length: int) -> DataFrame:
+    """(row, start, stop) of repeated stretches of contexts (gram, kinds, row, start, place, anchor, single, bytes)."""
+    found = [_sorted_spans(contexts.filter(F.col("kinds") <= SORT_LIMIT).repartition("gram").sortWithinPartitions("gram"), length)]
+    many = contexts.filter(F.col("kinds") > SORT_LIMIT)
+    for width in SLICES:
+        pieces = saved(_sliced(many, length, width), "pieces")
+        if pieces.isEmpty():
+            break
+        kinds = saved(pieces.groupBy("gram", "piece").agg(F.count("*").alias("n"), F.min(F.struct("row", "start", "place", "anchor", "single", "bytes")).alias("one")), "piece-kinds")
+        twice = kinds.filter("n > 1").select("gram", "piece")
+        hit = pieces.filter("single").join(twice, ["gram", "piece"], "left_semi")
+        found.append(hit.select("row", "start", (F.col("start") + F.octet_length("bytes")).alias("stop")))
+        grams = kinds.groupBy("gram").agg(F.count("*").alias("kinds")).filter("kinds > 1")
+        one = kinds.join(grams, "gram").select("gram", "kinds", "one.row", "one.start", "one.place", "one.anchor", (F.col("one.single") & (F.col("n") == 1)).alias("single"), "one.bytes")
+        found.append(_sorted_spans(one.filter(F.col("kinds") <= SORT_LIMIT).repartition("gram").sortWithinPartitions("gram"), length))
+        many = one.filter(F.col("kinds") > SORT_LIMIT)
+    return reduce(DataFrame.unionAll, found)
 
 
 def repeated_spans(docs: DataFrame, length: int = 200) -> DataFrame:
@@ -321,17 +353,14 @@ def repeated_spans(docs: DataFrame, length: int = 200) -> DataFrame:
             owner = np.repeat(np.arange(batch.num_rows), np.asarray(lists.value_lengths()))
             start, span = flat.column("start").to_pylist(), flat.column("span").to_pylist()
             pieces = [texts[o][a : a + n] for o, a, n in zip(owner.tolist(), start, span)]
-            yield pa.RecordBatch.from_arrays([flat.column("gram"), flat.column("kinds"), flat.column("single"), flat.column("start"), flat.column("place"), pa.array(batch.column("row").to_numpy()[owner]), pa.array(pieces, pa.binary())], ["gram", "kinds", "single", "start", "place", "row", "bytes"])
+            yield pa.RecordBatch.from_arrays([flat.column("gram"), flat.column("kinds"), flat.column("single"), flat.column("start"), flat.column("place"), pa.array([a + b for a, b in zip(start, flat.column("place").to_pylist())], pa.int32()), pa.array(batch.column("row").to_numpy()[owner]), pa.array(pieces, pa.binary())], ["gram", "kinds", "single", "start", "place", "anchor", "row", "bytes"])
 
     # identical rows share their key: one of them is enough
-    contexts = docs.join(per_row, "row").select("row", "text", "w").mapInArrow(cut, "gram long, kinds long, single boolean, start int, place short, row long, bytes binary").dropDuplicates(["gram", "row", "start"])
+    contexts = docs.join(per_row, "row").select("row", "text", "w").mapInArrow(cut, "gram long, kinds long, single boolean, start int, place short, anchor int, row long, bytes binary").dropDuplicates(["gram", "row", "start"])
     contexts = saved(contexts, "context-bytes")
-    few = contexts.filter(F.col("kinds") <= SORT_LIMIT)
-    by_sort = _sorted_spans(few.repartition("gram").sortWithinPartitions("gram"), length)
-    by_count = _counted_spans(contexts.filter(F.col("kinds") > SORT_LIMIT), length)
     repeated = kinds.filter("n > 1").select("gram", "ctx")
     whole = found.join(repeated, ["gram", "ctx"], "left_semi").select("row", "start", (F.col("start") + F.col("span")).alias("stop"))
-    return whole.unionAll(by_sort).unionAll(by_count)
+    return whole.unionAll(_spans(contexts, length))
 
 
 def merged(starts: np.ndarray, stops: np.ndarray) -> list[tuple[int, int]]:
