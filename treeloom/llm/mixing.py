@@ -22,7 +22,11 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-BLOCK_BITS = 12
+from treeloom.llm.store import literal_table, saved
+
+#: Documents that a block of a pass has, about; blocks are a power of two, at most 2^MAX_BITS a source and pass.
+BLOCK_ROWS = 4096
+MAX_BITS = 14
 
 
 @dataclass(frozen=True)
@@ -75,65 +79,73 @@ def _order(seed: int, epoch: Column, doc_id: Column) -> Column:
     return F.xxhash64(F.lit(seed), epoch, doc_id)
 
 
-def _block(order: Column) -> Column:
+def _block(order: Column, bits: int) -> Column:
     """Leading bits of the hash, signed, so that blocks follow the order of the hash."""
-    return F.shiftright(order, 64 - BLOCK_BITS).cast("int")
+    return (F.shiftright(order, 64 - bits) if bits else F.lit(0)).cast("int")
 
 
-def mixing_plan(counted: DataFrame, seed: int, target_entropy: float | None, max_repetition: float | None, budget: int | None) -> list[tuple]:
-    """(source, tokens, weight, exponent, whole passes, end) of each source, from ``counted(source, doc_id, tokens)``.
+@dataclass(frozen=True)
+class Plan:
+    """``rows``: (source, tokens, weight, exponent, whole passes, end); ``end`` is the hash of the last document of the partial
+    pass, None if it takes none.  ``bits``: 2^bits blocks a pass."""
 
-    ``end`` is the hash of the last document of the partial pass, null if it takes none.  One row a source reaches the driver.
-    """
+    rows: list[tuple]
+    bits: int
+
+
+def mixing_plan(counted: DataFrame, seed: int, target_entropy: float | None, max_repetition: float | None, budget: int | None) -> Plan:
+    """Budgets of the sources of ``counted(source, doc_id, tokens)``; one row a source reaches the driver."""
     spark = counted.sparkSession
-    sums = sorted(((r["source"], r["t"] or 0) for r in counted.groupBy("source").agg(F.sum("tokens").alias("t")).collect()), key=lambda x: (x[0] is None, x[0]))
+    sums = sorted(((r["source"], r["t"] or 0, r["n"]) for r in counted.groupBy("source").agg(F.sum("tokens").alias("t"), F.count("*").alias("n")).collect()), key=lambda x: (x[0] is None, x[0]))
     if not sums:
-        return []
-    w = bisect_exponent([t for _, t in sums], target_entropy, max_repetition)
+        return Plan([], 0)
+    bits = min(MAX_BITS, max(0, math.ceil(math.log2(max(n for _, _, n in sums) / BLOCK_ROWS))))
+    w = bisect_exponent([t for _, t, _ in sums], target_entropy, max_repetition)
     if budget is None:
         # the least budget that passes every source once or more
-        budget = max((t / x for (_, t), x in zip(sums, w.weights) if x), default=0)
+        budget = max((t / x for (_, t, _), x in zip(sums, w.weights) if x), default=0)
     plan = []
-    for (source, t), x in zip(sums, w.weights):
+    for (source, t, _), x in zip(sums, w.weights):
         own = x * budget
         whole = int(own / t + 1e-9) if t else 1
         plan.append((source, t, x, w.exponent, whole, max(0, int(own - whole * t)) if t else 0))
-    frame = spark.createDataFrame([(p[0], p[4], p[5]) for p in plan], "source string, whole int, rest bigint").filter("rest > 0")
-    partial = counted.join(F.broadcast(frame), counted["source"].eqNullSafe(frame["source"])).select(counted["source"], "doc_id", "tokens", "rest", _order(seed, F.col("whole"), F.col("doc_id")).alias("o")).withColumn("b", _block(F.col("o")))
+    frame = literal_table(spark, "s string, whole int, rest bigint", [(p[0], p[4], p[5]) for p in plan]).filter("rest > 0")
+    partial = counted.join(F.broadcast(frame), F.col("source").eqNullSafe(F.col("s"))).select("source", "tokens", "rest", _order(seed, F.col("whole"), F.col("doc_id")).alias("o")).withColumn("b", _block(F.col("o"), bits))
+    # at most 2^MAX_BITS sums a source; the one block in which a source's budget runs out is known after this
     blocks = partial.groupBy("source", "b", "rest").agg(F.sum("tokens").alias("t"))
-    along = Window.partitionBy("source").orderBy("b")
-    cut = blocks.withColumn("before", F.sum("t").over(along) - F.col("t")).filter("before <= rest and before + t > rest").select(F.col("source").alias("s"), F.col("b").alias("cut_b"), F.col("rest") - F.col("before"))
-    cut = cut.toDF("s", "cut_b", "room")
-    inside = partial.join(F.broadcast(cut), partial["source"].eqNullSafe(cut["s"]) & (partial["b"] == cut["cut_b"]))
-    # rows of one order (repeated ids) are taken or left together
-    steps = inside.groupBy("s", "room", "o").agg(F.sum("tokens").alias("t"))
-    taken = steps.withColumn("upto", F.sum("t").over(Window.partitionBy("s").orderBy("o"))).filter("upto <= room").groupBy("s").agg(F.max("o").alias("end"))
-    ends = {r["s"]: r["end"] for r in taken.collect()}
-    cuts = {r["s"]: r["cut_b"] for r in cut.select("s", "cut_b").collect()}
+    before = F.sum("t").over(Window.partitionBy("source").orderBy("b")) - F.col("t")
+    cuts = {r["source"]: (r["b"], r["room"]) for r in blocks.withColumn("before", before).filter("before <= rest and before + t > rest").select("source", "b", (F.col("rest") - F.col("before")).alias("room")).collect()}
+    ends: dict[str | None, int] = {}
+    if cuts:
+        cut = literal_table(spark, "s string, cut int, room bigint", [(s, b, r) for s, (b, r) in cuts.items()])
+        inside = partial.join(F.broadcast(cut), F.col("source").eqNullSafe(F.col("s")) & (F.col("b") == F.col("cut")))
+        # rows of one order (repeated ids) are taken or left together
+        steps = inside.groupBy("s", "room", "o").agg(F.sum("tokens").alias("t"))
+        upto = F.sum("t").over(Window.partitionBy("s").orderBy("o"))
+        ends = {r["s"]: r["end"] for r in steps.withColumn("upto", upto).filter("upto <= room").groupBy("s").agg(F.max("o").alias("end")).collect()}
     out = []
     for source, t, x, exponent, whole, rest in plan:
-        # without a document in the block where the pass ends, it ends just before that block
         end = ends.get(source)
         if end is None and source in cuts:
-            end = (cuts[source] << (64 - BLOCK_BITS)) - 1 if cuts[source] > -(1 << (BLOCK_BITS - 1)) else None
+            # no document of the block in which the pass ends fits: it ends just before that block
+            start = cuts[source][0] << (64 - bits) if bits else -(1 << 63)
+            end = start - 1 if start > -(1 << 63) else None
         elif end is None and rest > 0:
             end = (1 << 63) - 1
         out.append((source, t, x, exponent, whole, end))
-    return out
+    return Plan(out, bits)
 
 
-def mix_sources(docs: DataFrame, target_entropy: float | None = None, max_repetition: float | None = None, budget: int | None = None, seed: int = 0) -> DataFrame:
-    """Rows of ``docs`` as often as the mixture takes them, with ``epoch`` (the pass, from 0) and ``mix_order`` (the order in the pass).
+def counted_documents(docs: DataFrame) -> DataFrame:
+    """source, doc_id and tokens of every document, saved: texts are read once."""
+    return saved(docs.select("source", "doc_id", word_count(F.col("text")).alias("tokens")), "tokens")
 
-    Give one of ``target_entropy`` and ``max_repetition``.  Without a ``budget`` every document is taken at least
-    once.  Rows are copied where they lie: nothing is shuffled.
-    """
-    if (target_entropy is None) == (max_repetition is None):
-        raise ValueError("give either target_entropy or max_repetition")
-    spark = docs.sparkSession
-    plan = mixing_plan(docs.select("source", "doc_id", word_count(F.col("text")).alias("tokens")), seed, target_entropy, max_repetition, budget)
-    frame = spark.createDataFrame([(p[0], p[2], p[3], p[4], p[5]) for p in plan], "__s string, __w double, __a double, __whole int, __end bigint")
-    own = [F.col(f"`{c}`") for c in docs.columns if c not in ("epoch", "mix_order", "weight", "exponent")]
+
+def spread(docs: DataFrame, plan: Plan, seed: int) -> DataFrame:
+    """Rows of ``docs(source, doc_id, ...)`` as often as ``plan`` takes them, copied where they lie."""
+    made = ("epoch", "mix_order", "weight", "exponent")
+    frame = literal_table(docs.sparkSession, "__s string, __w double, __a double, __whole int, __end bigint", [(p[0], p[2], p[3], p[4], p[5]) for p in plan.rows])
+    own = [F.col(f"`{c}`") for c in docs.columns if c not in made]
     joined = docs.join(F.broadcast(frame), docs["source"].eqNullSafe(frame["__s"]))
     extra = F.coalesce(_order(seed, F.col("__whole"), F.col("doc_id")) <= F.col("__end"), F.lit(False)).cast("int")
     passes = F.col("__whole") + extra
@@ -143,12 +155,27 @@ def mix_sources(docs: DataFrame, target_entropy: float | None = None, max_repeti
     )
 
 
-def mix_positions(mixed: DataFrame) -> DataFrame:
-    """Adds ``block`` and ``position`` (gapless from 0 in each source and pass) to narrow rows of :func:`mix_sources`."""
-    rows = mixed.withColumn("block", _block(F.col("mix_order")))
+def mix_sources(docs: DataFrame, target_entropy: float | None = None, max_repetition: float | None = None, budget: int | None = None, seed: int = 0) -> DataFrame:
+    """Rows of ``docs`` as often as the mixture takes them, with ``epoch`` (the pass, from 0), ``mix_order`` (the order in the
+    pass), ``weight`` and ``exponent``.
+
+    Give one of ``target_entropy`` and ``max_repetition``.  Without a ``budget`` every document is taken at least
+    once.  Nothing but block sums is shuffled.
+    """
+    if (target_entropy is None) == (max_repetition is None):
+        raise ValueError("give either target_entropy or max_repetition")
+    return spread(docs, mixing_plan(counted_documents(docs), seed, target_entropy, max_repetition, budget), seed)
+
+
+def mix_index(docs: DataFrame, target_entropy: float | None = None, max_repetition: float | None = None, budget: int | None = None, seed: int = 0) -> DataFrame:
+    """The mixture without texts: source, doc_id, tokens and the columns of :func:`mix_sources`, with ``block`` and ``position``
+    (gapless from 0 in each source and pass)."""
+    counted = counted_documents(docs)
+    plan = mixing_plan(counted, seed, target_entropy, max_repetition, budget)
+    rows = spread(counted, plan, seed).withColumn("block", _block(F.col("mix_order"), plan.bits))
     sizes = rows.groupBy("source", "epoch", "block").agg(F.count("*").alias("n"))
-    along = Window.partitionBy("source", "epoch").orderBy("block")
-    offsets = sizes.withColumn("first", F.sum("n").over(along) - F.col("n")).select(F.col("source").alias("__s"), F.col("epoch").alias("__e"), F.col("block").alias("__b"), "first")
+    first = F.sum("n").over(Window.partitionBy("source", "epoch").orderBy("block")) - F.col("n")
+    offsets = sizes.select(F.col("source").alias("__s"), F.col("epoch").alias("__e"), F.col("block").alias("__b"), first.alias("__first"))
     placed = rows.withColumn("__r", F.row_number().over(Window.partitionBy("source", "epoch", "block").orderBy("mix_order", "doc_id")) - 1)
-    hit = placed["source"].eqNullSafe(offsets["__s"]) & (placed["epoch"] == offsets["__e"]) & (placed["block"] == offsets["__b"])
-    return placed.join(offsets, hit).withColumn("position", (F.col("first") + F.col("__r")).cast("long")).drop("__s", "__e", "__b", "__r", "first")
+    hit = F.col("source").eqNullSafe(F.col("__s")) & (F.col("epoch") == F.col("__e")) & (F.col("block") == F.col("__b"))
+    return placed.join(offsets, hit).withColumn("position", (F.col("__first") + F.col("__r")).cast("long")).drop("__s", "__e", "__b", "__r", "__first")

@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 from treeloom.llm.bpe import encode_documents
 from treeloom.llm.language import fit, identify
 from treeloom.llm.lines import drop_recurring_lines
-from treeloom.llm.mixing import mix_positions, mix_sources
+from treeloom.llm.mixing import mix_index
 from treeloom.llm.near import near_duplicates
 from treeloom.llm.quality import judge_quality
 from treeloom.llm.repeats import remove_repeats
@@ -50,8 +50,7 @@ def op3_quality_cascade(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op4_temperature_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
-    mixed = mix_sources(_table(spark, sf_dir, "documents").select("doc_id", "source", "text"), max_repetition=MIX_REPETITION)
-    return mix_positions(mixed.drop("text"))
+    return mix_index(_table(spark, sf_dir, "documents"), max_repetition=MIX_REPETITION)
 
 
 def op5_exact_topk(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -20,6 +20,8 @@ import numpy as np
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from treeloom.llm.store import literal_table
+
 BLOCK_ROWS = 1 << 13
 MAX_BLOCKS = 1 << 10
 _NUMPY_LIMIT = 10**9
@@ -98,7 +100,7 @@ def shard_rows(df: DataFrame, n_shards: int, seed: int = 0, key: list[Column] |
     matrix = communication_matrix([counts[b] for b in blocks], [c[2] for c in cells], seed)
     starts = np.concatenate([np.zeros((len(blocks), 1), np.int64), matrix.cumsum(axis=1)[:, :-1]], axis=1)
     # empty cells share a start with their successor; the last start that fits is the cell that has the row
-    plan = spark.createDataFrame([(b, s.tolist()) for b, s in zip(blocks, starts)], "__b int, __starts array<bigint>")
+    plan = literal_table(spark, "__b int, __starts array<bigint>", [(b, s.tolist()) for b, s in zip(blocks, starts)])
     in_block = Window.partitionBy("__b").orderBy(F.xxhash64(F.lit(seed + 1), "__h"), "__h")
     dealt = placed.withColumn("__r", (F.row_number().over(in_block) - 1).cast("long")).join(plan, "__b").withColumn("__c", _position(F.col("__starts"), F.col("__r")))
     first = np.cumsum([0, *(c[2] for c in cells)])
