@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import pandas as pd
 from pyspark.sql import SparkSession
+from pyspark.sql import types as T
 from pyspark.sql.functions import pandas_udf, udtf
 
 from treeloom.automaton.compile import to_automaton
@@ -31,7 +32,10 @@ def path_count(path: str):
     return run
 
 
-@udtf(returnType="pre long, last long, depth int, parent long, label string, kind string, value string")
+_NODE = T.StructType([T.StructField(n, t) for n, t in (("pre", T.LongType()), ("last", T.LongType()), ("depth", T.IntegerType()), ("parent", T.LongType()), ("label", T.StringType()), ("kind", T.StringType()), ("value", T.StringType()))])
+
+
+@udtf(returnType=_NODE)
 class ParseTree:
     """Nodes of a page of markup, one row each."""
 
@@ -40,7 +44,7 @@ class ParseTree:
             yield pre, last, depth, parent, label, kind, value
 
 
-@udtf(returnType="position int")
+@udtf(returnType=T.StructType([T.StructField("position", T.IntegerType())]))
 class Locate:
     """Positions (from 1) of a pattern in a text, overlapping ones too."""
 
@@ -51,7 +55,7 @@ class Locate:
             at = text.find(pattern, at + 1)
 
 
-@pandas_udf("string")
+@pandas_udf(T.StringType())
 def first_by_length(values: pd.Series) -> str:
     """Aggregate: the longest string, the first in order among equals."""
     found = [v for v in values if v is not None]

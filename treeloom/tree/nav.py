@@ -2,10 +2,12 @@
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window, WindowSpec
 from pyspark.sql import functions as F
 
-_DOC = Window.partitionBy("doc")
+
+def _in_doc() -> WindowSpec:
+    return Window.partitionBy("doc")
 
 
 def open_position() -> Column:
@@ -40,7 +42,7 @@ def child(nodes: DataFrame, i: int) -> DataFrame:
 def subtree_tags(nodes: DataFrame, label: str) -> DataFrame:
     """Adds n_label: nodes of ``label`` in the subtree, the node included; two ranks as running counts."""
     hit = F.when((F.col("label") == label) & (F.col("kind") == "elem"), 1).otherwise(0)
-    upto = nodes.withColumn("__upto", F.sum(hit).over(_DOC.orderBy("pre"))).withColumn("__own", hit)
+    upto = nodes.withColumn("__upto", F.sum(hit).over(_in_doc().orderBy("pre"))).withColumn("__own", hit)
     # the count at the end of the subtree: last is the pre of some node
     at_end = upto.select("doc", F.col("pre").alias("last"), F.col("__upto").alias("__end"))
     return upto.join(at_end, ["doc", "last"]).withColumn("n_label", F.col("__end") - F.col("__upto") + F.col("__own")).drop("__upto", "__own", "__end")
@@ -55,7 +57,7 @@ def tagged_desc(nodes: DataFrame, label: str) -> DataFrame:
 
     The frame runs in reversed order, so that it stays open at its start: linear after one sort.
     """
-    w = _DOC.orderBy(F.desc("pre")).rowsBetween(Window.unboundedPreceding, -1)
+    w = _in_doc().orderBy(F.desc("pre")).rowsBetween(Window.unboundedPreceding, -1)
     next_ = F.min(_label_pre(label)).over(w)
     return nodes.withColumn("tagged_desc", next_).withColumn("tagged_desc", F.when(F.col("tagged_desc") <= F.col("last"), F.col("tagged_desc")))
 
@@ -65,7 +67,7 @@ def tagged_foll(nodes: DataFrame, label: str) -> DataFrame:
     marks = nodes.select("doc", F.col("pre").alias("at"), _label_pre(label).alias("hit"), F.lit(None).cast("long").alias("pre")).filter("hit is not null")
     asks = nodes.select("doc", F.col("last").alias("at"), F.lit(None).cast("long").alias("hit"), "pre")
     # a mark at the asked position is inside the subtree: in reversed order it must come after the question
-    w = _DOC.orderBy(F.desc("at"), F.col("hit").isNotNull()).rowsBetween(Window.unboundedPreceding, -1)
+    w = _in_doc().orderBy(F.desc("at"), F.col("hit").isNotNull()).rowsBetween(Window.unboundedPreceding, -1)
     found = marks.unionByName(asks).withColumn("tagged_foll", F.min("hit").over(w)).filter("hit is null").select("doc", "pre", "tagged_foll")
     return nodes.join(found, ["doc", "pre"])
 
@@ -74,7 +76,7 @@ def tagged_prec(nodes: DataFrame, label: str) -> DataFrame:
     """Adds tagged_prec: the last node of ``label`` that ended before this one began (so no ancestor)."""
     marks = nodes.filter(_label_pre(label).isNotNull()).select("doc", F.col("last").alias("at"), F.col("pre").alias("hit"), F.lit(None).cast("long").alias("pre"))
     asks = nodes.select("doc", F.col("pre").alias("at"), F.lit(None).cast("long").alias("hit"), "pre")
-    w = _DOC.orderBy("at", F.col("hit").isNotNull()).rowsBetween(Window.unboundedPreceding, -1)
+    w = _in_doc().orderBy("at", F.col("hit").isNotNull()).rowsBetween(Window.unboundedPreceding, -1)
     found = marks.unionByName(asks).withColumn("tagged_prec", F.max("hit").over(w)).filter("hit is null").select("doc", "pre", "tagged_prec")
     return nodes.join(found, ["doc", "pre"])
 
@@ -82,7 +84,7 @@ def tagged_prec(nodes: DataFrame, label: str) -> DataFrame:
 def text_ranges(nodes: DataFrame) -> DataFrame:
     """Adds first_text and last_text: numbers (from 1, in the document) of the text leaves in the subtree, null if none."""
     hit = F.when(F.col("kind") == "text", 1).otherwise(0)
-    upto = nodes.withColumn("__upto", F.sum(hit).over(_DOC.orderBy("pre"))).withColumn("__own", hit)
+    upto = nodes.withColumn("__upto", F.sum(hit).over(_in_doc().orderBy("pre"))).withColumn("__own", hit)
     at_end = upto.select("doc", F.col("pre").alias("last"), F.col("__upto").alias("__end"))
     out = upto.join(at_end, ["doc", "last"]).withColumn("__first", F.col("__upto") - F.col("__own") + 1)
     some = F.col("__end") >= F.col("__first")
@@ -112,5 +114,5 @@ def recursive_counts(nodes: DataFrame) -> DataFrame:
 
 def node_of_text(nodes: DataFrame, ids: DataFrame) -> DataFrame:
     """The leaves of text numbers ``ids(doc, text_no)``."""
-    numbered = nodes.filter("kind = 'text'").withColumn("text_no", F.row_number().over(_DOC.orderBy("pre")).cast("long"))
+    numbered = nodes.filter("kind = 'text'").withColumn("text_no", F.row_number().over(_in_doc().orderBy("pre")).cast("long"))
     return numbered.join(ids, ["doc", "text_no"], "left_semi")
