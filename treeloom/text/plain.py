@@ -34,7 +34,4 @@ def text_condition(kind: str, value: Column, word: str) -> Column:
 
 def occurrences(value: Column, word: str) -> Column:
     """Occurrences of ``word`` in a text, overlapping ones too."""
-    n = len(word)
-    starts = F.sequence(F.lit(1), F.length(value) - (n - 1))
-    hits = F.filter(starts, lambda i: F.substr(value, i, F.lit(n)) == F.lit(word))
-    return F.when(value.contains(F.lit(word)), F.size(hits)).otherwise(0).cast("long")
+    return F.regexp_count(value, F.lit(f"(?=\\Q{word}\\E)")).cast("long")

@@ -10,10 +10,11 @@ Q = 3
 
 def build_postings(texts: DataFrame, q: int = Q) -> DataFrame:
     """gram, text_id: the distinct q-grams of ``texts(text_id, value)``."""
-    n = F.length("value")
-    at = F.when(n >= q, F.sequence(F.lit(1), n - (q - 1)))
-    grams = F.array_distinct(F.transform(at, lambda i: F.substr("value", i, F.lit(q))))
-    return texts.select("text_id", F.explode(grams).alias("gram"))
+    # characters as an array: a slice costs q, where a substring of UTF-8 would count from the start
+    chars = texts.select("text_id", F.filter(F.split("value", ""), lambda c: c != "").alias("c"))
+    at = F.when(F.size("c") >= q, F.sequence(F.lit(1), F.size("c") - (q - 1)))
+    grams = F.array_distinct(F.transform(at, lambda i: F.concat(*[F.get("c", i + (k - 1)) for k in range(q)])))
+    return chars.select("text_id", F.explode(grams).alias("gram"))
 
 
 def candidates(postings: DataFrame, pattern: str, q: int = Q) -> DataFrame:
