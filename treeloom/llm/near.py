@@ -2,16 +2,18 @@
 
 A document's set holds the distinct k-word shingles of its whole text.  One 64-bit hash a shingle falls, by its leading
 bits, into one of ``M`` buckets; a bucket keeps the leading-zero count of its least remainder and the mantissa bits
-behind it, in 16 bits (0: empty).  Bands of compressed registers give candidates; candidates that the
-collision-corrected estimate puts far below the threshold are dropped; the rest are confirmed on the full sets.
+behind it, in 16 bits (0: empty).  Empty buckets borrow from a fixed sequence of others, so that a band never
+stands for one common shingle of a short text.  Bands of compressed registers give candidates.  Of those, pairs go whose
+own registers differ in more places than sets at the threshold can, and pairs that the collision-corrected
+estimate puts far below the threshold; the rest are confirmed on the full sets.
 
 Equal sets are one class, represented by its smallest id, before any pair is formed.  Pairs are formed in two steps.
 First each band bucket ties its members to its smallest id, which is linear in the rows whatever the size of a bucket.
-Then, with the components of those links, only members of one bucket that are still in different components are
-paired, so that no link between components is lost and no pair within one is formed.
+Then, with the components of those links, members of one bucket that are still in different components are
+compared by their registers where the bucket lies, block against block, and only pairs that can reach the threshold come
+out, so that no link between components is lost and no pair within one is formed.
 
-With ``BANDS`` bands of ``ROWS`` registers a pair at the threshold escapes with probability (1 - 0.8^4)^32 < 1e-7; small
-sets leave most registers empty, and bands then agree more often, not less.
+With ``BANDS`` bands of ``ROWS`` registers a pair at the threshold escapes with probability (1 - 0.8^4)^32 < 1e-7.
 
 Null and empty texts have an empty set and are linked with nothing.  Rows with a null id are returned unlinked;
 rows that repeat an id share its component.  An empty table gives no rows.
@@ -30,12 +32,14 @@ from pyspark.sql import functions as F
 from treeloom.llm.store import saved
 
 BANDS, ROWS = 32, 4
-M = BANDS * ROWS
-BUCKET_BITS = 7
+BUCKET_BITS = 9
+M = 1 << BUCKET_BITS
+#: Members of a band bucket that one task compares with as many others.
+BLOCK_MEMBERS = 1024
 REST = 64 - BUCKET_BITS
 MANTISSA = 10
-#: Estimates this far below the threshold end a candidate: over five standard deviations at 128 registers.
-MARGIN = 0.2
+#: Estimates this far below the threshold end a candidate: five standard deviations at 512 registers.
+MARGIN = 0.09
 _WORDS_CACHED = 300_000
 
 
@@ -93,6 +97,24 @@ def registers(shingles: np.ndarray) -> np.ndarray:
     return out
 
 
+#: Where an empty register looks for a value, attempt by attempt.
+_BORROW = np.random.default_rng(20).integers(0, M, (64, BANDS * ROWS))
+
+
+def borrowed(regs: np.ndarray) -> np.ndarray:
+    """The registers of the bands, each empty one filled from the first filled one of its sequence."""
+    out = regs[: BANDS * ROWS].copy()
+    empty = np.nonzero(out == 0)[0]
+    for look in _BORROW:
+        if not len(empty):
+            return out
+        out[empty] = regs[look[empty]]
+        empty = empty[out[empty] == 0]
+    filled = np.nonzero(regs)[0]
+    out[empty] = regs[filled[np.searchsorted(filled, empty) % len(filled)]]
+    return out
+
+
 def expected_collisions(n1: np.ndarray, n2: np.ndarray) -> np.ndarray:
     """Registers in which disjoint sets of n1 and n2 shingles agree by chance: over each leading-zero count, both
     least values fall there and share their mantissa."""
@@ -115,39 +137,114 @@ def estimate(r1: np.ndarray, r2: np.ndarray, n1: np.ndarray, n2: np.ndarray) ->
 
 
 def signatures(docs: DataFrame, k: int) -> DataFrame:
-    """doc_id, n_shingles, digest of the set (null if empty) and registers."""
+    """doc_id, n_shingles, digest of the set (null if empty) and the registers of its bands."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         shingler = Shingler(k)
         for batch in batches:
-            n, digest, regs = [], [], []
+            n, digest, full = [], [], []
             for text in batch.column("text"):
                 s = shingler(text.as_py())
                 n.append(len(s))
                 digest.append(xxhash.xxh3_128_digest(s.tobytes()) if len(s) else None)
-                regs.append(registers(s).tobytes() if len(s) else None)
-            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(n, pa.int64()), pa.array(digest, pa.binary()), pa.array(regs, pa.binary())], ["doc_id", "n_shingles", "digest", "regs"])
+                full.append(borrowed(registers(s)).tobytes() if len(s) else None)
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(n, pa.int64()), *(pa.array(c, pa.binary()) for c in (digest, full))], ["doc_id", "n_shingles", "digest", "full"])
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, "doc_id long, n_shingles long, digest binary, regs binary")
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, "doc_id long, n_shingles long, digest binary, full binary")
 
 
-def likely_pairs(pairs: DataFrame, reps: DataFrame, threshold: float) -> DataFrame:
-    """The (u, w) whose estimate is not far below the threshold."""
-    a = reps.select(F.col("doc_id").alias("u"), F.col("n_shingles").alias("nu"), F.col("regs").alias("ru"))
-    b = reps.select(F.col("doc_id").alias("w"), F.col("n_shingles").alias("nw"), F.col("regs").alias("rw"))
-    # sizes alone bound the similarity
-    sized = pairs.join(b, "w").join(a, "u").filter((F.least("nu", "nw") + 1e-9 >= threshold * F.greatest("nu", "nw")))
+def sketches(texts: DataFrame, k: int) -> DataFrame:
+    """doc_id, text, n_shingles, all registers and those of the bands."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        shingler = Shingler(k)
+        for batch in batches:
+            sets = [shingler(t.as_py()) for t in batch.column("text")]
+            regs = [registers(s) for s in sets]
+            made = [pa.array([len(s) for s in sets], pa.int64()), pa.array([r.tobytes() for r in regs], pa.binary()), pa.array([borrowed(r).tobytes() if r.any() else None for r in regs], pa.binary())]
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("text"), *made], ["doc_id", "text", "n_shingles", "regs", "full"])
+
+    return texts.select("doc_id", "text").mapInArrow(run, "doc_id long, text string, n_shingles long, regs binary, full binary")
+
+
+def possible(r1: np.ndarray, r2: np.ndarray, n1: np.ndarray, n2: np.ndarray, threshold: float) -> np.ndarray:
+    """Pairs of register rows that may reach the threshold."""
+    # each register that differs takes a shingle that the sets do not share
+    fits = (r1 != r2).sum(axis=1) <= (n1 + n2) * (1 - threshold) / (1 + threshold) + 1e-9
+    fits &= np.minimum(n1, n2) + 1e-9 >= threshold * np.maximum(n1, n2)
+    at = np.nonzero(fits)[0]
+    # few registers in use: the estimate is coarse, the full sets decide
+    few = ((r1[at] > 0) | (r2[at] > 0)).sum(axis=1) < M // 4
+    fits[at] = few | (estimate(r1[at], r2[at], n1[at], n2[at]) >= threshold - MARGIN)
+    return fits
+
+
+def _rows(column: pa.Array) -> np.ndarray:
+    return np.frombuffer(b"".join(column.to_pylist()), np.uint16).reshape(-1, M)
+
+
+def likely_pairs(pairs: DataFrame, known: DataFrame, threshold: float) -> DataFrame:
+    """The (u, w) that may reach the threshold by the registers in ``known``."""
+    a = known.select(F.col("doc_id").alias("u"), F.col("n_shingles").alias("nu"), F.col("regs").alias("ru"))
+    b = known.select(F.col("doc_id").alias("w"), F.col("n_shingles").alias("nw"), F.col("regs").alias("rw"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             if batch.num_rows:
-                r1, r2 = (np.frombuffer(b"".join(batch.column(c).to_pylist()), np.uint16).reshape(-1, M) for c in ("ru", "rw"))
-                e = estimate(r1, r2, batch.column("nu").to_numpy(), batch.column("nw").to_numpy())
-                # few registers in use: the estimate is coarse, the full sets decide
-                few = ((r1 > 0) | (r2 > 0)).sum(axis=1) < M // 2
-                yield batch.select(["u", "w"]).filter(pa.array((e >= threshold - MARGIN) | few))
+                fits = possible(_rows(batch.column("ru")), _rows(batch.column("rw")), batch.column("nu").to_numpy(), batch.column("nw").to_numpy(), threshold)
+                yield batch.select(["u", "w"]).filter(pa.array(fits))
+
+    return pairs.join(b, "w").join(a, "u").select("u", "w", "nu", "nw", "ru", "rw").mapInArrow(run, "u long, w long")
+
+
+def pairs_across(apart: DataFrame, known: DataFrame, threshold: float) -> DataFrame:
+    """The (u, w), u < w, of one bucket of ``apart(key, band, id, label)`` but of different labels that may reach the threshold.
+
+    A bucket of many members is dealt as pairs of blocks, so that a task compares at most ``BLOCK_MEMBERS`` with as many.
+    A pair comes out of the first band that it shares, once.
+    """
+    blocks = apart.groupBy("key").agg(F.ceil(F.count("*") / BLOCK_MEMBERS).cast("int").alias("nb"))
+    rows = apart.join(blocks, "key").withColumn("b", F.pmod(F.xxhash64("id"), F.col("nb")).cast("int"))
+    # block b meets every block: as the first of the two up from b, as the second below it
+    rows = rows.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("nb") - 1)))
+    rows = rows.select("key", "band", F.least("b", "other").alias("i"), F.greatest("b", "other").alias("j"), "b", "id", "label")
+    sketched = rows.join(known.select(F.col("doc_id").alias("id"), "n_shingles", "regs", "full"), "id")
+
+    def compare(t: pa.Table) -> Iterator[pa.RecordBatch]:
+        ids, label, n, b = (t.column(c).to_numpy() for c in ("id", "label", "n_shingles", "b"))
+        regs = _rows(t.column("regs").combine_chunks())
+        bands = np.frombuffer(b"".join(t.column("full").to_pylist()), np.uint64).reshape(-1, BANDS)
+        band = t.column("band")[0].as_py()
+        same_block = t.column("i")[0].as_py() == t.column("j")[0].as_py()
+        for x in range(len(ids)):
+            other = (label != label[x]) & (ids > ids[x])
+            if not same_block:
+                other = (label != label[x]) & (b > b[x])
+            y = np.nonzero(other & (np.minimum(n, n[x]) + 1e-9 >= threshold * np.maximum(n, n[x])))[0]
+            if band and len(y):
+                y = y[~(bands[y, :band] == bands[x, :band]).any(axis=1)]
+            if len(y):
+                y = y[possible(np.broadcast_to(regs[x], (len(y), M)), regs[y], np.full(len(y), n[x]), n[y], threshold)]
+                if len(y):
+                    yield pa.RecordBatch.from_arrays([pa.array(np.minimum(ids[x], ids[y])), pa.array(np.maximum(ids[x], ids[y]))], ["u", "w"])
 
-    return sized.select("u", "w", "nu", "nw", "ru", "rw").mapInArrow(run, "u long, w long")
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held_: pa.Table | None = None
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            t = pa.Table.from_batches([batch])
+            t = t if held_ is None else pa.concat_tables([held_, t])
+            key, i, j = (t.column(c).to_numpy() for c in ("key", "i", "j"))
+            cuts = [0, *(np.nonzero((key[1:] != key[:-1]) | (i[1:] != i[:-1]) | (j[1:] != j[:-1]))[0] + 1).tolist()]
+            for s, e in zip(cuts, cuts[1:]):
+                yield from compare(t.slice(s, e - s))
+            held_ = t.slice(cuts[-1])
+        if held_ is not None:
+            yield from compare(held_)
+
+    dealt = sketched.repartition("key", "i", "j").sortWithinPartitions("key", "i", "j")
+    return dealt.select("key", "band", "i", "j", "b", "id", "label", "n_shingles", "regs", "full").mapInArrow(run, "u long, w long").distinct()
 
 
 def confirmed(pairs: DataFrame, texts: DataFrame, k: int, percent: int) -> DataFrame:
@@ -157,43 +254,42 @@ def confirmed(pairs: DataFrame, texts: DataFrame, k: int, percent: int) -> DataF
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         shingler = Shingler(k)
-        held_id, held = None, None
+        last_id, last = None, None
         for batch in batches:
             keep = []
             for u, tu, tw in zip(batch.column("u").to_pylist(), batch.column("tu"), batch.column("tw")):
-                if u != held_id:
-                    held_id, held = u, shingler(tu.as_py())
+                if u != last_id:
+                    last_id, last = u, shingler(tu.as_py())
                 other = shingler(tw.as_py())
-                shared = len(np.intersect1d(held, other, assume_unique=True))
-                keep.append(100 * shared >= percent * (len(held) + len(other) - shared))
+                shared = len(np.intersect1d(last, other, assume_unique=True))
+                keep.append(100 * shared >= percent * (len(last) + len(other) - shared))
             yield batch.select(["u", "w"]).filter(pa.array(keep, pa.bool_()))
 
     return pairs.join(b, "w").join(a, "u").select("u", "w", "tu", "tw").mapInArrow(run, "u long, w long")
 
 
 def components(links: DataFrame, max_rounds: int = 60) -> DataFrame:
-    """node, label (smallest id of its component) of every node of ``links(u, w)``; alternating star contraction."""
-    edges = saved(links.select(F.greatest("u", "w").alias("a"), F.least("u", "w").alias("b")).filter("a <> b").distinct(), "edges")
-    seen = None
+    """node, label (smallest id of its component) of every node of ``links(u, w)``; alternating star contraction.
+
+    It ends when every edge leads to a node that leads nowhere: the edges are then stars around the labels.
+    """
+    edges = links.select(F.greatest("u", "w").alias("a"), F.least("u", "w").alias("b")).filter("a <> b")
     for _ in range(max_rounds):
         both = edges.unionAll(edges.select(F.col("b").alias("a"), F.col("a").alias("b")))
         least = both.groupBy("a").agg(F.min("b").alias("m")).select("a", F.least("a", "m").alias("m"))
         large = both.join(least, "a").filter("b > a").select(F.col("b").alias("a"), F.col("m").alias("b")).filter("a <> b").distinct()
         low = large.groupBy("a").agg(F.min("b").alias("m"))
         small = large.join(low, "a").select(F.explode(F.array(F.struct("a", F.col("m").alias("b")), F.struct(F.col("b").alias("a"), F.col("m").alias("b")))).alias("x")).select("x.*").filter("a <> b").distinct()
-        edges = saved(small, "edges")
-        state = edges.agg(F.count("*"), F.sum(F.col("a").cast("decimal(38,0)")), F.sum(F.col("b").cast("decimal(38,0)")), F.bit_xor(F.xxhash64("a", "b"))).first()
-        if state == seen:
+        edges = saved(small, "edges", few_files=True)
+        if edges.select(F.col("b").alias("a")).join(edges.select("a"), "a", "left_semi").isEmpty():
             break
-        seen = state
     return edges.select(F.col("a").alias("node"), F.col("b").alias("label")).unionAll(edges.select(F.col("b").alias("node"), F.col("b").alias("label")).distinct())
 
 
 def _bands(reps: DataFrame) -> DataFrame:
     width = 2 * ROWS
-    slices = F.array(*[F.struct(F.substring("regs", 1 + i * width, width).alias("s"), F.lit(i).alias("i")) for i in range(BANDS)])
-    rows = reps.select("doc_id", "n_shingles", F.explode(slices).alias("x")).filter(F.col("x.s") != F.lit(bytes(width)))
-    return rows.select(F.xxhash64("x.i", "x.s").alias("key"), F.col("doc_id").alias("id"), F.col("n_shingles").alias("n"))
+    slices = F.array(*[F.struct(F.substring("full", 1 + i * width, width).alias("s"), F.lit(i).alias("i")) for i in range(BANDS)])
+    return reps.select("doc_id", F.explode(slices).alias("x")).select(F.xxhash64("x.i", "x.s").alias("key"), F.col("x.i").alias("band"), F.col("doc_id").alias("id"))
 
 
 def near_duplicates(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame:
@@ -201,32 +297,29 @@ def near_duplicates(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame
     sig = saved(signatures(docs, k), "signatures")
     fine = sig.filter("doc_id is not null and digest is not null")
     classes = fine.groupBy("digest").agg(F.min("doc_id").alias("rep"), F.count("*").alias("c")).filter("c > 1").select("digest", "rep")
-    classes = saved(classes, "classes")
     # a class counts by its representative alone; ids that are repeated stay one node
     reps = saved(
-        fine.join(classes, "digest", "left").filter("rep is null or rep = doc_id").groupBy("doc_id", "n_shingles", "digest").agg(F.first("regs").alias("regs")).drop("digest"), "reps"
+        fine.join(classes, "digest", "left").filter("rep is null or rep = doc_id").groupBy("doc_id", "n_shingles", "digest").agg(F.first("full").alias("full")).drop("digest"), "reps"
     )
     bands = _bands(reps)
     full = bands.groupBy("key").agg(F.min("id").alias("lead"), F.max("id").alias("last")).filter("lead < last")
-    members = saved(bands.join(full, "key").select("key", "id", "n", "lead"), "members")
-    star = saved(members.filter("id <> lead").select(F.col("lead").alias("u"), F.col("id").alias("w")).distinct(), "star")
+    members = saved(bands.join(full, "key").select("key", "band", "id", "lead"), "members")
+    star = members.filter("id <> lead").select(F.col("lead").alias("u"), F.col("id").alias("w")).distinct()
     in_pairs = members.select(F.col("id").alias("doc_id")).distinct()
-    texts = saved(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").join(in_pairs, "doc_id", "left_semi").dropDuplicates(["doc_id"]), "texts")
+    texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").join(in_pairs, "doc_id", "left_semi")
+    # a repeated id stands for the set that represents it
+    texts = saved(sketches(texts, k).dropDuplicates(["doc_id"]), "texts")
     threshold = percent / 100
-    links = saved(confirmed(likely_pairs(star, reps, threshold), texts, k, percent), "links")
+    links = saved(confirmed(likely_pairs(star, texts, threshold), texts, k, percent), "links", few_files=True)
     label = components(links)
-    apart = saved(members.select("key", "id", "n").join(label.withColumnRenamed("node", "id"), "id", "left").withColumn("label", F.coalesce("label", "id")), "apart")
+    apart = members.select("key", "band", "id").join(label.withColumnRenamed("node", "id"), "id", "left").withColumn("label", F.coalesce("label", "id"))
     mixed = apart.groupBy("key").agg(F.min("label").alias("lo"), F.max("label").alias("hi")).filter("lo < hi").select("key")
-    apart = apart.join(mixed, "key", "left_semi")
-    left = apart.select("key", F.col("id").alias("u"), F.col("label").alias("lu"), F.col("n").alias("nu"))
-    right = apart.select("key", F.col("id").alias("w"), F.col("label").alias("lw"), F.col("n").alias("nw"))
-    near_size = F.least("nu", "nw") + 1e-9 >= threshold * F.greatest("nu", "nw")
-    across = left.join(right, "key").filter((F.col("lu") < F.col("lw")) & near_size).select(F.least("u", "w").alias("u"), F.greatest("u", "w").alias("w")).distinct()
-    across = saved(across.join(star, ["u", "w"], "left_anti"), "across")
-    more = saved(confirmed(likely_pairs(across, reps, threshold), texts, k, percent), "links")
+    mixed = saved(apart.join(mixed, "key", "left_semi"), "mixed")
+    across = pairs_across(mixed, texts, threshold)
+    more = saved(confirmed(across.join(star, ["u", "w"], "left_anti"), texts, k, percent), "links", few_files=True)
     label = components(links.unionAll(more))
     return (
-        sig.join(classes, "digest", "left")
+        sig.select("doc_id", "n_shingles", "digest").join(classes, "digest", "left")
         .withColumn("node", F.coalesce("rep", "doc_id"))
         .join(label, "node", "left")
         .select("doc_id", "n_shingles", F.coalesce("label", "node").alias("component_id"))

@@ -37,11 +37,15 @@ def shuffles_removed(spark: SparkSession) -> Iterator[None]:
         spark.conf.unset(_CLEANUP) if before is None else spark.conf.set(_CLEANUP, before)
 
 
-def saved(df: DataFrame, label: str) -> DataFrame:
+def saved(df: DataFrame, label: str, few_files: bool = False) -> DataFrame:
     """Writes ``df`` as Parquet into the shared folder and reads it back: lineage is cut, and a lost
-    executor costs no recomputation of what lies before.  The shuffles behind it are not needed after that."""
+    executor costs no recomputation of what lies before.  The shuffles behind it are not needed after that.
+
+    ``few_files``: for narrow tables out of many partitions, one file a core of the cluster."""
     spark = df.sparkSession
     path = f"{checkpoint_root(spark)}/treeloom-{label}-{uuid.uuid4().hex}"
+    if few_files:
+        df = df.repartition(spark.sparkContext.defaultParallelism)
     with shuffles_removed(spark):
         df.write.parquet(path)
     return spark.read.schema(df.schema).parquet(path)
