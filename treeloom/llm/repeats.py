@@ -376,7 +376,8 @@ def merged(starts: np.ndarray, stops: np.ndarray) -> list[tuple[int, int]]:
 def remove_repeats(docs: DataFrame, length: int = 200) -> DataFrame:
     """doc_id, n_bytes, n_removed, n_spans, kept_sha256 and ``kept`` (the bytes that remain) of every row of ``docs``."""
     docs = docs.select("doc_id", "text").withColumn("row", F.xxhash64("doc_id", "text"))
-    spans = repeated_spans(docs.select("row", "text"), length).groupBy("row").agg(F.collect_list("start").alias("starts"), F.collect_list("stop").alias("stops"))
+    # saved, so that the joins that found the spans are off the disks before texts are dealt to them
+    spans = saved(repeated_spans(docs.select("row", "text"), length), "spans").groupBy("row").agg(F.collect_list("start").alias("starts"), F.collect_list("stop").alias("stops"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
