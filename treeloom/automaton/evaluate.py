@@ -22,8 +22,10 @@ NOTHING: dict[int, tuple | None] = {}
 class Document:
     """Nodes of one document in order; a contracted one holds a part of them, with the true parents."""
 
-    def __init__(self, pre: np.ndarray, last: np.ndarray, parent: np.ndarray, label: list[str], kind: list[str], flags: list[list[bool]]):
+    def __init__(self, pre: np.ndarray, last: np.ndarray, parent: np.ndarray, label: list[str], kind: list[str], flags: list[list[bool]], up: int | None = None):
+        """``up``: the node above all rows, if the rows are a fragment below it."""
         n = len(pre)
+        self.up = up
         self.pre, self.last, self.label, self.kind, self.flags = pre.tolist(), last.tolist(), label, kind, flags
         after = np.searchsorted(pre, last, "right")
         index = np.arange(n)
@@ -37,7 +39,8 @@ class Document:
             stack.append(i)
         limit = np.where(above >= 0, after[np.maximum(above, 0)], n)
         self.next = np.where(after < limit, after, -1).tolist()
-        self.child = ((above >= 0) & (parent == pre[np.maximum(above, 0)])).tolist()
+        inside = parent == pre[np.maximum(above, 0)] if n else np.zeros(0, bool)
+        self.child = np.where(above >= 0, inside, parent == up if up is not None else False).tolist()
         self.after = after.tolist()
         self._by_test: dict[object, list[int]] = {}
 
@@ -159,7 +162,11 @@ class Runner:
         if (q := self.collecting(asked)) is not None:
             counters.visited += 1
             return {q: ("lazy", at, q)}
-        frames: list[list] = [[doc.first[at], asked, 0, None, None]]
+        return self.chain(doc, doc.first[at], asked, counters)
+
+    def chain(self, doc: Document, start: int, asked: frozenset[int], counters: Counters) -> dict:
+        """States that hold at a node and its next siblings, each with its marked nodes."""
+        frames: list[list] = [[start, asked, 0, None, None]]
         back: dict = NOTHING
         while frames:
             frame = frames[-1]

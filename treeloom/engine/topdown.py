@@ -7,6 +7,7 @@ Documents must fit in a task; for one that does not, set-at-a-time evaluation is
 
 from __future__ import annotations
 
+from bisect import bisect_left
 from collections.abc import Callable, Iterator
 from functools import reduce
 
@@ -15,9 +16,9 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from treeloom.automaton.compile import to_automaton
+from treeloom.automaton.compile import Unsupported, to_automaton
 from treeloom.automaton.evaluate import Counters, Document, Runner
-from treeloom.automaton.model import Automaton
+from treeloom.automaton.model import MARK, Automaton, atoms
 from treeloom.engine.columnar import KEY, Columnar, above_any
 from treeloom.sources.trees import Tree
 from treeloom.xpath.ast import Exists, Filter, Path, ValuePred
@@ -46,8 +47,10 @@ def restricted(tree: Tree, a: Automaton) -> DataFrame:
     return tree.nodes.filter(reduce(lambda x, y: x | y, tests, F.col("kind") == "doc"))
 
 
-def _run(nodes: DataFrame, a: Automaton, flags: list[DataFrame], emit: Callable, schema: str, options: dict) -> DataFrame:
-    cols = ["doc", "pre", "last", "parent", "label", "kind"]
+def _run(nodes: DataFrame, a: Automaton, flags: list[DataFrame], emit: Callable, schema: str, options: dict, spine: _Spine | None = None, ask: Callable | None = None) -> DataFrame:
+    """One run a document, or, with a ``spine``, a fragment: ``ask(doc, spine node)`` gives the states to ask of it."""
+    cols = ["doc", "frag", "pre", "last", "parent", "label", "kind"]
+    unit = ["doc"] if spine is None else ["doc", "frag"]
     rows = nodes.select(*cols)
     for k, hits in enumerate(flags):
         rows = rows.join(hits.distinct().withColumn(f"p{k}", F.lit(True)), KEY, "left")
@@ -59,24 +62,36 @@ def _run(nodes: DataFrame, a: Automaton, flags: list[DataFrame], emit: Callable,
 
         def one(t: pa.Table) -> pa.RecordBatch:
             num = [t.column(c).to_numpy() for c in ("pre", "last", "parent")]
-            doc = Document(*num, t.column("label").to_pylist(), t.column("kind").to_pylist(), [t.column(n).to_pylist() for n in names])
+            own = t.column("doc")[0].as_py()
+            up = spine.over(own, int(num[0][0])) if spine is not None else None
+            doc = Document(*num, t.column("label").to_pylist(), t.column("kind").to_pylist(), [t.column(n).to_pylist() for n in names], up)
             counters = Counters()
-            return emit(t.column("doc")[0].as_py(), doc, runner, runner.run(doc, counters), counters)
+            if spine is None:
+                return emit(own, doc, runner, runner.run(doc, counters), counters)
+            states = ask(own, up)
+            result = runner.chain(doc, 0, states, counters) if states else {}
+            if emit is _emit_nodes:
+                ropes = [r for q, r in result.items() if r is not None and a.states[q].universal]
+                return emit(own, doc, runner, tuple(ropes) if len(ropes) > 1 else ropes[0] if ropes else None, counters)
+            return emit(own, doc, runner, result, counters)
 
         for batch in batches:
             if not batch.num_rows:
                 continue
             t = pa.Table.from_batches([batch])
             t = t if held is None else pa.concat_tables([held, t])
-            docs = t.column("doc").to_numpy()
-            cuts = [0, *(np.nonzero(docs[1:] != docs[:-1])[0] + 1).tolist()]
+            other = np.zeros(t.num_rows - 1, bool)
+            for c in unit:
+                ids = t.column(c).to_numpy()
+                other |= ids[1:] != ids[:-1]
+            cuts = [0, *(np.nonzero(other)[0] + 1).tolist()]
             for s, e in zip(cuts, cuts[1:]):
                 yield one(t.slice(s, e - s))
             held = t.slice(cuts[-1])
         if held is not None:
             yield one(held)
 
-    return rows.repartition("doc").sortWithinPartitions("doc", "pre").mapInArrow(work, schema)
+    return rows.repartition(*unit).sortWithinPartitions(*unit, "pre").mapInArrow(work, schema)
 
 
 def _emit_nodes(doc_id: int, doc: Document, runner: Runner, rope: tuple | None, counters: Counters) -> pa.RecordBatch:
@@ -115,6 +130,102 @@ def _chain(filters: list[Filter]) -> ValuePred | None:
     return _chain(inner)
 
 
+#: Spine nodes that reach the driver at most.
+MAX_SPINE = 100_000
+
+
+class _Spine:
+    """The nodes above all fragments, in order, and the innermost one over a position."""
+
+    def __init__(self, rows: list[tuple]):
+        self.rows = sorted(rows)
+        self.keys = [(r[0], r[1]) for r in self.rows]
+        self.index = {k: i for i, k in enumerate(self.keys)}
+
+    def over(self, doc: int, pre: int) -> int:
+        i = bisect_left(self.keys, (doc, pre)) - 1
+        while self.rows[i][2] < pre:
+            i = self.index[doc, self.rows[i][3]]
+        return self.rows[i][1]
+
+
+def run_fragments(tree: Tree, path: Path | str, jump: bool = True) -> DataFrame:
+    """doc, pre, last of the results, for documents that are larger than a task.
+
+    Filter states are asked of every fragment first and come up as one bit set a spine node.  The spine, which is small, is
+    then evaluated on the driver, which tells the main states that reach the fragments below each of its nodes; a
+    second pass runs these.  Steps to siblings would tie fragments to each other and are not supported here.
+    """
+    nodes, a, flags = _plan(tree, path, jump)
+    for q, s in enumerate(a.states):
+        if (atoms(s.match, 2) | atoms(s.loop, 2)) - {q}:
+            raise Unsupported("steps to siblings cross fragments")
+    names = [f"p{k}" for k in range(len(flags))]
+    rows = tree.nodes.filter("frag = -1").select("doc", "pre", "last", "parent", "label", "kind")
+    for n, hits in zip(names, flags):
+        rows = rows.join(hits.distinct().withColumn(n, F.lit(True)), KEY, "left")
+    spine_rows = [tuple(r) for r in rows.limit(MAX_SPINE + 1).collect()]
+    if len(spine_rows) > MAX_SPINE:
+        raise Unsupported("the spine is too large for the driver")
+    spine = _Spine(spine_rows)
+    pieces = nodes.filter("frag <> -1")
+    filters = frozenset(q for q, s in enumerate(a.states) if not s.universal)
+    below: dict[tuple[int, int], set[int]] = {k: set() for k in spine.keys}
+    if filters:
+        masks = _run(pieces, a, flags, _emit_states, "doc long, up long, state int", {"lazy": False}, spine, lambda doc, up: filters).distinct()
+        for r in masks.collect():  # at most spine nodes times states
+            below[r["doc"], r["up"]].add(r["state"])
+    truth, asked, found = _up_the_spine(a, spine, below), {}, []
+    for doc, pre, last, parent, label, kind, *flag in spine.rows:
+        here = frozenset(a.top) if kind == "doc" else frozenset()
+        for q in asked.get((doc, parent), ()):
+            s = a.states[q]
+            ok = s.guard.has(kind, label) and _local(s.match, truth[doc, pre], flag)
+            if ok and _marks(s.match):
+                found.append((doc, pre, last))
+            here |= atoms(s.match if ok else s.loop, 1) & a.bottom
+        asked[doc, pre] = here
+    wanted = {k: v for k, v in asked.items() if v}
+    got = _run(pieces, a, flags, _emit_nodes, "doc long, pre long, last long", {}, spine, lambda doc, up: wanted.get((doc, up)))
+    return got.unionAll(tree.spark.createDataFrame(found, "doc long, pre long, last long"))
+
+
+def _marks(f: tuple) -> bool:
+    return f is MARK or f[0] == "and" and (_marks(f[1]) or _marks(f[2]))
+
+
+def _local(f: tuple, below: set[int], flag: list) -> bool:
+    """Truth of a formula at a spine node; what lies beside it is asked elsewhere."""
+    op = f[0]
+    if op == "down":
+        return f[1] == 2 or f[2] in below
+    if op in ("and", "or"):
+        x, y = _local(f[1], below, flag), _local(f[2], below, flag)
+        return (x and y) if op == "and" else (x or y)
+    if op == "not":
+        return not _local(f[1], below, flag)
+    return bool(flag[f[1]]) if op == "pred" else op in ("true", "mark")
+
+
+def _up_the_spine(a: Automaton, spine: _Spine, below: dict[tuple[int, int], set[int]]) -> dict[tuple[int, int], set[int]]:
+    """States that hold somewhere among the children of each spine node."""
+    for doc, pre, _, parent, label, kind, *flag in reversed(spine.rows):
+        own = below[doc, pre]
+        own |= a.bottom
+        for q, s in enumerate(a.states):
+            if s.universal or (doc, parent) not in below:
+                continue
+            deeper = s.axis == "descendant" and q in own and kind != "attrs"
+            if deeper or s.guard.has(kind, label) and _local(s.match, own, flag):
+                below[doc, parent].add(q)
+    return below
+
+
+def _emit_states(doc_id: int, doc: Document, runner: Runner, result: dict, counters: Counters) -> pa.RecordBatch:
+    held = [q for q in result if not runner.a.states[q].universal]
+    return pa.RecordBatch.from_arrays([pa.array([doc_id] * len(held), pa.int64()), pa.array([doc.up] * len(held), pa.int64()), pa.array(held, pa.int32())], ["doc", "up", "state"])
+
+
 def seed_of(path: Path) -> ValuePred | None:
     """The value predicate that a bottom-up run can start from: the only condition of the path, and positive."""
     return _chain([f for s in path.steps for f in s.filters])
