@@ -3,9 +3,10 @@ import random
 import pytest
 
 from tests.trees import Direct, random_path, random_tree
+from treeloom.automaton.compile import Unsupported
 from treeloom.engine.columnar import Columnar
 from treeloom.engine.planner import choose, cut_off, query, text_path
-from treeloom.engine.topdown import can_run_bottom_up, run_bottom_up, run_top_down
+from treeloom.engine.topdown import can_run_bottom_up, run_bottom_up, run_fragments, run_top_down
 from treeloom.sources.trees import COLUMNS, Tree, open_tree
 from treeloom.tree.encode import flatten
 from treeloom.xpath.parser import parse
@@ -48,6 +49,33 @@ def test_all_strategies_agree_on_random_trees(spark):
         done += 1
 
 
+def _fragment(row: list, by: dict) -> int:
+    """-1 for nodes of depth 3 and less, else the number of the ancestor of depth 4."""
+    while row[2] > 4:
+        row = by[row[3]]
+    return -1 if row[2] < 4 else row[0]
+
+
+def test_fragments_and_spine_agree_with_whole_documents(spark):
+    rng = random.Random(33)
+    docs = {d: flatten(random_tree(rng, 60)) for d in range(6)}
+    rows = [(d, _fragment(r, {x[0]: x for x in rs}), *r) for d, rs in docs.items() for r in rs]
+    nodes = spark.createDataFrame(rows, "doc long, frag int, pre long, last long, depth int, parent long, ord int, label string, kind string, host long, value string").select(*COLUMNS).cache()
+    tree = Tree(spark, nodes)
+    done = 0
+    while done < 16:
+        path = random_path(rng)
+        if "sibling" in path:
+            continue
+        want = sorted((d, p) for d, rs in docs.items() for p in Direct(rs).select(parse(path)))
+        keys = lambda df: sorted(map(tuple, df.select("doc", "pre").collect()))
+        assert keys(run_fragments(tree, path, jump=bool(done % 2))) == want, path
+        assert keys(Columnar(tree).select(path)) == want, path
+        done += 1
+    with pytest.raises(Unsupported):
+        run_fragments(tree, "//a/following-sibling::b")
+
+
 def test_planner_prefers_few_seeds(spark, small):
     tree = open_tree(spark, small, "citations")
     assert choose(tree, '//art[.//abs[contains(., "zzzz")]]').strategy == "bottom-up"
