@@ -323,10 +323,10 @@ def _spans(contexts: DataFrame, length: int) -> DataFrame:
     found = [_sorted_spans(contexts.filter(F.col("kinds") <= SORT_LIMIT).repartition("gram").sortWithinPartitions("gram"), length)]
     many = contexts.filter(F.col("kinds") > SORT_LIMIT)
     for width in SLICES:
-        pieces = saved(_sliced(many, length, width), "pieces")
+        pieces = saved(_sliced(many, length, width), "pieces", few_files=True)
         if pieces.isEmpty():
             break
-        kinds = saved(pieces.groupBy("gram", "piece").agg(F.count("*").alias("n"), F.min(F.struct("row", "start", "place", "anchor", "single", "bytes")).alias("one")), "piece-kinds")
+        kinds = saved(pieces.groupBy("gram", "piece").agg(F.count("*").alias("n"), F.min(F.struct("row", "start", "place", "anchor", "single", "bytes")).alias("one")), "piece-kinds", few_files=True)
         twice = kinds.filter("n > 1").select("gram", "piece")
         hit = pieces.filter("single").join(twice, ["gram", "piece"], "left_semi")
         found.append(hit.select("row", "start", (F.col("start") + F.octet_length("bytes")).alias("stop")))
@@ -339,9 +339,12 @@ def _spans(contexts: DataFrame, length: int) -> DataFrame:
 
 def repeated_spans(docs: DataFrame, length: int = 200) -> DataFrame:
     """(row, start, stop) of byte stretches of ``docs(row, text)`` to remove; they may overlap."""
-    found = saved(anchor_rows(docs, length), "anchors")
+    every = saved(anchor_rows(docs, length), "anchors")
+    # most grams occur once and are done with here
+    again = every.groupBy("gram").agg(F.count("*").alias("n")).filter("n > 1").select("gram")
+    found = saved(every.join(again, "gram", "left_semi"), "repeated-anchors", few_files=True)
     kinds = found.groupBy("gram", "ctx").agg(F.count("*").alias("n"), F.min(F.struct("row", "start", "span", "place")).alias("one"))
-    kinds = saved(kinds, "contexts")
+    kinds = saved(kinds, "contexts", few_files=True)
     grams = kinds.groupBy("gram").agg(F.count("*").alias("kinds")).filter("kinds > 1")
     wanted = kinds.join(grams, "gram").select("gram", "kinds", (F.col("n") == 1).alias("single"), "one.*")
     per_row = wanted.groupBy("row").agg(F.collect_list(F.struct("gram", "kinds", "single", "start", "span", "place")).alias("w"))
@@ -357,7 +360,7 @@ def repeated_spans(docs: DataFrame, length: int = 200) -> DataFrame:
 
     # identical rows share their key: one of them is enough
     contexts = docs.join(per_row, "row").select("row", "text", "w").mapInArrow(cut, "gram long, kinds long, single boolean, start int, place short, anchor int, row long, bytes binary").dropDuplicates(["gram", "row", "start"])
-    contexts = saved(contexts, "context-bytes")
+    contexts = saved(contexts, "context-bytes", few_files=True)
     repeated = kinds.filter("n > 1").select("gram", "ctx")
     whole = found.join(repeated, ["gram", "ctx"], "left_semi").select("row", "start", (F.col("start") + F.col("span")).alias("stop"))
     return whole.unionAll(_spans(contexts, length))
@@ -377,7 +380,7 @@ def remove_repeats(docs: DataFrame, length: int = 200) -> DataFrame:
     """doc_id, n_bytes, n_removed, n_spans, kept_sha256 and ``kept`` (the bytes that remain) of every row of ``docs``."""
     docs = docs.select("doc_id", "text").withColumn("row", F.xxhash64("doc_id", "text"))
     # saved, so that the joins that found the spans are off the disks before texts are dealt to them
-    spans = saved(repeated_spans(docs.select("row", "text"), length), "spans").groupBy("row").agg(F.collect_list("start").alias("starts"), F.collect_list("stop").alias("stops"))
+    spans = saved(repeated_spans(docs.select("row", "text"), length), "spans", few_files=True).groupBy("row").agg(F.collect_list("start").alias("starts"), F.collect_list("stop").alias("stops"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:

@@ -41,11 +41,11 @@ def saved(df: DataFrame, label: str, few_files: bool = False) -> DataFrame:
     """Writes ``df`` as Parquet into the shared folder and reads it back: lineage is cut, and a lost
     executor costs no recomputation of what lies before.  The shuffles behind it are not needed after that.
 
-    ``few_files``: for narrow tables out of many partitions, one file a core of the cluster."""
+    ``few_files``: for narrow tables out of many small partitions, an eighth as many files, but one a core or more."""
     spark = df.sparkSession
     path = f"{checkpoint_root(spark)}/treeloom-{label}-{uuid.uuid4().hex}"
     if few_files:
-        df = df.repartition(spark.sparkContext.defaultParallelism)
+        df = df.repartition(max(spark.sparkContext.defaultParallelism, int(spark.conf.get("spark.sql.shuffle.partitions")) // 8))
     with shuffles_removed(spark):
         df.write.parquet(path)
     return spark.read.schema(df.schema).parquet(path)
