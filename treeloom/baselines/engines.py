@@ -15,7 +15,7 @@ from treeloom.engine.columnar import KEY, string_values, test_condition
 from treeloom.sources.trees import Tree
 from treeloom.text.plain import text_condition
 from treeloom.tree.encode import Node, flatten
-from treeloom.xpath.ast import And, Exists, Filter, Not, Or, Path, ValuePred
+from treeloom.xpath.ast import And, Filter, Not, Or, Path, ValuePred
 from treeloom.xpath.parser import parse
 
 
