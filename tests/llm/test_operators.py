@@ -379,4 +379,19 @@ def test_estimates_follow_the_sets():
 def test_components_of_chains_and_stars(spark):
     links = [(i, i + 1) for i in range(0, 40)] + [(100, 100 + i) for i in range(1, 9)] + [(300, 200)]
     got = {r["node"]: r["label"] for r in near.components(spark.createDataFrame(links, "u long, w long")).collect()}
+    rng = random.Random(40)
+    for n, m in ((30, 25), (60, 45), (200, 190)):
+        edges = [(rng.randrange(n), rng.randrange(n)) for _ in range(m)]
+        up = list(range(n))
+
+        def find(x: int) -> int:
+            while up[x] != x:
+                x = up[x]
+            return x
+
+        for u, w in edges:
+            a, b = sorted((find(u), find(w)))
+            up[b] = a
+        found = {r["node"]: r["label"] for r in near.components(spark.createDataFrame(edges, "u long, w long")).collect()}
+        assert found == {x: find(x) for e in edges if e[0] != e[1] for x in e}
     assert all(got[i] == 0 for i in range(41)) and all(got[100 + i] == 100 for i in range(9)) and got[200] == got[300] == 200

@@ -271,7 +271,7 @@ def confirmed(pairs: DataFrame, texts: DataFrame, k: int, percent: int) -> DataF
 def components(links: DataFrame, max_rounds: int = 60) -> DataFrame:
     """node, label (smallest id of its component) of every node of ``links(u, w)``; alternating star contraction.
 
-    It ends when every edge leads to a node that leads nowhere: the edges are then stars around the labels.
+    It ends when every node leads to one other, which leads nowhere: the edges are then stars around the labels.
     """
     edges = links.select(F.greatest("u", "w").alias("a"), F.least("u", "w").alias("b")).filter("a <> b")
     for _ in range(max_rounds):
@@ -281,7 +281,9 @@ def components(links: DataFrame, max_rounds: int = 60) -> DataFrame:
         low = large.groupBy("a").agg(F.min("b").alias("m"))
         small = large.join(low, "a").select(F.explode(F.array(F.struct("a", F.col("m").alias("b")), F.struct(F.col("b").alias("a"), F.col("m").alias("b")))).alias("x")).select("x.*").filter("a <> b").distinct()
         edges = saved(small, "edges", few_files=True)
-        if edges.select(F.col("b").alias("a")).join(edges.select("a"), "a", "left_semi").isEmpty():
+        forked = edges.groupBy("a").agg(F.min("b").alias("lo"), F.max("b").alias("hi")).filter("lo < hi").select("a")
+        onward = edges.select(F.col("b").alias("a")).join(edges.select("a"), "a", "left_semi")
+        if forked.unionAll(onward).isEmpty():
             break
     return edges.select(F.col("a").alias("node"), F.col("b").alias("label")).unionAll(edges.select(F.col("b").alias("node"), F.col("b").alias("label")).distinct())
 
@@ -299,22 +301,22 @@ def near_duplicates(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame
     classes = fine.groupBy("digest").agg(F.min("doc_id").alias("rep"), F.count("*").alias("c")).filter("c > 1").select("digest", "rep")
     # a class counts by its representative alone; ids that are repeated stay one node
     reps = saved(
-        fine.join(classes, "digest", "left").filter("rep is null or rep = doc_id").groupBy("doc_id", "n_shingles", "digest").agg(F.first("full").alias("full")).drop("digest"), "reps"
+        fine.join(classes, "digest", "left").filter("rep is null or rep = doc_id").groupBy("doc_id", "n_shingles", "digest").agg(F.first("full").alias("full")).drop("digest"), "reps", few_files=True
     )
     bands = _bands(reps)
     full = bands.groupBy("key").agg(F.min("id").alias("lead"), F.max("id").alias("last")).filter("lead < last")
-    members = saved(bands.join(full, "key").select("key", "band", "id", "lead"), "members")
+    members = saved(bands.join(full, "key").select("key", "band", "id", "lead"), "members", few_files=True)
     star = members.filter("id <> lead").select(F.col("lead").alias("u"), F.col("id").alias("w")).distinct()
     in_pairs = members.select(F.col("id").alias("doc_id")).distinct()
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").join(in_pairs, "doc_id", "left_semi")
     # a repeated id stands for the set that represents it
-    texts = saved(sketches(texts, k).dropDuplicates(["doc_id"]), "texts")
+    texts = saved(sketches(texts, k).dropDuplicates(["doc_id"]), "texts", few_files=True)
     threshold = percent / 100
     links = saved(confirmed(likely_pairs(star, texts, threshold), texts, k, percent), "links", few_files=True)
     label = components(links)
     apart = members.select("key", "band", "id").join(label.withColumnRenamed("node", "id"), "id", "left").withColumn("label", F.coalesce("label", "id"))
     mixed = apart.groupBy("key").agg(F.min("label").alias("lo"), F.max("label").alias("hi")).filter("lo < hi").select("key")
-    mixed = saved(apart.join(mixed, "key", "left_semi"), "mixed")
+    mixed = saved(apart.join(mixed, "key", "left_semi"), "mixed", few_files=True)
     across = pairs_across(mixed, texts, threshold)
     more = saved(confirmed(across.join(star, ["u", "w"], "left_anti"), texts, k, percent), "links", few_files=True)
     label = components(links.unionAll(more))
