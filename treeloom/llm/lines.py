@@ -77,7 +77,7 @@ def dropped_lines(docs: DataFrame, min_docs: int) -> DataFrame:
     lines = saved(template_lines(docs), "lines")
     leaves = lines.groupBy("leaf").agg(F.count("*").alias("n")).filter(F.col("n") >= min_docs).select("leaf")
     rows = lines.join(leaves, "leaf", "left_semi").select("row", "doc_id", "line", F.explode("templates").alias("t"))
-    rows = saved(rows, "templates")
+    rows = saved(rows, "templates", few_files=True)
     first = F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "row"))
     docs_of = rows.groupBy("t", "row").agg(F.min("doc_id").alias("doc_id"))
     recurring = docs_of.groupBy("t").agg(F.count("*").alias("n"), first.alias("first")).filter(F.col("n") >= min_docs).select("t", F.col("first.row").alias("keeper"))
