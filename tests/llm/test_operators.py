@@ -376,6 +376,27 @@ def test_estimates_follow_the_sets():
     assert near.expected_collisions(np.array([500]), np.array([500]))[0] < 1
 
 
+def test_short_sets_at_the_threshold_share_a_band():
+    rng = np.random.default_rng(17)
+    for shared, union in ((4, 5), (5, 6), (6, 7), (8, 10), (12, 15)):
+        for _ in range(500):
+            u = rng.integers(0, 2**64, union, dtype=np.uint64)
+            cut = shared + (union - shared) // 2
+            a, b = np.sort(u[:cut]), np.sort(np.concatenate([u[:shared], u[cut:]]))
+            bands = [near.borrowed(near.registers(x), x).view(np.uint64) for x in (a, b)]
+            assert (bands[0] == bands[1]).any()
+
+
+def test_short_texts_are_linked_like_by_brute_force(spark):
+    rng = random.Random(18)
+    texts = []
+    for _ in range(300):
+        w = prose(rng, rng.randint(5, 13)).split()
+        texts += [" ".join(w), " ".join([*w, rng.choice(WORDS)])]
+    got = {r["doc_id"]: (r["n_shingles"], r["component_id"]) for r in near.near_duplicates(docs_of(spark, texts), 2).collect()}
+    assert [got[i] for i in range(len(texts))] == components_by_definition(texts, 2, 80)
+
+
 def test_components_of_chains_and_stars(spark):
     links = [(i, i + 1) for i in range(0, 40)] + [(100, 100 + i) for i in range(1, 9)] + [(300, 200)]
     got = {r["node"]: r["label"] for r in near.components(spark.createDataFrame(links, "u long, w long")).collect()}

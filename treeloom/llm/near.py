@@ -2,8 +2,8 @@
 
 A document's set holds the distinct k-word shingles of its whole text.  One 64-bit hash a shingle falls, by its leading
 bits, into one of ``M`` buckets; a bucket keeps the leading-zero count of its least remainder and the mantissa bits
-behind it, in 16 bits (0: empty).  Empty buckets borrow from a fixed sequence of others, so that a band never
-stands for one common shingle of a short text.  Bands of compressed registers give candidates.  Of those, pairs go whose
+behind it, in 16 bits (0: empty).  Empty buckets borrow from a fixed sequence of others and, if all are empty, take a hash of
+their own over the shingles, so that a band never stands for one common shingle of a short text.  Bands of compressed registers give candidates.  Of those, pairs go whose
 own registers differ in more places than sets at the threshold can, and pairs that the collision-corrected
 estimate puts far below the threshold; the rest are confirmed on the full sets.
 
@@ -13,7 +13,7 @@ Then, with the components of those links, members of one bucket that are still i
 compared by their registers where the bucket lies, block against block, and only pairs that can reach the threshold come
 out, so that no link between components is lost and no pair within one is formed.
 
-With ``BANDS`` bands of ``ROWS`` registers a pair at the threshold escapes with probability (1 - 0.8^4)^32 < 1e-7.
+With ``BANDS`` bands of ``ROWS`` independent slots a pair at the threshold escapes with probability (1 - 0.8^4)^32 < 1e-7.
 
 Null and empty texts have an empty set and are linked with nothing.  Rows with a null id are returned unlinked;
 rows that repeat an id share its component.  An empty table gives no rows.
@@ -101,8 +101,14 @@ def registers(shingles: np.ndarray) -> np.ndarray:
 _BORROW = np.random.default_rng(20).integers(0, M, (64, BANDS * ROWS))
 
 
-def borrowed(regs: np.ndarray) -> np.ndarray:
-    """The registers of the bands, each empty one filled from the first filled one of its sequence."""
+#: One odd multiplier and one offset a slot, for what no attempt has filled.
+_FRESH = np.random.default_rng(21).integers(0, 1 << 63, (2, BANDS * ROWS), np.uint64) * np.uint64(2) + np.uint64(1)
+
+
+def borrowed(regs: np.ndarray, shingles: np.ndarray) -> np.ndarray:
+    """The registers of the bands, each empty one filled from the first filled one of its sequence.
+
+    A slot that finds none takes the least of its own hash of the shingles, so that no two slots fall back on one register."""
     out = regs[: BANDS * ROWS].copy()
     empty = np.nonzero(out == 0)[0]
     for look in _BORROW:
@@ -110,8 +116,9 @@ def borrowed(regs: np.ndarray) -> np.ndarray:
             return out
         out[empty] = regs[look[empty]]
         empty = empty[out[empty] == 0]
-    filled = np.nonzero(regs)[0]
-    out[empty] = regs[filled[np.searchsorted(filled, empty) % len(filled)]]
+    if len(empty) and len(shingles):
+        least = _finish(shingles * _FRESH[0, empty, None] + _FRESH[1, empty, None]).min(axis=1)
+        out[empty] = np.maximum(least & np.uint64(0xFFFF), np.uint64(1)).astype(np.uint16)
     return out
 
 
@@ -147,7 +154,7 @@ def signatures(docs: DataFrame, k: int) -> DataFrame:
                 s = shingler(text.as_py())
                 n.append(len(s))
                 digest.append(xxhash.xxh3_128_digest(s.tobytes()) if len(s) else None)
-                full.append(borrowed(registers(s)).tobytes() if len(s) else None)
+                full.append(borrowed(registers(s), s).tobytes() if len(s) else None)
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(n, pa.int64()), *(pa.array(c, pa.binary()) for c in (digest, full))], ["doc_id", "n_shingles", "digest", "full"])
 
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, "doc_id long, n_shingles long, digest binary, full binary")
@@ -161,7 +168,7 @@ def sketches(texts: DataFrame, k: int) -> DataFrame:
         for batch in batches:
             sets = [shingler(t.as_py()) for t in batch.column("text")]
             regs = [registers(s) for s in sets]
-            made = [pa.array([len(s) for s in sets], pa.int64()), pa.array([r.tobytes() for r in regs], pa.binary()), pa.array([borrowed(r).tobytes() if r.any() else None for r in regs], pa.binary())]
+            made = [pa.array([len(s) for s in sets], pa.int64()), pa.array([r.tobytes() for r in regs], pa.binary()), pa.array([borrowed(r, s).tobytes() if len(s) else None for r, s in zip(regs, sets)], pa.binary())]
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("text"), *made], ["doc_id", "text", "n_shingles", "regs", "full"])
 
     return texts.select("doc_id", "text").mapInArrow(run, "doc_id long, text string, n_shingles long, regs binary, full binary")
