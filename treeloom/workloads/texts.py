@@ -113,6 +113,12 @@ def extract_texts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return shards.extract(shards.build_shards(short, 64, "blocks", 1 << 20, 4)).select("text_id", F.md5("value").alias("digest"))
 
 
+@register("index_extract_all", "SELECT doc_id AS text_id, md5(text) AS digest FROM documents")
+def extract_all(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Every whole text read back from the index of all documents, compared by digest."""
+    return shards.extract(shards_of(spark, sf_dir)).select("text_id", F.md5("value").alias("digest"))
+
+
 @register("index_merge", _per_pattern(f"{_OCC}, {_TXT}", _RARE))
 def merged_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
     return shards.counts(shards.compact(shards_of(spark, sf_dir)), _RARE)
