@@ -79,6 +79,16 @@ def markup_files(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.read.text(path).filter(F.xpath_string("value", F.lit("/member/label")) != "").agg(F.count("*").alias("n"))
 
 
+@register("source_markup_files_all", "SELECT count(*)::BIGINT AS n FROM customer WHERE c_custkey % 4 = 0")
+def markup_files_all(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """All members without persona written as text files, read again, and those with a label counted."""
+    tree = open_tree(spark, sf_dir, "market")
+    xml = subtrees(tree, Columnar(tree).select("/market/members/member[not(persona)]"))
+    path = f"{shared_root(spark)}/treeloom-markup-{uuid.uuid4().hex}"
+    xml.select("xml").write.text(path)
+    return spark.read.text(path).filter(F.xpath_string("value", F.lit("/member/label")) != "").agg(F.count("*").alias("n"))
+
+
 @register("xml_functions", "SELECT doc_id AS doc, (1992 + doc_id % 7)::VARCHAR AS yr FROM documents WHERE lang = 'es'")
 def xml_functions(spark: SparkSession, sf_dir: str) -> DataFrame:
     tree = open_tree(spark, sf_dir, "citations")
