@@ -188,6 +188,24 @@ def pointer_levels(nodes: DataFrame) -> DataFrame:
     return out
 
 
+def pointer_all_levels(nodes: DataFrame, folder: str) -> DataFrame:
+    """depth, n: as ``pointer_levels``, but each level is written to ``folder`` and joined with once, until one is empty.
+
+    The plan of a level does not hold those before it, so a chain of hundreds of levels can be walked."""
+    spark = nodes.sparkSession
+    edges = nodes.select("doc", "pre", "parent")
+    level, out = edges.filter("parent = 0").select("doc", "pre"), []
+    while True:
+        path = f"{folder}/{len(out) + 1}"
+        level.write.parquet(path)
+        level = spark.read.schema("doc long, pre long").parquet(path)
+        n = level.count()
+        if not n:
+            return spark.createDataFrame(out, "depth int, n long")
+        out.append((len(out) + 1, n))
+        level = edges.join(level.select("doc", F.col("pre").alias("parent")), ["doc", "parent"]).select("doc", "pre")
+
+
 def recurse_count(nodes: DataFrame) -> DataFrame:
     """n: elements counted by a walk over first children and next siblings of each document."""
 
