@@ -416,3 +416,32 @@ def test_components_of_chains_and_stars(spark):
         found = {r["node"]: r["label"] for r in near.components(spark.createDataFrame(edges, "u long, w long")).collect()}
         assert found == {x: find(x) for e in edges if e[0] != e[1] for x in e}
     assert all(got[i] == 0 for i in range(41)) and all(got[100 + i] == 100 for i in range(9)) and got[200] == got[300] == 200
+
+
+def test_repeated_ids_are_one_document(spark):
+    a, b = prose(random.Random(50), 60), prose(random.Random(51), 60)
+    rows = [(1, a), (1, b), (2, a + " x"), (3, b + " y"), (9, None), (None, prose(random.Random(52), 60))]
+    docs = spark.createDataFrame([(i, t, "en", "s", 0) for i, t in rows], "doc_id long, text string, lang string, source string, n_chars long").repartition(3)
+    got = sorted(tuple(r) for r in near.near_duplicates(docs).collect() if r["doc_id"] is not None)
+    assert got == [(1, 56, 1, True), (1, 56, 1, True), (2, 57, 1, False), (3, 57, 1, False), (9, 0, 9, True)]
+    (alone,) = [tuple(r) for r in near.near_duplicates(docs).collect() if r["doc_id"] is None]
+    assert alone == (None, 56, None, True)
+
+
+def test_one_row_of_a_group_stays(spark):
+    a, b = prose(random.Random(53), 60), prose(random.Random(54), 60)
+    rows = [(1, a), (1, a), (2, a + " x"), (None, b), (None, b), (7, ""), (7, ""), (8, None), (4, b + " z")]
+    docs = spark.createDataFrame([(i, t, "en", "s", 0) for i, t in rows], "doc_id long, text string, lang string, source string, n_chars long").repartition(3)
+    assert sorted(r["doc_id"] for r in near.drop_near_duplicates(docs).collect()) == [1, 4, 7, 7, 8]
+    named = docs.withColumnRenamed("doc_id", "D").select(F.col("D").cast("string").alias("doc_id"), "text", F.lit(1).alias("R1"), F.lit(2).alias("r2"), F.lit(3).alias("node"))
+    out = near.drop_near_duplicates(named)
+    assert out.columns == ["doc_id", "text", "R1", "r2", "node"] and sorted(r["doc_id"] for r in out.collect()) == ["1", "4", "7", "7", "8"]
+
+
+def test_a_hot_bucket_of_texts_of_many_sizes(spark, monkeypatch):
+    monkeypatch.setattr(near, "BLOCK_MEMBERS", 4)
+    rng = random.Random(55)
+    words = prose(rng, 400).split()
+    texts = [" ".join(words[: rng.randint(8, 400)]) for _ in range(60)]
+    got = {r["doc_id"]: (r["n_shingles"], r["component_id"]) for r in near.near_duplicates(docs_of(spark, texts), 2).collect()}
+    assert [got[i] for i in range(len(texts))] == components_by_definition(texts, 2, 80)

@@ -7,16 +7,18 @@ their own over the shingles, so that a band never stands for one common shingle
 own registers differ in more places than sets at the threshold can, and pairs that the collision-corrected
 estimate puts far below the threshold; the rest are confirmed on the full sets.
 
-Equal sets are one class, represented by its smallest id, before any pair is formed.  Pairs are formed in two steps.
-First each band bucket ties its members to its smallest id, which is linear in the rows whatever the size of a bucket.
+Equal sets are one class, a node with a number of its own, before any pair is formed.  Pairs are formed in two steps.
+First each band bucket ties its members to its least node, which is linear in the rows whatever the size of a bucket.
 Then, with the components of those links, members of one bucket that are still in different components are
 compared by their registers where the bucket lies, block against block, and only pairs that can reach the threshold come
-out, so that no link between components is lost and no pair within one is formed.
+out, so that no link between components is lost and no pair within one is formed.  In buckets of several blocks only members
+of neighbouring size classes meet, since sets at the threshold differ in size by less than one class.
 
 With ``BANDS`` bands of ``ROWS`` independent slots a pair at the threshold escapes with probability (1 - 0.8^4)^32 < 1e-7.
 
-Null and empty texts have an empty set and are linked with nothing.  Rows with a null id are returned unlinked;
-rows that repeat an id share its component.  An empty table gives no rows.
+Rows without words have an empty set and are linked with nothing.  Rows that share an id are one document and share its
+component, whatever their texts.  A null id counts as larger than all others; a component of such rows alone has a null id.
+Ids may be of any type that sorts.  An empty table gives no rows.
 """
 
 from __future__ import annotations
@@ -29,7 +31,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from treeloom.llm.store import saved
+from treeloom.llm.store import discard, fresh, keyed_join, row_identity, saved
 
 BANDS, ROWS = 32, 4
 BUCKET_BITS = 9
@@ -38,8 +40,8 @@ M = 1 << BUCKET_BITS
 BLOCK_MEMBERS = 1024
 REST = 64 - BUCKET_BITS
 MANTISSA = 10
-#: Estimates this far below the threshold end a candidate: five standard deviations at 512 registers.
-MARGIN = 0.09
+#: Estimates so many standard deviations below the threshold end a candidate: fewer than one in 10^11 at the threshold.
+SIGMAS = 7
 _WORDS_CACHED = 300_000
 
 
@@ -144,7 +146,7 @@ def estimate(r1: np.ndarray, r2: np.ndarray, n1: np.ndarray, n2: np.ndarray) ->
 
 
 def signatures(docs: DataFrame, k: int) -> DataFrame:
-    """doc_id, n_shingles, digest of the set (null if empty) and the registers of its bands."""
+    """``docs(doc_id, r1, r2, text)`` with n_shingles, digest of the set (null if empty) and the registers of its bands for the text."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         shingler = Shingler(k)
@@ -155,13 +157,15 @@ def signatures(docs: DataFrame, k: int) -> DataFrame:
                 n.append(len(s))
                 digest.append(xxhash.xxh3_128_digest(s.tobytes()) if len(s) else None)
                 full.append(borrowed(registers(s), s).tobytes() if len(s) else None)
-            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(n, pa.int64()), *(pa.array(c, pa.binary()) for c in (digest, full))], ["doc_id", "n_shingles", "digest", "full"])
+            made = [pa.array(n, pa.int64()), pa.array(digest, pa.binary()), pa.array(full, pa.binary())]
+            yield pa.RecordBatch.from_arrays([*(batch.column(c) for c in ("doc_id", "r1", "r2")), *made], ["doc_id", "r1", "r2", "n_shingles", "digest", "full"])
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, "doc_id long, n_shingles long, digest binary, full binary")
+    kind = docs.schema["doc_id"].dataType.simpleString()
+    return docs.select("doc_id", "r1", "r2", "text").mapInArrow(run, f"doc_id {kind}, r1 long, r2 long, n_shingles long, digest binary, full binary")
 
 
 def sketches(texts: DataFrame, k: int) -> DataFrame:
-    """doc_id, text, n_shingles, all registers and those of the bands."""
+    """node, text, n_shingles, all registers and those of the bands of ``texts(node, text)``."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         shingler = Shingler(k)
@@ -169,9 +173,9 @@ def sketches(texts: DataFrame, k: int) -> DataFrame:
             sets = [shingler(t.as_py()) for t in batch.column("text")]
             regs = [registers(s) for s in sets]
             made = [pa.array([len(s) for s in sets], pa.int64()), pa.array([r.tobytes() for r in regs], pa.binary()), pa.array([borrowed(r, s).tobytes() if len(s) else None for r, s in zip(regs, sets)], pa.binary())]
-            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("text"), *made], ["doc_id", "text", "n_shingles", "regs", "full"])
+            yield pa.RecordBatch.from_arrays([batch.column("node"), batch.column("text"), *made], ["node", "text", "n_shingles", "regs", "full"])
 
-    return texts.select("doc_id", "text").mapInArrow(run, "doc_id long, text string, n_shingles long, regs binary, full binary")
+    return texts.select("node", "text").mapInArrow(run, "node long, text string, n_shingles long, regs binary, full binary")
 
 
 def possible(r1: np.ndarray, r2: np.ndarray, n1: np.ndarray, n2: np.ndarray, threshold: float) -> np.ndarray:
@@ -180,9 +184,9 @@ def possible(r1: np.ndarray, r2: np.ndarray, n1: np.ndarray, n2: np.ndarray, thr
     fits = (r1 != r2).sum(axis=1) <= (n1 + n2) * (1 - threshold) / (1 + threshold) + 1e-9
     fits &= np.minimum(n1, n2) + 1e-9 >= threshold * np.maximum(n1, n2)
     at = np.nonzero(fits)[0]
-    # few registers in use: the estimate is coarse, the full sets decide
-    few = ((r1[at] > 0) | (r2[at] > 0)).sum(axis=1) < M // 4
-    fits[at] = few | (estimate(r1[at], r2[at], n1[at], n2[at]) >= threshold - MARGIN)
+    # the fewer registers are in use, the coarser the estimate
+    used = np.maximum(((r1[at] > 0) | (r2[at] > 0)).sum(axis=1), 1)
+    fits[at] = estimate(r1[at], r2[at], n1[at], n2[at]) >= threshold - SIGMAS * np.sqrt(threshold * (1 - threshold) / used)
     return fits
 
 
@@ -192,8 +196,8 @@ def _rows(column: pa.Array) -> np.ndarray:
 
 def likely_pairs(pairs: DataFrame, known: DataFrame, threshold: float) -> DataFrame:
     """The (u, w) that may reach the threshold by the registers in ``known``."""
-    a = known.select(F.col("doc_id").alias("u"), F.col("n_shingles").alias("nu"), F.col("regs").alias("ru"))
-    b = known.select(F.col("doc_id").alias("w"), F.col("n_shingles").alias("nw"), F.col("regs").alias("rw"))
+    a = known.select(F.col("node").alias("u"), F.col("n_shingles").alias("nu"), F.col("regs").alias("ru"))
+    b = known.select(F.col("node").alias("w"), F.col("n_shingles").alias("nw"), F.col("regs").alias("rw"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -204,29 +208,45 @@ def likely_pairs(pairs: DataFrame, known: DataFrame, threshold: float) -> DataFr
     return pairs.join(b, "w").join(a, "u").select("u", "w", "nu", "nw", "ru", "rw").mapInArrow(run, "u long, w long")
 
 
+def dealt_blocks(apart: DataFrame, threshold: float) -> DataFrame:
+    """Rows of ``apart(key, band, id, label, n_shingles)`` once for each pair of blocks (i, j) of a group that they are in.
+
+    A bucket of one block is one group.  A larger one has a group for each size class, with the members of that class and, as
+    ``high``, those of the next: sets at the threshold differ by a factor of less than one class.
+    """
+    buckets = apart.groupBy("key").agg(F.count("*").alias("members"))
+    size_class = F.floor(F.log(F.col("n_shingles").cast("double")) / -float(np.log(threshold))).cast("int")
+    low, high = F.struct(F.col("c").alias("grp"), F.lit(False).alias("high")), F.struct((F.col("c") - 1).alias("grp"), F.lit(True).alias("high"))
+    whole = F.struct(F.lit(-2).alias("grp"), F.lit(False).alias("high"))
+    rows = apart.join(buckets, "key").withColumn("c", size_class)
+    rows = rows.withColumn("x", F.explode(F.when(F.col("members") > BLOCK_MEMBERS, F.array(low, high)).otherwise(F.array(whole)))).select("key", "band", "x.grp", "x.high", "id", "label")
+    groups = rows.groupBy("key", "grp").agg(F.ceil(F.count("*") / BLOCK_MEMBERS).cast("int").alias("nb"), F.count_if(~F.col("high")).alias("lows")).filter("lows > 0").drop("lows")
+    rows = rows.join(groups, ["key", "grp"]).withColumn("b", F.pmod(F.xxhash64("id"), F.col("nb")).cast("int"))
+    # block b meets every block: as the first of the two up from b, as the second below it
+    rows = rows.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("nb") - 1)))
+    return rows.select("key", "band", "grp", "high", F.least("b", "other").alias("i"), F.greatest("b", "other").alias("j"), "b", "id", "label")
+
+
 def pairs_across(apart: DataFrame, known: DataFrame, threshold: float) -> DataFrame:
-    """The (u, w), u < w, of one bucket of ``apart(key, band, id, label)`` but of different labels that may reach the threshold.
+    """The (u, w), u < w, of one bucket of ``apart(key, band, id, label, n_shingles)`` but of different labels that may reach the threshold.
 
     A bucket of many members is dealt as pairs of blocks, so that a task compares at most ``BLOCK_MEMBERS`` with as many.
     A pair comes out of the first band that it shares, once.
     """
-    blocks = apart.groupBy("key").agg(F.ceil(F.count("*") / BLOCK_MEMBERS).cast("int").alias("nb"))
-    rows = apart.join(blocks, "key").withColumn("b", F.pmod(F.xxhash64("id"), F.col("nb")).cast("int"))
-    # block b meets every block: as the first of the two up from b, as the second below it
-    rows = rows.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("nb") - 1)))
-    rows = rows.select("key", "band", F.least("b", "other").alias("i"), F.greatest("b", "other").alias("j"), "b", "id", "label")
-    sketched = rows.join(known.select(F.col("doc_id").alias("id"), "n_shingles", "regs", "full"), "id")
+    rows = dealt_blocks(apart, threshold)
+    sketched = rows.join(known.select(F.col("node").alias("id"), "n_shingles", "regs", "full"), "id")
 
     def compare(t: pa.Table) -> Iterator[pa.RecordBatch]:
         ids, label, n, b = (t.column(c).to_numpy() for c in ("id", "label", "n_shingles", "b"))
+        high = t.column("high").to_numpy(zero_copy_only=False)
         regs = _rows(t.column("regs").combine_chunks())
         bands = np.frombuffer(b"".join(t.column("full").to_pylist()), np.uint64).reshape(-1, BANDS)
         band = t.column("band")[0].as_py()
         same_block = t.column("i")[0].as_py() == t.column("j")[0].as_py()
         for x in range(len(ids)):
-            other = (label != label[x]) & (ids > ids[x])
-            if not same_block:
-                other = (label != label[x]) & (b > b[x])
+            other = (label != label[x]) & ((ids > ids[x]) if same_block else (b > b[x]))
+            if high[x]:
+                other &= ~high
             y = np.nonzero(other & (np.minimum(n, n[x]) + 1e-9 >= threshold * np.maximum(n, n[x])))[0]
             if band and len(y):
                 y = y[~(bands[y, :band] == bands[x, :band]).any(axis=1)]
@@ -242,22 +262,22 @@ def pairs_across(apart: DataFrame, known: DataFrame, threshold: float) -> DataFr
                 continue
             t = pa.Table.from_batches([batch])
             t = t if held_ is None else pa.concat_tables([held_, t])
-            key, i, j = (t.column(c).to_numpy() for c in ("key", "i", "j"))
-            cuts = [0, *(np.nonzero((key[1:] != key[:-1]) | (i[1:] != i[:-1]) | (j[1:] != j[:-1]))[0] + 1).tolist()]
+            unit = np.stack([t.column(c).to_numpy() for c in ("key", "grp", "i", "j")])
+            cuts = [0, *(np.nonzero((unit[:, 1:] != unit[:, :-1]).any(axis=0))[0] + 1).tolist()]
             for s, e in zip(cuts, cuts[1:]):
                 yield from compare(t.slice(s, e - s))
             held_ = t.slice(cuts[-1])
         if held_ is not None:
             yield from compare(held_)
 
-    dealt = sketched.repartition("key", "i", "j").sortWithinPartitions("key", "i", "j")
-    return dealt.select("key", "band", "i", "j", "b", "id", "label", "n_shingles", "regs", "full").mapInArrow(run, "u long, w long").distinct()
+    dealt = sketched.repartition("key", "grp", "i", "j").sortWithinPartitions("key", "grp", "i", "j")
+    return dealt.select("key", "band", "grp", "high", "i", "j", "b", "id", "label", "n_shingles", "regs", "full").mapInArrow(run, "u long, w long").distinct()
 
 
 def confirmed(pairs: DataFrame, texts: DataFrame, k: int, percent: int) -> DataFrame:
     """The (u, w) with 100 * shared >= percent * union on the full shingle sets."""
-    a = texts.select(F.col("doc_id").alias("u"), F.col("text").alias("tu"))
-    b = texts.select(F.col("doc_id").alias("w"), F.col("text").alias("tw"))
+    a = texts.select(F.col("node").alias("u"), F.col("text").alias("tu"))
+    b = texts.select(F.col("node").alias("w"), F.col("text").alias("tw"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         shingler = Shingler(k)
@@ -275,19 +295,23 @@ def confirmed(pairs: DataFrame, texts: DataFrame, k: int, percent: int) -> DataF
     return pairs.join(b, "w").join(a, "u").select("u", "w", "tu", "tw").mapInArrow(run, "u long, w long")
 
 
-def components(links: DataFrame, max_rounds: int = 60) -> DataFrame:
+def components(links: DataFrame) -> DataFrame:
     """node, label (smallest id of its component) of every node of ``links(u, w)``; alternating star contraction.
 
     It ends when every node leads to one other, which leads nowhere: the edges are then stars around the labels.
     """
     edges = links.select(F.greatest("u", "w").alias("a"), F.least("u", "w").alias("b")).filter("a <> b")
-    for _ in range(max_rounds):
+    spent: DataFrame | None = None
+    while True:
         both = edges.unionAll(edges.select(F.col("b").alias("a"), F.col("a").alias("b")))
         least = both.groupBy("a").agg(F.min("b").alias("m")).select("a", F.least("a", "m").alias("m"))
         large = both.join(least, "a").filter("b > a").select(F.col("b").alias("a"), F.col("m").alias("b")).filter("a <> b").distinct()
         low = large.groupBy("a").agg(F.min("b").alias("m"))
         small = large.join(low, "a").select(F.explode(F.array(F.struct("a", F.col("m").alias("b")), F.struct(F.col("b").alias("a"), F.col("m").alias("b")))).alias("x")).select("x.*").filter("a <> b").distinct()
         edges = saved(small, "edges", few_files=True)
+        if spent is not None:
+            discard(spent)
+        spent = edges
         forked = edges.groupBy("a").agg(F.min("b").alias("lo"), F.max("b").alias("hi")).filter("lo < hi").select("a")
         onward = edges.select(F.col("b").alias("a")).join(edges.select("a"), "a", "left_semi")
         if forked.unionAll(onward).isEmpty():
@@ -298,45 +322,91 @@ def components(links: DataFrame, max_rounds: int = 60) -> DataFrame:
 def _bands(reps: DataFrame) -> DataFrame:
     width = 2 * ROWS
     slices = F.array(*[F.struct(F.substring("full", 1 + i * width, width).alias("s"), F.lit(i).alias("i")) for i in range(BANDS)])
-    return reps.select("doc_id", F.explode(slices).alias("x")).select(F.xxhash64("x.i", "x.s").alias("key"), F.col("x.i").alias("band"), F.col("doc_id").alias("id"))
+    return reps.select("node", F.explode(slices).alias("x")).select(F.xxhash64("x.i", "x.s").alias("key"), F.col("x.i").alias("band"), F.col("node").alias("id"))
 
 
-def near_duplicates(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame:
-    """doc_id, n_shingles, component_id (smallest id reachable over links), kept (doc_id = component_id)."""
-    sig = saved(signatures(docs, k), "signatures")
-    fine = sig.filter("doc_id is not null and digest is not null")
-    classes = fine.groupBy("digest").agg(F.min("doc_id").alias("rep"), F.count("*").alias("c")).filter("c > 1").select("digest", "rep")
-    # a class counts by its representative alone; ids that are repeated stay one node
-    reps = saved(
-        fine.join(classes, "digest", "left").filter("rep is null or rep = doc_id").groupBy("doc_id", "n_shingles", "digest").agg(F.first("full").alias("full")).drop("digest"), "reps", few_files=True
-    )
+def _same_id(fine: DataFrame, reps: DataFrame) -> DataFrame | None:
+    """Links (u, w) between the classes of the rows of one id; None if no id has two."""
+    ids = fine.filter("doc_id is not null").select("doc_id", "digest").distinct()
+    several = ids.groupBy("doc_id").agg(F.count("*").alias("c")).filter("c > 1").select("doc_id")
+    several = saved(ids.join(several, "doc_id", "left_semi"), "same-id", few_files=True)
+    if several.isEmpty():
+        return None
+    nodes = several.join(reps.select("digest", "node"), "digest")
+    least = nodes.groupBy("doc_id").agg(F.min("node").alias("u"))
+    return nodes.join(least, "doc_id").filter("u < node").select("u", F.col("node").alias("w")).distinct()
+
+
+def _linked_classes(docs: DataFrame, sig: DataFrame, fine: DataFrame, reps: DataFrame, k: int, percent: int) -> DataFrame:
+    """node, label: the component of every class that is linked with another."""
     bands = _bands(reps)
     full = bands.groupBy("key").agg(F.min("id").alias("lead"), F.max("id").alias("last")).filter("lead < last")
     members = saved(bands.join(full, "key").select("key", "band", "id", "lead"), "members", few_files=True)
     star = members.filter("id <> lead").select(F.col("lead").alias("u"), F.col("id").alias("w")).distinct()
-    in_pairs = members.select(F.col("id").alias("doc_id")).distinct()
-    texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").join(in_pairs, "doc_id", "left_semi")
-    # a repeated id stands for the set that represents it
-    texts = saved(sketches(texts, k).dropDuplicates(["doc_id"]), "texts", few_files=True)
+    in_pairs = reps.join(members.select(F.col("id").alias("node")).distinct(), "node").select("node", "one.r1", "one.r2")
+    texts = docs.select("r1", "r2", "text").join(in_pairs, ["r1", "r2"]).select("node", "text")
+    # rows that agree in id and text come several times: one is enough
+    texts = saved(sketches(texts, k).dropDuplicates(["node"]), "texts", few_files=True)
     threshold = percent / 100
-    links = saved(confirmed(likely_pairs(star, texts, threshold), texts, k, percent), "links", few_files=True)
+    links = confirmed(likely_pairs(star, texts, threshold), texts, k, percent)
+    same = _same_id(fine, reps)
+    links = saved(links if same is None else links.unionAll(same), "links", few_files=True)
     label = components(links)
     apart = members.select("key", "band", "id").join(label.withColumnRenamed("node", "id"), "id", "left").withColumn("label", F.coalesce("label", "id"))
     mixed = apart.groupBy("key").agg(F.min("label").alias("lo"), F.max("label").alias("hi")).filter("lo < hi").select("key")
-    mixed = saved(apart.join(mixed, "key", "left_semi"), "mixed", few_files=True)
+    sizes = texts.select(F.col("node").alias("id"), "n_shingles")
+    mixed = saved(apart.join(mixed, "key", "left_semi").join(sizes, "id"), "mixed", few_files=True)
     across = pairs_across(mixed, texts, threshold)
     more = saved(confirmed(across.join(star, ["u", "w"], "left_anti"), texts, k, percent), "links", few_files=True)
-    label = components(links.unionAll(more))
-    return (
-        sig.select("doc_id", "n_shingles", "digest").join(classes, "digest", "left")
-        .withColumn("node", F.coalesce("rep", "doc_id"))
-        .join(label, "node", "left")
-        .select("doc_id", "n_shingles", F.coalesce("label", "node").alias("component_id"))
-        .withColumn("kept", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True)))
-    )
+    discard(mixed, members, texts)
+    return saved(components(links.unionAll(more)), "labels", few_files=True)
+
+
+def linked_rows(docs: DataFrame, k: int, percent: int) -> DataFrame:
+    """r1, r2, doc_id, n_shingles, component (null without words) and component_id of every row of ``docs(doc_id, r1, r2, text)``."""
+    sig = saved(signatures(docs, k), "signatures")
+    fine = sig.filter("digest is not null")
+    one = F.min(F.struct("r1", "r2")).alias("one")
+    reps = fine.groupBy("digest").agg(F.min("doc_id").alias("least"), F.count("*").alias("n"), F.first("full").alias("full"), one)
+    # numbered as they are written: one number a class, whatever is computed again
+    reps = saved(reps.withColumn("node", F.monotonically_increasing_id()), "reps")
+    label = _linked_classes(docs, sig, fine, reps, k, percent)
+    named = label.join(reps.select("node", "least"), "node")
+    named = saved(named.groupBy("label").agg(F.min("least").alias("component_id"), F.count("*").alias("c")), "components", few_files=True)
+    own = keyed_join(label, named, ["label"], "c", label.count())
+    classes = reps.select("digest", "n", "node", "least").join(own, "node", "left")
+    # a class of its own has its least id; one that is linked the least of its component, null only if no row has an id
+    classes = classes.select("digest", "n", F.coalesce("label", "node").alias("component"), F.when(F.col("label").isNull(), F.col("least")).otherwise(F.col("component_id")).alias("component_id"))
+    classes = saved(classes, "classes")
+    rows = sig.select("digest", "r1", "r2", "doc_id", "n_shingles")
+    alone = rows.filter("digest is null").select("r1", "r2", "doc_id", "n_shingles", F.lit(None).cast("long").alias("component"), F.col("doc_id").alias("component_id"))
+    return keyed_join(rows.filter("digest is not null"), classes, ["digest"], "n", sig.count()).select(*alone.columns).unionByName(alone)
+
+
+def near_duplicates(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame:
+    """doc_id, n_shingles, component_id (smallest id reachable over links), kept (doc_id = component_id) of every row."""
+    r1, r2 = row_identity("doc_id", "text")
+    rows = linked_rows(docs.select("doc_id", r1.alias("r1"), r2.alias("r2"), "text"), k, percent)
+    return rows.select("doc_id", "n_shingles", "component_id", F.col("doc_id").eqNullSafe(F.col("component_id")).alias("kept"))
 
 
 def drop_near_duplicates(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame:
-    """One document of each group of near duplicates, all columns of ``docs``; rows with a null id stay."""
-    gone = near_duplicates(docs, k, percent).filter(~F.col("kept")).select("doc_id").distinct()
-    return docs.join(gone, "doc_id", "left_anti").select(*[F.col(f"`{c}`") for c in docs.columns])
+    """One row of each group of near duplicates, all columns of ``docs``: the one with the least id, of several the least by a
+    hash of id and text.  Rows without words all stay."""
+    columns = [F.col(f"`{c}`") for c in docs.columns]
+    n1, n2 = fresh(docs.columns, "r1", "r2")
+    r1, r2 = row_identity("doc_id", "text")
+    keyed = docs.select(*columns, r1.alias(n1), r2.alias(n2))
+    rows = saved(linked_rows(keyed.select("doc_id", F.col(n1).alias("r1"), F.col(n2).alias("r2"), "text"), k, percent), "rows").filter("component is not null")
+    keeper = F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "r1", "r2")).alias("k")
+    first = saved(rows.groupBy("component").agg(keeper, F.count("*").alias("n")).select("k.r1", "k.r2", "component", "n"), "keepers")
+    # equal rows: only these need their columns to be gathered, one row a key with sums before the shuffle
+    again = saved(rows.join(first.filter("n > 1"), ["r1", "r2"], "left_semi").groupBy("r1", "r2").agg(F.count("*").alias("n")).filter("n > 1"), "again", few_files=True)
+    gone = rows.select("r1", "r2").join(first, ["r1", "r2"], "left_anti").distinct()
+    to_own = lambda df: df.select(F.col("r1").alias(n1), F.col("r2").alias(n2))
+    kept = keyed.join(to_own(gone), [n1, n2], "left_anti")
+    if again.isEmpty():
+        return kept.select(*columns)
+    repeated = kept.join(to_own(again), [n1, n2], "left_semi")
+    single = repeated.groupBy(n1, n2).agg(F.min_by(F.struct(*columns), F.xxhash64(*columns)).alias("x")).select("x.*")
+    return kept.join(to_own(again), [n1, n2], "left_anti").select(*columns).unionAll(single)

@@ -7,18 +7,21 @@ import tempfile
 import uuid
 from collections.abc import Iterator
 from contextlib import contextmanager
+from weakref import WeakKeyDictionary
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 
 def checkpoint_root(spark: SparkSession) -> str:
-    """The shared folder of ``spark.checkpoint.dir``; a folder of our own only where none is set (tests)."""
+    """The shared folder of ``spark.checkpoint.dir``; a folder of our own only in a local session where none is set (tests)."""
     root = spark.conf.get("spark.checkpoint.dir", None)
     if root:
         return root.rstrip("/")
     sc = spark.sparkContext
     if not sc.getCheckpointDir():
+        if not sc.master.startswith("local"):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that driver and executors share")
         sc.setCheckpointDir(tempfile.mkdtemp(prefix="treeloom-checkpoint-"))
     return sc.getCheckpointDir().rstrip("/")
 
@@ -48,7 +51,54 @@ def saved(df: DataFrame, label: str, few_files: bool = False) -> DataFrame:
         df = df.repartition(max(spark.sparkContext.defaultParallelism, int(spark.conf.get("spark.sql.shuffle.partitions")) // 8))
     with shuffles_removed(spark):
         df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    out = spark.read.schema(df.schema).parquet(path)
+    _written[out] = path
+    return out
+
+
+#: Where the tables lie that ``saved`` has given and that are still in use.
+_written: WeakKeyDictionary[DataFrame, str] = WeakKeyDictionary()
+
+
+def discard(*tables: DataFrame) -> None:
+    """Deletes tables that ``saved`` gave, once everything that reads them is saved itself."""
+    for t in tables:
+        path = _written.pop(t, None)
+        if path is not None:
+            jvm = t.sparkSession._jvm.org.apache.hadoop.fs.Path(path)
+            jvm.getFileSystem(t.sparkSession._jsc.hadoopConfiguration()).delete(jvm, True)
+
+
+#: Keys that are broadcast as frequent ones, at most: each has more than this part of all rows.
+HOT_KEYS = 1 << 14
+
+
+def keyed_join(rows: DataFrame, keyed: DataFrame, on: list[str], n: str, total: int, how: str = "inner") -> DataFrame:
+    """``rows`` joined with ``keyed``, which has each key once and in ``n`` the number of rows that have it, of ``total``.
+
+    Keys with more than ``total / HOT_KEYS`` rows number fewer than ``HOT_KEYS``: these are broadcast, and their rows stay where they
+    lie.  The rest is shuffled, at most that many rows a key.  Both tables are read twice, so give saved ones."""
+    limit = total // HOT_KEYS
+    hot = F.broadcast(keyed.filter(F.col(n) > limit).drop(n))
+    cold = rows.join(F.broadcast(keyed.filter(F.col(n) > limit).select(*on)), on, "left_anti")
+    return rows.join(hot, on, how).unionByName(cold.join(keyed.filter(F.col(n) <= limit).drop(n), on, how))
+
+
+def fresh(columns: list[str], *names: str) -> list[str]:
+    """``names``, each lengthened until no column has it in any case."""
+    taken, out = {c.lower() for c in columns}, []
+    for name in names:
+        while name.lower() in taken:
+            name += "_"
+        taken.add(name.lower())
+        out.append(name)
+    return out
+
+
+def row_identity(*columns: str) -> list[Column]:
+    """Two 64-bit hashes with seeds of their own; together they tell rows apart by these columns."""
+    parts = [x for c in columns for x in (F.col(f"`{c}`").isNull(), F.col(f"`{c}`"))]  # a null alone would leave no trace
+    return [F.xxhash64(F.lit(seed), *parts) for seed in (1, 2)]
 
 
 def literal_table(spark: SparkSession, schema: str, rows: list[tuple]) -> DataFrame:
