@@ -6,8 +6,8 @@ window of ``length`` bytes belongs to the leftmost least gram in it; the windows
 its context.
 
 1. Each text yields its anchors with a hash of the gram and one of the whole context, both from its bytes.
-2. Contexts that occur twice or more are repeated throughout.  Counting them is an aggregation with map-side sums,
-   so the copies of a text never meet in one task.
+2. Contexts that occur twice or more are repeated throughout.  They are counted by gram and a 128-bit digest, with map-side
+   sums, so the copies of a text never meet in one task; joins with the counts treat frequent keys apart.
 3. Of anchors whose gram has several contexts, one occurrence of each context is fetched with its bytes.  Within a task
    the contexts of each gram are sorted twice, by what follows the anchor and by what precedes it, reversed, with a
    mergesort that compares suffixes by their longest common extension, found by binary search on prefix polynomial
@@ -17,8 +17,8 @@ its context.
    contexts are grouped by that instead; equal stretches collapse to one.  Cores with too many different
    stretches are split again, down to single windows, which need counting only.  So every group that is sorted is bounded.
 
-Null and shorter texts lose nothing.  Repeated rows repeat each other's bytes.  Rows are told apart by a hash of doc_id and
-text, so that null and repeated ids are fine.  An empty table gives no rows.
+Null and shorter texts lose nothing.  Repeated rows repeat each other's bytes.  Rows are told apart by 128 bits of doc_id and
+text (``row``, ``row2``), so that null and repeated ids are fine.  An empty table gives no rows.
 """
 
 from __future__ import annotations
@@ -33,7 +33,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from treeloom.llm.store import saved
+from treeloom.llm.store import discard, keyed_join, row_identity, saved
 
 GRAM = 32
 CHUNK = 1 << 20
@@ -120,26 +120,26 @@ def _encode(column: pa.Array) -> list[bytes]:
 
 
 def anchor_rows(docs: DataFrame, length: int) -> DataFrame:
-    """row, start and span of each anchor's context, the anchor's place in it, gram and context hash."""
+    """row, row2, start and span of each anchor's context, the anchor's place in it, gram and context digest (ctx, ctx2)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            rows, texts = batch.column("row").to_numpy(), _encode(batch.column("text"))
+            rows, rows2, texts = batch.column("row").to_numpy(), batch.column("row2").to_numpy(), _encode(batch.column("text"))
             for pieces in _pieces(texts, length):
                 joined = b"".join(p[2] for p in pieces)
                 bounds = np.cumsum([0, *(len(p[2]) for p in pieces)])
                 text, p1, p2, pos, gram = anchors(np.frombuffer(joined, np.uint8), bounds, length)
-                view, digest = memoryview(joined), xxhash.xxh3_64_intdigest
+                view, digest = memoryview(joined), xxhash.xxh3_128_digest
                 place = pos - p1
-                ctx = np.fromiter((digest(view[a:b], s) for a, b, s in zip(p1.tolist(), (p2 + length).tolist(), place.tolist())), np.uint64, len(p1))
+                ctx = np.frombuffer(b"".join([digest(view[a:b], s) for a, b, s in zip(p1.tolist(), (p2 + length).tolist(), place.tolist())]), np.int64).reshape(-1, 2)
                 own = np.array([p[0] for p in pieces])[text]
                 offset = np.array([p[1] for p in pieces])[text] - bounds[:-1][text]
                 yield pa.RecordBatch.from_arrays(
-                    [pa.array(rows[own]), pa.array((p1 + offset).astype(np.int32)), pa.array((p2 - p1 + length).astype(np.int16)), pa.array(place.astype(np.int16)), pa.array(gram.view(np.int64)), pa.array(ctx.view(np.int64))],
-                    ["row", "start", "span", "place", "gram", "ctx"],
+                    [pa.array(rows[own]), pa.array(rows2[own]), pa.array((p1 + offset).astype(np.int32)), pa.array((p2 - p1 + length).astype(np.int16)), pa.array(place.astype(np.int16)), pa.array(gram.view(np.int64)), pa.array(ctx[:, 0].copy()), pa.array(ctx[:, 1].copy())],
+                    ["row", "row2", "start", "span", "place", "gram", "ctx", "ctx2"],
                 )
 
-    return docs.select("row", "text").mapInArrow(run, "row long, start int, span short, place short, gram long, ctx long")
+    return docs.select("row", "row2", "text").mapInArrow(run, "row long, row2 long, start int, span short, place short, gram long, ctx long, ctx2 long")
 
 
 class Suffixes:
@@ -251,14 +251,14 @@ def repeated_windows(contexts: list[bytes], place: np.ndarray, group: np.ndarray
 
 
 def _sorted_spans(contexts: DataFrame, length: int) -> DataFrame:
-    """(row, start, stop) of repeated stretches in contexts (gram, row, start, place, single, bytes) that share a gram."""
+    """(row, row2, start, stop) of repeated stretches in contexts (gram, row, row2, start, place, single, bytes) that share a gram."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: pa.Table | None = None
 
         def work(t: pa.Table) -> pa.RecordBatch:
             place = t.column("place").to_numpy().astype(np.int64)
-            row, begin = t.column("row").to_numpy(), t.column("start").to_numpy().astype(np.int64)
+            row, row2, begin = t.column("row").to_numpy(), t.column("row2").to_numpy(), t.column("start").to_numpy().astype(np.int64)
             single = t.column("single").to_numpy()
             out: list[tuple[np.ndarray, np.ndarray]] = [(np.zeros(0, np.int64), np.zeros(0, np.int64))]
             for rows, x in repeated_windows(t.column("bytes").to_pylist(), place, t.column("gram").to_numpy(), length):
@@ -271,7 +271,7 @@ def _sorted_spans(contexts: DataFrame, length: int) -> DataFrame:
             new = np.append(True, (who[1:] != who[:-1]) | (at[1:] != at[:-1] + 1)) if len(who) else np.zeros(0, bool)
             head = np.nonzero(new)[0]
             tail = np.append(head[1:], len(who))[: len(head)] - 1
-            return pa.RecordBatch.from_arrays([pa.array(row[who[head]]), pa.array(at[head].astype(np.int32)), pa.array((at[tail] + length).astype(np.int32))], ["row", "start", "stop"])
+            return pa.RecordBatch.from_arrays([pa.array(row[who[head]]), pa.array(row2[who[head]]), pa.array(at[head].astype(np.int32)), pa.array((at[tail] + length).astype(np.int32))], ["row", "row2", "start", "stop"])
 
         for batch in batches:
             t = pa.Table.from_batches([batch]) if held is None else pa.concat_tables([held, pa.Table.from_batches([batch])])
@@ -285,7 +285,7 @@ def _sorted_spans(contexts: DataFrame, length: int) -> DataFrame:
         if held is not None and held.num_rows:
             yield work(held)
 
-    return contexts.select("gram", "row", "start", "place", "single", "bytes").mapInArrow(run, "row long, start int, stop int")
+    return contexts.select("gram", "row", "row2", "start", "place", "single", "bytes").mapInArrow(run, "row long, row2 long, start int, stop int")
 
 
 #: Window starts of one slice, level by level.
@@ -293,14 +293,14 @@ SLICES = (43, 11, 3, 1)
 
 
 def _sliced(contexts: DataFrame, length: int, width: int) -> DataFrame:
-    """The stretches of contexts (gram, row, start, place, anchor, single, bytes) that hold windows of one slice, keyed by the
+    """The stretches of contexts (gram, row, row2, start, place, anchor, single, bytes) that hold windows of one slice, keyed by the
     bytes that all windows of the slice share."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        digest = xxhash.xxh3_64_intdigest
+        digest, whole = xxhash.xxh3_64_intdigest, xxhash.xxh3_128_digest
         for batch in batches:
             out = []
-            for row, start, anchor, single, data in zip(*(batch.column(c).to_pylist() for c in ("row", "start", "anchor", "single", "bytes"))):
+            for row, row2, start, anchor, single, data in zip(*(batch.column(c).to_pylist() for c in ("row", "row2", "start", "anchor", "single", "bytes"))):
                 i = anchor - start
                 last = len(data) - length
                 # x: how far a window starts before the anchor; this context has the windows i - last to i
@@ -310,44 +310,46 @@ def _sliced(contexts: DataFrame, length: int, width: int) -> DataFrame:
                     core = data[max(0, i - low) : i - high + length]
                     place = i - low - a
                     piece = data[a : b + length]
-                    out.append((digest(core, s) - 2**63, digest(piece, place & 0xFFFF) - 2**63, row, start + a, place, anchor, single, piece))
-            cols = list(zip(*out)) if out else [[]] * 8
-            kinds = (pa.int64(), pa.int64(), pa.int64(), pa.int32(), pa.int16(), pa.int32(), pa.bool_(), pa.binary())
-            yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, kinds)], ["gram", "piece", "row", "start", "place", "anchor", "single", "bytes"])
+                    out.append((digest(core, s) - 2**63, whole(piece, place & 0xFFFF), row, row2, start + a, place, anchor, single, piece))
+            cols = list(zip(*out)) if out else [[]] * 9
+            kinds = (pa.int64(), pa.binary(), pa.int64(), pa.int64(), pa.int32(), pa.int16(), pa.int32(), pa.bool_(), pa.binary())
+            yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, kinds)], ["gram", "piece", "row", "row2", "start", "place", "anchor", "single", "bytes"])
 
-    return contexts.select("row", "start", "anchor", "single", "bytes").mapInArrow(run, "gram long, piece long, row long, start int, place short, anchor int, single boolean, bytes binary")
+    return contexts.select("row", "row2", "start", "anchor", "single", "bytes").mapInArrow(run, "gram long, piece binary, row long, row2 long, start int, place short, anchor int, single boolean, bytes binary")
 
 
 def _spans(contexts: DataFrame, length: int) -> DataFrame:
-    """(row, start, stop) of repeated stretches of contexts (gram, kinds, row, start, place, anchor, single, bytes)."""
+    """(row, row2, start, stop) of repeated stretches of contexts (gram, kinds, row, row2, start, place, anchor, single, bytes)."""
     found = [_sorted_spans(contexts.filter(F.col("kinds") <= SORT_LIMIT).repartition("gram").sortWithinPartitions("gram"), length)]
     many = contexts.filter(F.col("kinds") > SORT_LIMIT)
     for width in SLICES:
         pieces = saved(_sliced(many, length, width), "pieces", few_files=True)
         if pieces.isEmpty():
             break
-        kinds = saved(pieces.groupBy("gram", "piece").agg(F.count("*").alias("n"), F.min(F.struct("row", "start", "place", "anchor", "single", "bytes")).alias("one")), "piece-kinds", few_files=True)
-        twice = kinds.filter("n > 1").select("gram", "piece")
-        hit = pieces.filter("single").join(twice, ["gram", "piece"], "left_semi")
-        found.append(hit.select("row", "start", (F.col("start") + F.octet_length("bytes")).alias("stop")))
-        grams = kinds.groupBy("gram").agg(F.count("*").alias("kinds")).filter("kinds > 1")
-        one = kinds.join(grams, "gram").select("gram", "kinds", "one.row", "one.start", "one.place", "one.anchor", (F.col("one.single") & (F.col("n") == 1)).alias("single"), "one.bytes")
+        one = F.min(F.struct("row", "row2", "start", "place", "anchor", "single", "bytes")).alias("one")
+        kinds = saved(pieces.groupBy("gram", "piece").agg(F.count("*").alias("n"), one), "piece-kinds", few_files=True)
+        hit = keyed_join(pieces.filter("single"), kinds.filter("n > 1").select("gram", "piece", "n"), ["gram", "piece"], "n", pieces.count(), "left_semi")
+        found.append(hit.select("row", "row2", "start", (F.col("start") + F.octet_length("bytes")).alias("stop")))
+        grams = saved(kinds.groupBy("gram").agg(F.count("*").alias("kinds")).filter("kinds > 1").withColumn("n", F.col("kinds")), "grams", few_files=True)
+        one = keyed_join(kinds.select("gram", "one", F.col("n").alias("seen")), grams, ["gram"], "n", kinds.count())
+        one = one.select("gram", "kinds", "one.row", "one.row2", "one.start", "one.place", "one.anchor", (F.col("one.single") & (F.col("seen") == 1)).alias("single"), "one.bytes")
         found.append(_sorted_spans(one.filter(F.col("kinds") <= SORT_LIMIT).repartition("gram").sortWithinPartitions("gram"), length))
         many = one.filter(F.col("kinds") > SORT_LIMIT)
     return reduce(DataFrame.unionAll, found)
 
 
 def repeated_spans(docs: DataFrame, length: int = 200) -> DataFrame:
-    """(row, start, stop) of byte stretches of ``docs(row, text)`` to remove; they may overlap."""
+    """(row, row2, start, stop) of byte stretches of ``docs(row, row2, text)`` to remove; they may overlap."""
     every = saved(anchor_rows(docs, length), "anchors")
     # most grams occur once and are done with here
-    again = every.groupBy("gram").agg(F.count("*").alias("n")).filter("n > 1").select("gram")
-    found = saved(every.join(again, "gram", "left_semi"), "repeated-anchors", few_files=True)
-    kinds = found.groupBy("gram", "ctx").agg(F.count("*").alias("n"), F.min(F.struct("row", "start", "span", "place")).alias("one"))
+    again = saved(every.groupBy("gram").agg(F.count("*").alias("n")).filter("n > 1"), "grams", few_files=True)
+    found = saved(keyed_join(every, again, ["gram"], "n", every.count(), "left_semi"), "repeated-anchors", few_files=True)
+    discard(every, again)
+    kinds = found.groupBy("gram", "ctx", "ctx2").agg(F.count("*").alias("n"), F.min(F.struct("row", "row2", "start", "span", "place")).alias("one"))
     kinds = saved(kinds, "contexts", few_files=True)
-    grams = kinds.groupBy("gram").agg(F.count("*").alias("kinds")).filter("kinds > 1")
-    wanted = kinds.join(grams, "gram").select("gram", "kinds", (F.col("n") == 1).alias("single"), "one.*")
-    per_row = wanted.groupBy("row").agg(F.collect_list(F.struct("gram", "kinds", "single", "start", "span", "place")).alias("w"))
+    grams = saved(kinds.groupBy("gram").agg(F.count("*").alias("kinds")).filter("kinds > 1").withColumn("n", F.col("kinds")), "grams", few_files=True)
+    wanted = keyed_join(kinds.select("gram", (F.col("n") == 1).alias("single"), "one"), grams, ["gram"], "n", kinds.count()).select("gram", "kinds", "single", "one.*")
+    per_row = wanted.groupBy("row", "row2").agg(F.collect_list(F.struct("gram", "kinds", "single", "start", "span", "place")).alias("w"))
 
     def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -356,13 +358,13 @@ def repeated_spans(docs: DataFrame, length: int = 200) -> DataFrame:
             owner = np.repeat(np.arange(batch.num_rows), np.asarray(lists.value_lengths()))
             start, span = flat.column("start").to_pylist(), flat.column("span").to_pylist()
             pieces = [texts[o][a : a + n] for o, a, n in zip(owner.tolist(), start, span)]
-            yield pa.RecordBatch.from_arrays([flat.column("gram"), flat.column("kinds"), flat.column("single"), flat.column("start"), flat.column("place"), pa.array([a + b for a, b in zip(start, flat.column("place").to_pylist())], pa.int32()), pa.array(batch.column("row").to_numpy()[owner]), pa.array(pieces, pa.binary())], ["gram", "kinds", "single", "start", "place", "anchor", "row", "bytes"])
+            yield pa.RecordBatch.from_arrays([flat.column("gram"), flat.column("kinds"), flat.column("single"), flat.column("start"), flat.column("place"), pa.array([a + b for a, b in zip(start, flat.column("place").to_pylist())], pa.int32()), pa.array(batch.column("row").to_numpy()[owner]), pa.array(batch.column("row2").to_numpy()[owner]), pa.array(pieces, pa.binary())], ["gram", "kinds", "single", "start", "place", "anchor", "row", "row2", "bytes"])
 
     # identical rows share their key: one of them is enough
-    contexts = docs.join(per_row, "row").select("row", "text", "w").mapInArrow(cut, "gram long, kinds long, single boolean, start int, place short, anchor int, row long, bytes binary").dropDuplicates(["gram", "row", "start"])
+    contexts = docs.join(per_row, ["row", "row2"]).select("row", "row2", "text", "w").mapInArrow(cut, "gram long, kinds long, single boolean, start int, place short, anchor int, row long, row2 long, bytes binary").dropDuplicates(["gram", "row", "row2", "start"])
     contexts = saved(contexts, "context-bytes", few_files=True)
-    repeated = kinds.filter("n > 1").select("gram", "ctx")
-    whole = found.join(repeated, ["gram", "ctx"], "left_semi").select("row", "start", (F.col("start") + F.col("span")).alias("stop"))
+    repeated = kinds.filter("n > 1").select("gram", "ctx", "ctx2", "n")
+    whole = keyed_join(found, repeated, ["gram", "ctx", "ctx2"], "n", found.count(), "left_semi").select("row", "row2", "start", (F.col("start") + F.col("span")).alias("stop"))
     return whole.unionAll(_spans(contexts, length))
 
 
@@ -378,9 +380,12 @@ def merged(starts: np.ndarray, stops: np.ndarray) -> list[tuple[int, int]]:
 
 def remove_repeats(docs: DataFrame, length: int = 200) -> DataFrame:
     """doc_id, n_bytes, n_removed, n_spans, kept_sha256 and ``kept`` (the bytes that remain) of every row of ``docs``."""
-    docs = docs.select("doc_id", "text").withColumn("row", F.xxhash64("doc_id", "text"))
-    # saved, so that the joins that found the spans are off the disks before texts are dealt to them
-    spans = saved(repeated_spans(docs.select("row", "text"), length), "spans", few_files=True).groupBy("row").agg(F.collect_list("start").alias("starts"), F.collect_list("stop").alias("stops"))
+    row, row2 = row_identity("doc_id", "text")
+    docs = docs.select("doc_id", "text", row.alias("row"), row2.alias("row2"))
+    # one span a place, however many equal rows have it; saved, so that the joins that found the spans are off the disks before
+    # texts are dealt to them
+    spans = repeated_spans(docs.select("row", "row2", "text"), length).groupBy("row", "row2", "start").agg(F.max("stop").alias("stop"))
+    spans = saved(spans, "spans", few_files=True).groupBy("row", "row2").agg(F.collect_list("start").alias("starts"), F.collect_list("stop").alias("stops"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -400,4 +405,4 @@ def remove_repeats(docs: DataFrame, length: int = 200) -> DataFrame:
             )
 
     kind = docs.schema["doc_id"].dataType.simpleString()
-    return docs.join(spans, "row", "left").select("doc_id", "text", "starts", "stops").mapInArrow(run, f"doc_id {kind}, n_bytes long, n_removed long, n_spans long, kept_sha256 string, kept binary")
+    return docs.join(spans, ["row", "row2"], "left").select("doc_id", "text", "starts", "stops").mapInArrow(run, f"doc_id {kind}, n_bytes long, n_removed long, n_spans long, kept_sha256 string, kept binary")
