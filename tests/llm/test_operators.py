@@ -14,7 +14,7 @@ from tests.llm.helpers import EDGE, docs_of, edge_docs, empty_docs
 from treeloom.llm import near, repeats
 from treeloom.llm.bpe import SHORT_WORD, WordBpe, encode_documents
 from treeloom.llm.language import best_paths, fit, identify, scripts_of
-from treeloom.llm.lines import drop_recurring_lines
+from treeloom.llm.lines import drop_recurring_lines, lead_of, line_segments
 from treeloom.llm.mixing import bisect_exponent, entropy, mix_index, mix_sources, repetition, weigh
 from treeloom.llm.quality import BASE, RULES, Measured, judge_quality, keep_good, ordered
 from treeloom.llm.queries import URL_RULES, VOCABULARY
@@ -72,6 +72,28 @@ def test_a_variable_field_without_digits_is_generalised(spark):
     assert sorted(r["n_dropped"] for r in drop_recurring_lines(docs_of(spark, texts)).collect()) == [0, 1, 1, 1, 1, 1, 1]
 
 
+def test_two_scattered_fields_and_short_lines_are_generalised(spark):
+    rng = random.Random(60)
+    texts = ["today we thank {} for the order which you have sent to {} by mail last week".format(rng.choice(WORDS), rng.choice(WORDS)) + "\n" + prose(rng, 20) for i in range(7)]
+    assert sorted(r["n_dropped"] for r in drop_recurring_lines(docs_of(spark, texts)).collect()) == [0, 1, 1, 1, 1, 1, 1]
+    texts = [f"user {w} logged in today\n" + prose(rng, 20) for w in WORDS[:7]]
+    assert sorted(r["n_dropped"] for r in drop_recurring_lines(docs_of(spark, texts)).collect()) == [0, 1, 1, 1, 1, 1, 1]
+    texts = [f"{w} {v} it is" + "\n" + prose(rng, 20) for w, v in zip(WORDS[:7], WORDS[7:])]
+    assert all(r["n_dropped"] == 0 for r in drop_recurring_lines(docs_of(spark, texts)).collect())
+
+
+def test_segments_cover_the_tokens_behind_the_lead():
+    for n in range(1, 60):
+        words = [f"w{chr(97 + i % 26)}{chr(97 + i // 26)}".encode() for i in range(n)]
+        tokens, leaf, parts = line_segments(b" ".join(words))
+        assert tokens == n and len(parts) == min(6, n - lead_of(n))
+        for q in range(n - lead_of(n)):
+            other = list(words)
+            other[lead_of(n) + q] = b"other"
+            _, same, changed = line_segments(b" ".join(other))
+            assert same == leaf and [i for i, (x, y) in enumerate(zip(parts, changed)) if x != y] == [q * len(parts) // (n - lead_of(n))]
+
+
 def test_rare_lines_stay(spark):
     texts = ["same line here today\n" + prose(random.Random(i), 20) for i in range(4)]
     assert all(r["n_dropped"] == 0 for r in drop_recurring_lines(docs_of(spark, texts)).collect())

@@ -95,12 +95,13 @@ WITH d AS (SELECT doc_id, text, string_split(text, chr(10)) AS lines FROM docume
 l AS (SELECT doc_id, unnest(range(1, len(lines) + 1)) AS i, unnest(lines) AS raw FROM d),
 n AS (SELECT doc_id, i, trim(regexp_replace(regexp_replace(raw, '[^{_BLANK}]*[0-9][^{_BLANK}]*', '<*>', 'g'), '[{_BLANK}]+', ' ', 'g')) AS s FROM l),
 t AS (SELECT doc_id, i, s, string_split(s, ' ') AS w FROM n WHERE s <> ''),
-c AS (SELECT *, len(w) AS n, (len(w) - 3) // 3 AS k FROM t),
+c AS (SELECT *, len(w) AS n, least(3, greatest(1, len(w) // 3)) AS lead FROM t),
+m AS (SELECT *, n - lead AS rest, least(6, n - lead) AS parts, array_to_string(w[1:lead], ' ') AS leaf FROM c),
+p AS (SELECT x, y FROM (SELECT unnest(range(6)) AS x), (SELECT unnest(range(6)) AS y)),
 v AS (
-  SELECT doc_id, i, 'line' AS kind, s AS t FROM c
-  UNION ALL SELECT doc_id, i, '1', n || '|' || array_to_string(w[1:3], ' ') || '|' || array_to_string(w[4 + k:n], ' ') FROM c WHERE n >= 9
-  UNION ALL SELECT doc_id, i, '2', n || '|' || array_to_string(w[1:3 + k], ' ') || '|' || array_to_string(w[4 + 2 * k:n], ' ') FROM c WHERE n >= 9
-  UNION ALL SELECT doc_id, i, '3', n || '|' || array_to_string(w[1:3 + 2 * k], ' ') || '|' FROM c WHERE n >= 9),
+  SELECT doc_id, i, 'line' AS kind, s AS t FROM m
+  UNION ALL SELECT doc_id, i, x || ' ' || y, n || '|' || array_to_string(list_transform(w, lambda a, q: CASE WHEN q > lead AND ((q - 1 - lead) * parts // rest) IN (x, y) THEN '<*>' ELSE a END), ' ')
+    FROM m JOIN p ON n >= 4 AND x < parts AND (CASE WHEN n >= 12 THEN x < y ELSE x = y END)),
 r AS (SELECT kind, t, min(doc_id) AS keeper FROM v GROUP BY kind, t HAVING count(DISTINCT doc_id) >= 5),
 g AS (SELECT DISTINCT doc_id, i FROM v JOIN r USING (kind, t) WHERE doc_id <> keeper),
 k AS (
