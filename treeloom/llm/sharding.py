@@ -7,8 +7,11 @@ Each block is permuted, its first rows go to the first cell by the drawn count,
 again, and a row's place in it is its slot.  Both permutations order by seeded hashes, so a rerun after a lost
 executor gives the same rows the same places.
 
-The numbers of blocks and cells are bounded (``MAX_BLOCKS``), so the matrix is bounded too.  Null texts have size 1;
-repeated rows are dealt like any others; an empty table gives no rows.
+The numbers of blocks and cells are bounded (``MAX_BLOCKS``), so the matrix is bounded too.  Where blocks or cells outgrow ``BLOCK_ROWS``,
+ranks are counted in buckets of the order hash and added up, so that no task sorts more than a bucket.  The table with its hashes
+is saved first, so that all steps see the same.  Rows that agree in all columns share a hash; where they are many, a number of their
+own goes into it, and they are dealt like any others.
+Null texts have size 1; an empty table gives no rows.
 """
 
 from __future__ import annotations
@@ -20,7 +23,7 @@ import numpy as np
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from treeloom.llm.store import literal_table
+from treeloom.llm.store import HOT_KEYS, fresh, literal_table, saved
 
 BLOCK_ROWS = 1 << 13
 MAX_BLOCKS = 1 << 10
@@ -78,39 +81,58 @@ def _position(starts: Column, rank: Column) -> Column:
     return F.size(F.filter(starts, lambda x: x <= rank)) - 1
 
 
+def _ranked(df: DataFrame, group: str, order: Column, tie: str, bits: int, rank: str) -> DataFrame:
+    """``df`` with ``rank`` (from 0) in its group by ``order``, a 64-bit hash, then ``tie``; 2^bits buckets a group."""
+    by = [order, F.col(tie)]  # equal hashes are equal rows
+    if not bits:
+        return df.withColumn(rank, (F.row_number().over(Window.partitionBy(group).orderBy(*by)) - 1).cast("long"))
+    g, bucket, n, first = fresh(df.columns, "group", "bucket", "n", "first")
+    rows = df.withColumn(bucket, F.shiftright(order, 64 - bits).cast("int"))
+    sizes = rows.groupBy(F.col(group).alias(g), bucket).agg(F.count("*").alias(n))
+    starts = sizes.withColumn(first, F.sum(n).over(Window.partitionBy(g).orderBy(bucket)) - F.col(n)).select(g, F.col(bucket).alias(n), first)
+    inside = rows.withColumn(rank, F.row_number().over(Window.partitionBy(group, bucket).orderBy(*by)) - 1)
+    return inside.join(starts, (F.col(group) == F.col(g)) & (F.col(bucket) == F.col(n))).withColumn(rank, (F.col(rank) + F.col(first)).cast("long")).drop(g, n, first, bucket)
+
+
 def shard_rows(df: DataFrame, n_shards: int, seed: int = 0, key: list[Column] | None = None) -> DataFrame:
     """``df`` with ``shard`` (0 to n_shards - 1; counts at most one apart) and ``slot`` (gapless from 0 in a shard).
 
-    ``key`` are the columns whose hash places a row (all columns if not given); rows that agree in all of
-    them share a block.  Columns named shard or slot are replaced.
+    ``key`` are the columns whose hash places a row (all columns if not given).  Columns named shard or slot are replaced.
     """
     spark = df.sparkSession
-    df = df.drop("shard", "slot")
-    key = key or [F.col(f"`{c}`") for c in df.columns]
-    total = df.count()
+    own = [c for c in df.columns if c.lower() not in ("shard", "slot")]
+    h, tie, block, rank, starts_col, cell = fresh([*own, "shard", "slot"], "h", "tie", "block", "rank", "starts", "cell")
+    df = df.select(*[F.col(f"`{c}`") for c in own])
+    key = key or [F.col(f"`{c}`") for c in own]
+    hashed = saved(df.withColumn(h, F.xxhash64(F.lit(seed), *key)).withColumn(tie, F.monotonically_increasing_id()), "hashed")
+    total = hashed.count()
+    # fewer than HOT_KEYS hashes by their share of the rows
+    hot = hashed.groupBy(h).agg(F.count("*").alias(rank)).filter(F.col(rank) > max(1, total // HOT_KEYS)).select(h, F.lit(True).alias(cell))
+    spread = F.when(F.col(cell), F.xxhash64(h, tie)).otherwise(F.col(h)).alias(h)
+    hashed = hashed.join(F.broadcast(hot), h, "left").select(*[F.col(f"`{c}`") for c in own], spread, tie)
+    if not total:
+        return df.withColumn("shard", F.lit(0)).withColumn("slot", F.lit(0).cast("long")).limit(0)
     n_blocks = max(1, min(MAX_BLOCKS, math.ceil(total / BLOCK_ROWS)))
-    placed = df.withColumn("__h", F.xxhash64(F.lit(seed), *key)).withColumn("__b", F.pmod("__h", F.lit(n_blocks)).cast("int"))
-    counts = {r["__b"]: r["n"] for r in placed.groupBy("__b").agg(F.count("*").alias("n")).collect()}
+    bits = max(0, math.ceil(math.log2(total / n_blocks / BLOCK_ROWS)))
+    mixed = lambda s: F.xxhash64(F.lit(seed + s), F.col(h))
+    placed = hashed.withColumn(block, F.pmod(F.col(h), F.lit(n_blocks)).cast("int"))
+    counts = {r[0]: r[1] for r in placed.groupBy(block).agg(F.count("*")).collect()}
     blocks = sorted(counts)
-    if not blocks:
-        return df.withColumn("shard", F.lit(0)).withColumn("slot", F.lit(0).cast("long")).limit(0)
     shard_sizes = [total // n_shards + (s < total % n_shards) for s in range(n_shards)]
     per_shard = max(1, math.ceil(n_blocks / n_shards))
     cells = [(s, u, n // per_shard + (u < n % per_shard)) for s, n in enumerate(shard_sizes) for u in range(per_shard)]
     matrix = communication_matrix([counts[b] for b in blocks], [c[2] for c in cells], seed)
     starts = np.concatenate([np.zeros((len(blocks), 1), np.int64), matrix.cumsum(axis=1)[:, :-1]], axis=1)
     # empty cells share a start with their successor; the last start that fits is the cell that has the row
-    plan = literal_table(spark, "__b int, __starts array<bigint>", [(b, s.tolist()) for b, s in zip(blocks, starts)])
-    in_block = Window.partitionBy("__b").orderBy(F.xxhash64(F.lit(seed + 1), "__h"), "__h")
-    dealt = placed.withColumn("__r", (F.row_number().over(in_block) - 1).cast("long")).join(plan, "__b").withColumn("__c", _position(F.col("__starts"), F.col("__r")))
+    plan = literal_table(spark, f"{block} int, {starts_col} array<bigint>", [(b, s.tolist()) for b, s in zip(blocks, starts)])
+    dealt = _ranked(placed, block, mixed(1), tie, bits, rank).join(plan, block).withColumn(cell, _position(F.col(starts_col), F.col(rank))).drop(rank, starts_col, block)
     first = np.cumsum([0, *(c[2] for c in cells)])
     offset = [int(first[i] - first[c[0] * per_shard]) for i, c in enumerate(cells)]
-    in_cell = Window.partitionBy("__c").orderBy(F.xxhash64(F.lit(seed + 2), "__h"), "__h")
     slot_of = F.array(*map(F.lit, offset))
     return (
-        dealt.withColumn("slot", F.row_number().over(in_cell) - 1 + F.element_at(slot_of, F.col("__c") + 1).cast("long"))
-        .withColumn("shard", F.floor(F.col("__c") / per_shard).cast("int"))
-        .select(*[F.col(f"`{c}`") for c in df.columns], "shard", F.col("slot").cast("long").alias("slot"))
+        _ranked(dealt, cell, mixed(2), tie, bits, rank).withColumn("slot", F.col(rank) + F.element_at(slot_of, F.col(cell) + 1).cast("long"))
+        .withColumn("shard", F.floor(F.col(cell) / per_shard).cast("int"))
+        .select(*[F.col(f"`{c}`") for c in own], "shard", F.col("slot").cast("long").alias("slot"))
     )
 
 
