@@ -18,6 +18,7 @@ from dataclasses import dataclass
 
 import pyarrow as pa
 from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
 
 _SYMBOLS = re.compile(rb"[#*$%&|<>]")
 _MARKS = re.compile(rb"[!?]")
@@ -114,9 +115,21 @@ def ordered(rules: tuple[Rule, ...], found: list[tuple[str, float, float]]) -> t
 
 
 def cascade_order(docs: DataFrame, rules: tuple[Rule, ...], sample_rows: int) -> tuple[Rule, ...]:
-    """Order from a sample of ``sample_rows`` texts, read where they lie first (the sample decides speed alone)."""
-    texts = [r[0] for r in docs.select("text").take(sample_rows)]
-    return ordered(rules, profile(texts, rules))
+    """Order from a sample of ``sample_rows`` texts (the sample decides speed alone)."""
+    return ordered(rules, profile(sampled(docs, sample_rows), rules))
+
+
+def sampled(docs: DataFrame, rows: int) -> list[str | None]:
+    """Texts of ``rows`` rows out of all, those with the least hashes; tasks hand over that many each."""
+    return [r[0] for r in docs.select("text", F.xxhash64(F.lit(17), "doc_id", "text").alias("h")).orderBy("h").limit(rows).collect()]
+
+
+def cascade_report(docs: DataFrame, rules: tuple[Rule, ...] = RULES, sample_rows: int = 64) -> DataFrame:
+    """place (from 1), rule, cost_us (microseconds a document), selectivity: the order that the sample leads to, and why."""
+    found = profile(sampled(docs, sample_rows), rules)
+    by_name = {name: (1e6 * cost, share) for name, cost, share in found}
+    rows = [(i, r.name, *by_name[r.name]) for i, r in enumerate(ordered(rules, found), 1)]
+    return docs.sparkSession.createDataFrame(rows, "place int, rule string, cost_us double, selectivity double")
 
 
 def judge_quality(docs: DataFrame, rules: tuple[Rule, ...] = RULES, sample_rows: int = 64) -> DataFrame:
