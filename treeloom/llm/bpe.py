@@ -128,7 +128,7 @@ class WordBpe:
         if not text:
             return ids
         at = 0
-        if self._special is not None and "<|" in text:
+        if self._special is not None:
             for m in self._special.finditer(text):
                 self._plain(text[at : m.start()], ids)
                 ids.append(self.specials[m[0]])
