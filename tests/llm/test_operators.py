@@ -2,21 +2,24 @@ import hashlib
 import itertools
 import random
 import re
+import struct
+import zlib
 from collections import Counter, defaultdict
 
 import numpy as np
 import public_tokenizers
 import pytest
+import xxhash
 from pyspark.sql import functions as F
 from tokenizers import Tokenizer
 
 from tests.llm.helpers import EDGE, docs_of, edge_docs, empty_docs
-from treeloom.llm import near, repeats
+from treeloom.llm import mixing, near, repeats, sharding
 from treeloom.llm.bpe import SHORT_WORD, WordBpe, encode_documents
 from treeloom.llm.language import best_paths, fit, identify, scripts_of
 from treeloom.llm.lines import drop_recurring_lines, lead_of, line_segments
 from treeloom.llm.mixing import bisect_exponent, entropy, mix_index, mix_sources, repetition, weigh
-from treeloom.llm.quality import BASE, RULES, Measured, judge_quality, keep_good, ordered
+from treeloom.llm.quality import BASE, RULES, Measured, cascade_report, judge_quality, keep_good, ordered, sampled
 from treeloom.llm.queries import URL_RULES, VOCABULARY
 from treeloom.llm.sharding import communication_matrix, hypergeometric, shard_digest, shard_rows
 from treeloom.llm.topk import exact_top_k
@@ -129,9 +132,39 @@ def test_shards_are_exact_and_slots_gapless(spark, n):
     assert got.sort_values("id").slot.tolist() == again.sort_values("id").slot.tolist()
 
 
+def test_many_equal_rows_are_dealt_and_buckets_keep_the_order(spark, monkeypatch):
+    monkeypatch.setattr(sharding, "BLOCK_ROWS", 64)
+    monkeypatch.setattr(sharding, "MAX_BLOCKS", 4)
+    df = spark.range(3000).select(F.when(F.col("id") < 1000, -1).otherwise(F.col("id")).alias("h"), F.lit(1).alias("rank"))
+    got = shard_rows(df, 7, 3).toPandas()
+    assert list(got.columns) == ["h", "rank", "shard", "slot"] and sorted(got.h) == sorted([-1] * 1000 + list(range(1000, 3000)))
+    for n, g in got.groupby("shard"):
+        assert sorted(g.slot) == list(range(len(g))) and abs(len(g) - 3000 / 7) < 1 and 90 < (g.h == -1).sum() < 200, n
+
+
+def test_shard_digest_by_definition(spark):
+    texts = ["é", "", None, "a b"] * 40
+    got = shard_digest(docs_of(spark, texts)).toPandas()
+    for r in got.itertuples():
+        raw = (texts[r.doc_id] or "").encode()
+        assert (r.size, r.text_crc32, r.law) == (len(raw) + 1, zlib.crc32(raw), "rows") and got.grown_shard.isna().all()
+    assert sorted(got.doc_id) == list(range(160)) and sorted(got.groupby("shard").size()) == [10] * 16
+    assert sorted(zip(got.shard, got.slot)) == [(s, i) for s in range(16) for i in range(10)]
+
+
 # --- quality
 
 
+def test_the_sample_comes_from_all_files_and_the_order_can_be_read(spark):
+    docs = spark.createDataFrame([(i, "w " * 60 + str(i)) for i in range(2000)], "doc_id long, text string").repartitionByRange(8, "doc_id")
+    ids = [int(t.split()[-1]) for t in sampled(docs, 64)]
+    assert len(set(ids)) == 64 and min(ids) < 400 and max(ids) > 1600 and ids == [int(t.split()[-1]) for t in sampled(docs.repartition(3), 64)]
+    report = cascade_report(docs).toPandas()
+    assert list(report.place) == list(range(1, len(RULES) + 1)) and set(report.rule) == {r.name for r in RULES}
+    worth = (report.selectivity + 1e-4) / (report.cost_us / 1e6 + 1e-9)
+    assert worth.is_monotonic_decreasing
+
+
 def test_measures_by_definition():
     rng = random.Random(9)
     for _ in range(200):
@@ -183,6 +216,66 @@ def test_budgets_are_met_and_passes_are_permutations(spark):
     assert set(mix_index(docs, max_repetition=2.0).toPandas().doc_id) == set(tokens)
 
 
+def mix_by_definition(rows, max_repetition, seed=0):
+    """(source, doc_id, epoch, order) that a mixture takes, document by document."""
+
+    def order(epoch, doc_id):
+        h = 42
+        for data in (struct.pack("<i", seed), struct.pack("<i", epoch), struct.pack("<q", doc_id)):
+            h = xxhash.xxh64_intdigest(data, h)
+        return h - 2**64 if h >= 2**63 else h
+
+    tokens = {i: len(re.findall(r"[^\x20\x09-\x0D]+", t or "")) for i, t, _, _, _ in rows}
+    sources = defaultdict(list)
+    for i, _, _, s, _ in rows:
+        sources[s].append(i)
+    names = list(sources)
+    sums = [sum(tokens[i] for i in sources[s]) for s in names]
+    w = bisect_exponent(sums, max_repetition=max_repetition)
+    budget = max(t / x for t, x in zip(sums, w.weights) if x)
+    out = []
+    for s, t, x in zip(names, sums, w.weights):
+        whole = int(x * budget / t + 1e-9) if t else 1
+        left = int(x * budget - whole * t) if t else 0
+        out += [(s, i, e, order(e, i)) for e in range(whole) for i in sources[s]]
+        for i in sorted(sources[s], key=lambda i: order(whole, i)):
+            left -= tokens[i]
+            if left < 0 or not t:
+                break
+            out.append((s, i, whole, order(whole, i)))
+    return sorted(out, key=str)
+
+
+@pytest.mark.parametrize("block", [4096, 16])
+def test_mixture_by_definition(spark, monkeypatch, block):
+    monkeypatch.setattr(mixing, "BLOCK_ROWS", block)
+    rng = random.Random(61)
+    rows = [(i, prose(rng, rng.randint(1, 30)) if i % 50 else None, "en", ["big", "mid", None][min(2, rng.randint(0, 9) // 4)] if i > 20 else f"tiny{i}", 0) for i in range(1200)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long").repartition(4)
+    got = mix_index(docs, max_repetition=2.0).toPandas()
+    got["source"] = got.source.where(got.source.notna(), None)
+    assert sorted(((r.source, r.doc_id, r.epoch, r.mix_order) for r in got.itertuples()), key=str) == mix_by_definition(rows, 2.0)
+    # every prefix of the mixture has the weights of the whole
+    got = got.sort_values("mix_at")
+    assert got.mix_at.between(0, 1 + 1e-9).all()
+    big = (got.source == "big").to_numpy()
+    for part in (0.25, 0.5, 0.75):
+        assert abs(big[: int(len(big) * part)].mean() - big.mean()) < 0.06
+    assert sorted(mix_sources(docs, max_repetition=2.0).toPandas().doc_id) == sorted(got.doc_id)
+
+
+def test_many_sources_meet_an_entropy(spark):
+    rows = [(i, "w " * (1 + 40 * (i % 300 == 0)), f"host{i % 300}") for i in range(3000)]
+    docs = spark.createDataFrame([(i, t, "en", s, 0) for i, t, s in rows], "doc_id long, text string, lang string, source string, n_chars long")
+    target = 5.5
+    got = mix_index(docs, target_entropy=target).select("source", "weight", "exponent").distinct().toPandas()
+    assert len(got) == 300 and abs(entropy(list(got.weight)) - target) < 1e-6 and abs(got.weight.sum() - 1) < 1e-9
+    sums = Counter()
+    for _, t, s in rows:
+        sums[s] += len(t.split())
+    assert abs(got.exponent.iloc[0] - bisect_exponent(list(sums.values()), target_entropy=target).exponent) < 1e-9
+
+
 # --- exact top-k
 
 
