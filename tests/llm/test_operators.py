@@ -15,6 +15,7 @@ from tokenizers import Tokenizer
 
 from tests.llm.helpers import EDGE, docs_of, edge_docs, empty_docs
 from treeloom.llm import mixing, near, repeats, sharding
+from treeloom.llm import urls as urls_module
 from treeloom.llm.bpe import SHORT_WORD, WordBpe, encode_documents
 from treeloom.llm.language import best_paths, fit, identify, scripts_of
 from treeloom.llm.lines import drop_recurring_lines, lead_of, line_segments
@@ -334,6 +335,35 @@ def test_urls_by_definition(spark):
     assert host_and_path("http://A.b/C?d") == ("a.b", "/C") and judge_urls(spark.createDataFrame([], "page_id long, url string"), URL_RULES).count() == 0
 
 
+def test_many_rules_broadcast_and_dealt_alike(spark, monkeypatch):
+    rng = random.Random(62)
+    hosts = sorted({f"{a}.{b}" for a in WORDS[:150] for b in ("com", "org", "net")})
+    rules = [(h, rng.choice(["/", "/a/", "/a/b", "/é/"]), rng.choice(["block", "allow"])) for h in hosts] + [("com", "/", "allow"), ("q.com", "/x\u00e9", "block")]
+    urls = [None, "none", "http://q.com/x\u00e9y"] + [f"http://{rng.choice(['', 'www.', 'x.y.'])}{rng.choice(hosts + ['other.com', 'other.info'])}{rng.choice(['', '/', '/a/', '/a/b/c', '/é/x', '/z?q'])}" for _ in range(800)]
+    pages = spark.createDataFrame(list(enumerate(urls)), "page_id long, url string").repartition(3)
+    table = spark.createDataFrame(rules, "host string, path string, verdict string")
+    want = []
+    for i, u in enumerate(urls):
+        host, path = host_and_path(u)
+        fits = [(len(h) + len(p), len(h), h + p, v) for h, p, v in rules if (host == h or host.endswith("." + h)) and path.startswith(p)]
+        best = max(fits, default=(0, 0, None, "allow"))
+        want.append((i, host, path, best[2], best[3]))
+    for size in (1 << 20, 1):
+        monkeypatch.setattr(urls_module, "MAX_PACKED_BYTES", size)
+        monkeypatch.setattr(urls_module, "PART_RULES", 100)
+        assert sorted(tuple(r) for r in judge_urls(pages, table).collect()) == want
+
+
+def test_repeated_vectors_are_queries_and_candidates(spark):
+    rows = [(100, [1.0, 0.0]), (100, [1.0, 0.0]), (100, [0.5, 0.5]), (7, [1.0, 1.0])]
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<float>")
+    got = [tuple(r) for r in exact_top_k(df, df.filter("vec_id = 100"), 10).orderBy("query_no", "rank").select("query_no", "rank", "vec_id", "score").collect()]
+    one, half = 1024 * 1024, 1024 * 512
+    own = {i: [g[1:] for g in got if g[0] == i] for i in range(3)}
+    ranked = [(1, 7, one), (2, 100, one), (3, 100, half)]
+    assert sorted(own.values()) == sorted([ranked, ranked, [(1, 7, one), (2, 100, half), (3, 100, half)]])
+
+
 def test_digest_collisions_do_not_decide():
     index = DigestArray.mapped(DigestArray.pack([(f"h{i}.org", "/", "block") for i in range(50)]))
     index.keys = np.zeros_like(index.keys)  # every probe now meets every rule
