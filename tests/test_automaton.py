@@ -5,6 +5,7 @@ import pytest
 from tests.trees import Direct, random_path, random_tree
 from treeloom.automaton.compile import to_automaton
 from treeloom.automaton.evaluate import Counters, Runner
+from treeloom.automaton.jump import Jumper
 from treeloom.automaton.model import FALSE, TRUE, conj, disj, down, neg
 from treeloom.baselines.engines import _holds, document_of
 from treeloom.tree.encode import ROOT, Node, flatten
@@ -30,6 +31,35 @@ def test_random_paths_agree_with_definitions():
         assert results(tree, path, **OPTIONS[k % len(OPTIONS)]) == want, path
 
 
+def test_jumping_runs_agree_with_definitions():
+    rng = random.Random(12)
+    done = 0
+    while done < 1500:
+        tree = random_tree(rng, rng.randint(1, 40))
+        path = random_path(rng)
+        a = to_automaton(parse(path))
+        if not Jumper.fits(a):
+            continue
+        doc, values, parents = document_of(tree)
+        doc.flags = [_holds(p, doc, values, parents) for p in a.preds]
+        run = Jumper(a)
+        found = run.run(doc, Counters())
+        want = Direct(flatten(tree)).select(parse(path))
+        assert [doc.pre[i] for i in run.nodes_of(doc, found)] == want, path
+        assert run.count(doc, found) == len(want), path
+        done += 1
+
+
+def test_jumps_visit_matches_only():
+    entries = [Node("entry", [Node("note", [Node("term") for _ in range(5)])]) for _ in range(50)]
+    tree = Node(ROOT, [Node("market", entries)])
+    for path, most in (("//entry//term", 101), ("//*", 1), ("//*//*", 3), ("/market/entry", 52), ("//entry[.//strong]//term", 50)):
+        doc, _, _ = document_of(tree)
+        counters, run = Counters(), Jumper(to_automaton(parse(path)))
+        run.run(doc, counters)
+        assert counters.visited <= most, (path, counters)
+
+
 def test_mixed_content_before_a_match():
     tree = Node(ROOT, [Node("a", ["x", Node("b")])])
     assert results(tree, "//b") == [4]

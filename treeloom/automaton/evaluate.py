@@ -37,6 +37,7 @@ class Document:
                 stack.pop()
             above[i] = stack[-1] if stack else -1
             stack.append(i)
+        self.above = above.tolist()
         limit = np.where(above >= 0, after[np.maximum(above, 0)], n)
         self.next = np.where(after < limit, after, -1).tolist()
         inside = parent == pre[np.maximum(above, 0)] if n else np.zeros(0, bool)

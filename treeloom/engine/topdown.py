@@ -1,8 +1,8 @@
 """Automaton runs on a cluster: each document is run in one task, over the rows that matter to the automaton.
 
 ``jump`` keeps nodes of relevant labels only; the filter is on columns and reaches the Parquet scan, so that the
-contracted tree is all that is shuffled.  Text predicates are answered once for all documents and come as flags.
-Documents must fit in a task; for one that does not, set-at-a-time evaluation is the way.
+contracted tree is all that is shuffled; the run itself then goes from match to match (``Jumper``).  Text predicates are answered once
+for all documents and come as flags.  A document with a spine is larger than a task and is run fragment by fragment.
 """
 
 from __future__ import annotations
@@ -18,6 +18,7 @@ from pyspark.sql import functions as F
 
 from treeloom.automaton.compile import Unsupported, to_automaton
 from treeloom.automaton.evaluate import Counters, Document, Runner
+from treeloom.automaton.jump import Jumper
 from treeloom.automaton.model import MARK, Automaton, atoms
 from treeloom.engine.columnar import KEY, Columnar, above_any
 from treeloom.sources.trees import Tree
@@ -47,8 +48,13 @@ def restricted(tree: Tree, a: Automaton) -> DataFrame:
     return tree.nodes.filter(reduce(lambda x, y: x | y, tests, F.col("kind") == "doc"))
 
 
+#: Rows of neighbouring fragments that a task runs as one forest, about.
+FOREST_ROWS = 200_000
+
+
 def _run(nodes: DataFrame, a: Automaton, flags: list[DataFrame], emit: Callable, schema: str, options: dict, spine: _Spine | None = None, ask: Callable | None = None) -> DataFrame:
-    """One run a document, or, with a ``spine``, a fragment: ``ask(doc, spine node)`` gives the states to ask of it."""
+    """One run a document, or, with a ``spine``, one for neighbouring fragments below one node of it, whose states ``ask(doc, spine
+    node)`` gives.  Without ``options`` the run jumps, if the automaton lets it."""
     cols = ["doc", "frag", "pre", "last", "parent", "label", "kind"]
     unit = ["doc"] if spine is None else ["doc", "frag"]
     rows = nodes.select(*cols)
@@ -57,7 +63,7 @@ def _run(nodes: DataFrame, a: Automaton, flags: list[DataFrame], emit: Callable,
     names = [f"p{k}" for k in range(len(flags))]
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        runner = Runner(a, **options)
+        runner = Jumper(a) if not options and Jumper.fits(a) else Runner(a, **options)
         held: pa.Table | None = None
 
         def one(t: pa.Table) -> pa.RecordBatch:
@@ -68,30 +74,46 @@ def _run(nodes: DataFrame, a: Automaton, flags: list[DataFrame], emit: Callable,
             counters = Counters()
             if spine is None:
                 return emit(own, doc, runner, runner.run(doc, counters), counters)
-            states = ask(own, up)
+            states = ask(own, up) or frozenset()
+            if isinstance(runner, Jumper):
+                marked, result = runner.forest(doc, states, counters)
+                return emit(own, doc, runner, result if emit is _emit_states else marked, counters)
             result = runner.chain(doc, 0, states, counters) if states else {}
-            if emit is _emit_nodes:
-                ropes = [r for q, r in result.items() if r is not None and a.states[q].universal]
-                return emit(own, doc, runner, tuple(ropes) if len(ropes) > 1 else ropes[0] if ropes else None, counters)
-            return emit(own, doc, runner, result, counters)
+            if emit is _emit_states:
+                return emit(own, doc, runner, [q for q in result if not a.states[q].universal], counters)
+            ropes = [r for q, r in result.items() if r is not None and a.states[q].universal]
+            return emit(own, doc, runner, tuple(ropes) if len(ropes) > 1 else ropes[0] if ropes else None, counters)
+
+        def cuts(t: pa.Table) -> list[int]:
+            other = np.zeros(t.num_rows - 1, bool)
+            for c in unit:
+                ids = t.column(c).to_numpy()
+                other |= ids[1:] != ids[:-1]
+            heads = [0, *(np.nonzero(other)[0] + 1).tolist()]
+            if spine is None:
+                return heads
+            docs, pre = t.column("doc").to_numpy(), t.column("pre").to_numpy()
+            out, last = [], None
+            for h in heads:
+                here = (int(docs[h]), spine.over(int(docs[h]), int(pre[h])))
+                if here != last or h - out[-1] > FOREST_ROWS:
+                    out.append(h)
+                    last = here
+            return out
 
         for batch in batches:
             if not batch.num_rows:
                 continue
             t = pa.Table.from_batches([batch])
             t = t if held is None else pa.concat_tables([held, t])
-            other = np.zeros(t.num_rows - 1, bool)
-            for c in unit:
-                ids = t.column(c).to_numpy()
-                other |= ids[1:] != ids[:-1]
-            cuts = [0, *(np.nonzero(other)[0] + 1).tolist()]
-            for s, e in zip(cuts, cuts[1:]):
+            at = cuts(t)
+            for s, e in zip(at, at[1:]):
                 yield one(t.slice(s, e - s))
-            held = t.slice(cuts[-1])
+            held = t.slice(at[-1])
         if held is not None:
             yield one(held)
 
-    return rows.repartition(*unit).sortWithinPartitions(*unit, "pre").mapInArrow(work, schema)
+    return rows.repartition(*unit).sortWithinPartitions("doc", "pre").mapInArrow(work, schema)
 
 
 def _emit_nodes(doc_id: int, doc: Document, runner: Runner, rope: tuple | None, counters: Counters) -> pa.RecordBatch:
@@ -104,20 +126,35 @@ def _emit_counters(doc_id: int, doc: Document, runner: Runner, rope: tuple | Non
     return pa.RecordBatch.from_arrays([pa.array([x], pa.int64()) for x in row], ["doc", "rows", "visited", "marked", "results"])
 
 
+_NODES = "doc long, pre long, last long"
+_COUNTERS = "doc long, rows long, visited long, marked long, results long"
+
+
 def _plan(tree: Tree, path: Path | str, jump: bool) -> tuple[DataFrame, Automaton, list[DataFrame]]:
     a = to_automaton(parse(path) if isinstance(path, str) else path)
     nodes = restricted(tree, a) if jump and a.can_jump else tree.nodes
     return nodes, a, [pred_hits(tree, p) for p in a.preds]
 
 
+def _options(jump: bool, memo: bool, early: bool, lazy: bool) -> dict:
+    """None of them for a run from match to match, which has no transitions to memoise."""
+    return {} if jump and memo and early and lazy else {"memo": memo, "early": early, "lazy": lazy}
+
+
 def run_top_down(tree: Tree, path: Path | str, jump: bool = True, memo: bool = True, early: bool = True, lazy: bool = True) -> DataFrame:
     """doc, pre, last of the results of a top-down run."""
-    return _run(*_plan(tree, path, jump), _emit_nodes, "doc long, pre long, last long", {"memo": memo, "early": early, "lazy": lazy})
+    nodes, a, flags = _plan(tree, path, jump)
+    if tree.spined and crosses_no_fragment(a):
+        return _fragments(tree, nodes, a, flags, _emit_nodes, _NODES, _options(jump, memo, early, lazy))
+    return _run(nodes, a, flags, _emit_nodes, _NODES, _options(jump, memo, early, lazy))
 
 
 def visits(tree: Tree, path: Path | str, jump: bool = True, memo: bool = True, early: bool = True, lazy: bool = True) -> DataFrame:
-    """doc, rows read, nodes visited, marked and returned by the same run."""
-    return _run(*_plan(tree, path, jump), _emit_counters, "doc long, rows long, visited long, marked long, results long", {"memo": memo, "early": early, "lazy": lazy})
+    """doc, rows read, nodes visited, marked and returned by the same run, one row a document or piece of it."""
+    nodes, a, flags = _plan(tree, path, jump)
+    if tree.spined and crosses_no_fragment(a):
+        return _fragments(tree, nodes, a, flags, _emit_counters, _COUNTERS, _options(jump, memo, early, lazy))
+    return _run(nodes, a, flags, _emit_counters, _COUNTERS, _options(jump, memo, early, lazy))
 
 
 def _chain(filters: list[Filter]) -> ValuePred | None:
@@ -149,17 +186,25 @@ class _Spine:
         return self.rows[i][1]
 
 
+def crosses_no_fragment(a: Automaton) -> bool:
+    """Steps to siblings would tie fragments to each other."""
+    return not any((atoms(s.match, 2) | atoms(s.loop, 2)) - {q} for q, s in enumerate(a.states))
+
+
 def run_fragments(tree: Tree, path: Path | str, jump: bool = True) -> DataFrame:
     """doc, pre, last of the results, for documents that are larger than a task.
 
     Filter states are asked of every fragment first and come up as one bit set a spine node.  The spine, which is small, is
     then evaluated on the driver, which tells the main states that reach the fragments below each of its nodes; a
-    second pass runs these.  Steps to siblings would tie fragments to each other and are not supported here.
+    second pass runs these.  Steps to siblings are not supported here.
     """
     nodes, a, flags = _plan(tree, path, jump)
-    for q, s in enumerate(a.states):
-        if (atoms(s.match, 2) | atoms(s.loop, 2)) - {q}:
-            raise Unsupported("steps to siblings cross fragments")
+    if not crosses_no_fragment(a):
+        raise Unsupported("steps to siblings cross fragments")
+    return _fragments(tree, nodes, a, flags, _emit_nodes, _NODES, {} if jump else {"lazy": True})
+
+
+def _fragments(tree: Tree, nodes: DataFrame, a: Automaton, flags: list[DataFrame], emit: Callable, schema: str, options: dict) -> DataFrame:
     names = [f"p{k}" for k in range(len(flags))]
     rows = tree.nodes.filter("frag = -1").select("doc", "pre", "last", "parent", "label", "kind")
     for n, hits in zip(names, flags):
@@ -172,7 +217,7 @@ def run_fragments(tree: Tree, path: Path | str, jump: bool = True) -> DataFrame:
     filters = frozenset(q for q, s in enumerate(a.states) if not s.universal)
     below: dict[tuple[int, int], set[int]] = {k: set() for k in spine.keys}
     if filters:
-        masks = _run(pieces, a, flags, _emit_states, "doc long, up long, state int", {"lazy": False}, spine, lambda doc, up: filters).distinct()
+        masks = _run(pieces, a, flags, _emit_states, "doc long, up long, state int", options and {**options, "lazy": False}, spine, lambda doc, up: filters).distinct()
         for r in masks.collect():  # at most spine nodes times states
             below[r["doc"], r["up"]].add(r["state"])
     truth, asked, found = _up_the_spine(a, spine, below), {}, []
@@ -186,8 +231,11 @@ def run_fragments(tree: Tree, path: Path | str, jump: bool = True) -> DataFrame:
             here |= atoms(s.match if ok else s.loop, 1) & a.bottom
         asked[doc, pre] = here
     wanted = {k: v for k, v in asked.items() if v}
-    got = _run(pieces, a, flags, _emit_nodes, "doc long, pre long, last long", {}, spine, lambda doc, up: wanted.get((doc, up)))
-    return got.unionAll(tree.spark.createDataFrame(found, "doc long, pre long, last long"))
+    got = _run(pieces, a, flags, emit, schema, options, spine, lambda doc, up: wanted.get((doc, up)))
+    if emit is _emit_counters:
+        n = len(spine_rows)
+        return got.unionAll(tree.spark.createDataFrame([(spine_rows[0][0], n, len(asked), len(found), len(found))] if n else [], schema))
+    return got.unionAll(tree.spark.createDataFrame(found, schema))
 
 
 def _marks(f: tuple) -> bool:
@@ -221,8 +269,7 @@ def _up_the_spine(a: Automaton, spine: _Spine, below: dict[tuple[int, int], set[
     return below
 
 
-def _emit_states(doc_id: int, doc: Document, runner: Runner, result: dict, counters: Counters) -> pa.RecordBatch:
-    held = [q for q in result if not runner.a.states[q].universal]
+def _emit_states(doc_id: int, doc: Document, runner: Runner | Jumper, held: list[int], counters: Counters) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([pa.array([doc_id] * len(held), pa.int64()), pa.array([doc.up] * len(held), pa.int64()), pa.array(held, pa.int32())], ["doc", "up", "state"])
 
 

@@ -252,6 +252,9 @@ BUILDERS: dict[str, Callable[[SparkSession, str], DataFrame]] = {
 }
 
 
+_spined: dict[tuple, bool] = {}
+
+
 class Tree:
     """A built tree: its ``nodes``, the ``texts`` among them, and per-label counts."""
 
@@ -261,6 +264,14 @@ class Tree:
         self.nodes = nodes.drop("value")
         self._stats: dict[str, tuple[int, int]] | None = None
 
+    @property
+    def spined(self) -> bool:
+        """Whether some document is cut into fragments below a spine; asked once a built tree."""
+        key = (self.spark.sparkContext.applicationId, self.source, self.name or id(self))
+        if key not in _spined:
+            _spined[key] = not self.nodes.filter("frag = -1").isEmpty()
+        return _spined[key]
+
     @property
     def texts(self) -> DataFrame:
         """Text and attribute values with the element that has them."""
