@@ -2,7 +2,8 @@
 
 Candidates are kept or dropped, never joined out, so no step makes duplicates and none needs a ``distinct``.  Tests of
 ancestry are windows in document order over one fragment (running maximum of ``last``, or running minimum of ``pre`` in
-reversed order); nodes of the spine, which lie above all fragments and are few, are compared as broadcast intervals.
+reversed order); nodes of the spine, which lie above all fragments and are few, are compared as one list of intervals a document,
+and Spark broadcasts these or not by their size.
 Parent and sibling tests are equi-joins on (doc, parent).
 """
 
@@ -19,8 +20,6 @@ from treeloom.xpath.ast import And, Exists, Filter, Not, Or, Path, Step, ValuePr
 from treeloom.xpath.parser import parse
 
 KEY = ["doc", "pre"]
-#: Spine nodes are broadcast up to this many.
-MAX_SPINE = 100_000
 
 
 def test_condition(step: Step) -> Column:
@@ -45,7 +44,7 @@ def below_any(candidates: DataFrame, context: DataFrame, or_self: bool = False)
     w = Window.partitionBy("doc", "frag").orderBy("pre", first).rowsBetween(Window.unboundedPreceding, 0)
     inside = tagged.withColumn("__reach", F.max(F.when(~F.col("__c"), F.col("last"))).over(w)).filter("__c").withColumn("__in", F.coalesce(F.col("__reach") >= F.col("pre"), F.lit(False)))
     above = context.filter("frag = -1").select(F.col("doc").alias("__d"), F.col("pre").alias("__p"), F.col("last").alias("__l"))
-    ivs = F.broadcast(above.groupBy("__d").agg(F.collect_list(F.struct("__p", "__l")).alias("__ivs")))
+    ivs = above.groupBy("__d").agg(F.collect_list(F.struct("__p", "__l")).alias("__ivs"))
     low = (lambda i: i["__p"] <= F.col("pre")) if or_self else (lambda i: i["__p"] < F.col("pre"))
     joined = inside.join(ivs, F.col("doc") == F.col("__d"), "left")
     return joined.filter(F.col("__in") | F.coalesce(F.exists("__ivs", lambda i: low(i) & (i["__l"] >= F.col("pre"))), F.lit(False))).select(*cols)
@@ -60,9 +59,11 @@ def above_any(candidates: DataFrame, below: DataFrame, or_self: bool = False) ->
     w = Window.partitionBy("doc", "frag").orderBy(F.desc("pre"), first).rowsBetween(Window.unboundedPreceding, 0)
     inside = tagged.withColumn("__next", F.min(F.when(~F.col("__c"), F.col("pre"))).over(w)).filter("__c").filter(F.col("__next") <= F.col("last")).select(*cols)
     spine = candidates.filter("frag = -1")
-    s = F.broadcast(spine.select(F.col("doc").alias("__d"), F.col("pre").alias("__p"), F.col("last").alias("__l")))
-    low = F.col("pre") >= F.col("__p") if or_self else F.col("pre") > F.col("__p")
-    hit = below.join(s, (F.col("doc") == F.col("__d")) & low & (F.col("pre") <= F.col("__l"))).select(F.col("__d").alias("doc"), F.col("__p").alias("pre")).distinct()
+    s = spine.groupBy("doc").agg(F.collect_list(F.struct(F.col("pre").alias("p"), F.col("last").alias("l"))).alias("__spine"))
+    low = (lambda i: i["p"] <= F.col("pre")) if or_self else (lambda i: i["p"] < F.col("pre"))
+    # one row a document with a spine: the planner broadcasts it, or not, by its size
+    over = below.select("doc", "pre").join(s, "doc").select("doc", F.explode(F.filter("__spine", lambda i: low(i) & (i["l"] >= F.col("pre")))).alias("i"))
+    hit = over.select("doc", F.col("i.p").alias("pre")).distinct()
     return inside.unionByName(spine.join(hit, KEY, "left_semi").select(*cols))
 
 
@@ -134,19 +135,17 @@ class Columnar:
 
     def hits(self, step: Step, pred: ValuePred) -> DataFrame:
         """Nodes of a value path's last step whose text satisfies the predicate."""
-        texts = self.tree.texts
         if step.axis == "attribute" or step.test == "text()":
             kind = "attr" if step.axis == "attribute" else "text"
-            ok = texts.filter(F.col("kind") == kind).filter(text_condition(pred.kind, F.col("value"), pred.word))
+            ok = self.tree.matching(pred.kind, pred.word).filter(F.col("kind") == kind)
             named = ok if step.test in ("text()", "*", "node()") else ok.filter(F.col("label") == step.test)
             return self.candidates(step).join(_keys(named), KEY, "left_semi")
         return self.candidates(step).join(_keys(self.valued(pred)), KEY, "left_semi")
 
     def valued(self, pred: ValuePred) -> DataFrame:
         """Elements (doc, pre) whose text satisfies the predicate."""
-        texts = self.tree.texts.filter("kind = 'text'")
         if self.value_mode == "text":
-            return texts.filter(text_condition(pred.kind, F.col("value"), pred.word)).select("doc", F.col("parent").alias("pre"))
+            return self.tree.matching(pred.kind, pred.word).filter("kind = 'text'").select("doc", F.col("parent").alias("pre"))
         whole = string_values(self.tree)
         return whole.filter(text_condition(pred.kind, F.col("string"), pred.word)).select(*KEY)
 
@@ -154,7 +153,7 @@ class Columnar:
         """Nodes of ``context`` from which the relative path leads somewhere (to a text that satisfies)."""
         steps = list(path.steps)
         if isinstance(f, ValuePred) and steps == [Step("self", "node()")]:
-            attrs = context.filter("kind in ('attr', 'text')").join(_keys(self.tree.texts.filter(text_condition(f.kind, F.col("value"), f.word))), KEY, "left_semi")
+            attrs = context.filter("kind in ('attr', 'text')").join(_keys(self.tree.matching(f.kind, f.word)), KEY, "left_semi")
             return context.filter("kind = 'elem'").join(_keys(self.valued(f)), KEY, "left_semi").unionByName(attrs)
         reached: DataFrame | None = None
         for i in range(len(steps) - 1, -1, -1):

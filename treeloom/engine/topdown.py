@@ -21,6 +21,7 @@ from treeloom.automaton.evaluate import Counters, Document, Runner
 from treeloom.automaton.jump import Jumper
 from treeloom.automaton.model import MARK, Automaton, atoms
 from treeloom.engine.columnar import KEY, Columnar, above_any
+from treeloom.engine.textindex import chain_of, climb
 from treeloom.sources.trees import Tree
 from treeloom.xpath.ast import Exists, Filter, Path, ValuePred
 from treeloom.xpath.parser import parse
@@ -31,10 +32,7 @@ def pred_hits(tree: Tree, p: ValuePred) -> DataFrame:
     col = Columnar(tree)
     step = p.path.steps[-1]
     if step.axis == "self":
-        attrs = tree.texts.filter("kind in ('attr', 'text')")
-        from treeloom.text.plain import text_condition
-
-        return col.valued(p).unionAll(attrs.filter(text_condition(p.kind, F.col("value"), p.word)).select(*KEY))
+        return col.valued(p).unionAll(tree.matching(p.kind, p.word).select(*KEY))
     return col.hits(step, p).select(*KEY)
 
 
@@ -279,29 +277,39 @@ def seed_of(path: Path) -> ValuePred | None:
 
 
 def can_run_bottom_up(path: Path) -> bool:
-    """A missing match must never make the path hold: one positive predicate, or no filter at all."""
+    """A missing match must never make the path hold: one positive predicate, on the last step, or no filter at all."""
     plain = all(s.axis in ("child", "descendant", "attribute", "self") for s in path.steps)
-    return plain and (seed_of(path) is not None or not any(s.filters for s in path.steps))
+    inner = any(s.filters for s in path.steps[:-1])
+    return plain and not inner and (seed_of(path) is not None or not path.steps[-1].filters)
+
+
+def near_seeds(tree: Tree, seeds: DataFrame) -> DataFrame:
+    """The seeds and their ancestors: of the nodes only fragments that hold a seed are kept before any is shuffled, and the spine."""
+    units = seeds.select("doc", "frag").distinct()
+    local = tree.nodes.join(units, ["doc", "frag"], "left_semi")
+    if tree.spined:
+        local = local.filter("frag <> -1").unionByName(tree.nodes.filter("frag = -1").join(units.select("doc").distinct(), "doc", "left_semi"))
+    return above_any(local, seeds, or_self=True)
 
 
 def run_bottom_up(tree: Tree, path: Path | str, counters: bool = False) -> DataFrame:
     """The same results from the matches upward: only seeds and their ancestors are read, each ancestor once.
 
-    Seeds are the nodes whose text satisfies the path's predicate, or, without one, the nodes of its last label.
+    Seeds are the nodes whose text satisfies the path's predicate, or, without one, the nodes of its last label.  If the text index
+    has the matches, it also has their ancestors, and no node is read at all (``climb``).
     """
     path = parse(path) if isinstance(path, str) else path
     if not can_run_bottom_up(path):
-        raise ValueError("a bottom-up run needs a single positive predicate or none")
+        raise ValueError("a bottom-up run needs a single positive predicate on its last step, or none")
     a = to_automaton(path)
     seed = seed_of(path)
+    if seed is not None and not counters and chain_of(path) is not None and tree.by_index(seed.kind, seed.word):
+        return climb(tree.index, path)
     if seed is not None:
         flags = [pred_hits(tree, p) for p in a.preds]
         seeds = tree.nodes.join(flags[0], KEY, "left_semi")
     else:
         flags = []
         seeds = Columnar(tree).candidates(path.steps[-1])
-    reached = above_any(tree.nodes, seeds, or_self=True)
-    emit, schema = (_emit_counters, "doc long, rows long, visited long, marked long, results long") if counters else (_emit_nodes, "doc long, pre long, last long")
-    return _run(reached, a, flags, emit, schema, {"memo": True, "early": True, "lazy": False})
-
-
+    emit, schema = (_emit_counters, _COUNTERS) if counters else (_emit_nodes, _NODES)
+    return _run(near_seeds(tree, seeds), a, flags, emit, schema, {"memo": True, "early": True, "lazy": False})

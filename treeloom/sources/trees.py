@@ -253,13 +253,15 @@ BUILDERS: dict[str, Callable[[SparkSession, str], DataFrame]] = {
 
 
 _spined: dict[tuple, bool] = {}
+#: (occurrences, text bytes, sampling step) of words that were asked for, by built tree.
+_counted: dict[tuple, tuple[int, int, int]] = {}
 
 
 class Tree:
     """A built tree: its ``nodes``, the ``texts`` among them, and per-label counts."""
 
-    def __init__(self, spark: SparkSession, nodes: DataFrame, name: str = "", source: str = ""):
-        self.spark, self.all, self.name, self.source = spark, nodes, name, source
+    def __init__(self, spark: SparkSession, nodes: DataFrame, name: str = "", source: str = "", use_index: bool = False):
+        self.spark, self.all, self.name, self.source, self.use_index = spark, nodes, name, source, use_index
         #: without values: what plans that test no text read
         self.nodes = nodes.drop("value")
         self._stats: dict[str, tuple[int, int]] | None = None
@@ -272,6 +274,47 @@ class Tree:
             _spined[key] = not self.nodes.filter("frag = -1").isEmpty()
         return _spined[key]
 
+    @property
+    def index(self) -> DataFrame | None:
+        """The text index, built at first use; None for a tree that is not kept under a name."""
+        if not self.name or not self.use_index:
+            return None
+        from treeloom.engine.textindex import build_tree_index
+
+        def build() -> DataFrame:
+            spine = [tuple(r) for r in self.nodes.filter("frag = -1").select("doc", "pre", "last", "label").collect()] if self.spined else []
+            return build_tree_index(self.all, spine)
+
+        return built_once(self.spark, self.source, f"{self.name}-index", build)
+
+    def occurrences(self, kind: str, word: str) -> tuple[int, int, int] | None:
+        """(occurrences, bytes of all texts, sampling step) by backward search; None if the index cannot tell."""
+        from treeloom.engine.textindex import count_hits, indexable
+
+        if self.index is None or not indexable(kind, word):
+            return None
+        key = (self.spark.sparkContext.applicationId, self.source, self.name, kind, word)
+        if key not in _counted:
+            _counted[key] = count_hits(self.index, kind, word)
+        return _counted[key]
+
+    def by_index(self, kind: str, word: str) -> bool:
+        """Whether the index answers a text predicate sooner than a scan of all texts."""
+        from treeloom.text.cutoff import text_path
+
+        got = self.occurrences(kind, word)
+        return got is not None and text_path(*got) == "index"
+
+    def matching(self, kind: str, word: str) -> DataFrame:
+        """doc, frag, pre, parent, label, kind, host of the texts and attribute values that satisfy a predicate: from the index,
+        or by a scan where the word is too frequent for it."""
+        from treeloom.engine.textindex import search_texts
+        from treeloom.text.plain import text_condition
+
+        if self.by_index(kind, word):
+            return search_texts(self.index, kind, word)
+        return self.texts.filter(text_condition(kind, F.col("value"), word)).select("doc", "frag", "pre", "parent", "label", "kind", "host")
+
     @property
     def texts(self) -> DataFrame:
         """Text and attribute values with the element that has them."""
@@ -285,9 +328,14 @@ class Tree:
         return self._stats
 
 
-def open_tree(spark: SparkSession, sf_dir: str, name: str) -> Tree:
+#: Trees whose texts are indexed unless the caller says otherwise.
+TEXT_INDEXED = ("citations",)
+
+
+def open_tree(spark: SparkSession, sf_dir: str, name: str, use_index: bool | None = None) -> Tree:
+    """A stand-in tree; ``use_index``: text predicates go through its text index where that is sooner."""
     nodes = built_once(spark, sf_dir, name, lambda: BUILDERS[name](spark, sf_dir), ["label", "doc", "pre"])
-    return Tree(spark, nodes, name, sf_dir)
+    return Tree(spark, nodes, name, sf_dir, name in TEXT_INDEXED if use_index is None else use_index)
 
 
 def value_of(kind: Column, value: Column) -> Column:
