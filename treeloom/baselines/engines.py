@@ -3,10 +3,11 @@
 from __future__ import annotations
 
 from collections.abc import Iterator
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from treeloom.automaton.compile import to_automaton
@@ -105,6 +106,20 @@ def word_contains(words: DataFrame, texts: DataFrame, pattern: str) -> DataFrame
     return texts.join(hit, "text_id", "left_semi").filter(F.col("value").contains(pattern)).select("text_id")
 
 
+def word_boolean(words: DataFrame, every: list[str], none: list[str] = [], some: list[str] = []) -> DataFrame:  # noqa: B006
+    """text_id of texts that hold all words of ``every``, one of ``some`` or more (if given) and none of ``none``: one pass over postings."""
+    asked = sorted({*every, *none, *some})
+    has = lambda w: F.max((F.col("word") == w).cast("int")) == 1
+    tests = [has(w) for w in every] + [~has(w) for w in none] + ([reduce(lambda a, b: a | b, [has(w) for w in some])] if some else [])
+    hit = words.filter(F.col("word").isin(asked)).groupBy("text_id").agg(reduce(lambda a, b: a & b, tests).alias("ok"))
+    return hit.filter("ok").select("text_id")
+
+
+def word_regex(words: DataFrame, expression: str) -> DataFrame:
+    """text_id of texts with a word that the expression matches: the vocabulary is scanned, not the texts."""
+    return words.filter(F.col("word").rlike(expression)).select("text_id").distinct()
+
+
 def ranked(words: DataFrame, n_texts: int, terms: list[str], k: int) -> DataFrame:
     """text_id, score of the k texts that are most about the terms (term count times rarity); not comparable with the rest."""
     hit = words.filter(F.col("word").isin(terms))
@@ -165,15 +180,64 @@ def _holds(p: ValuePred, doc: Document, values: list[str | None], parents: list[
 
 
 def pointer_table(nodes: DataFrame, layout: str = "pre") -> DataFrame:
-    """doc, pre, first_child, next_sibling and ``place``: the order of rows in memory (pre, post or in)."""
+    """doc, pre, first_child, next_sibling and ``place`` (from 1): the order of rows in memory, which is the pre-, in- or post-order of
+    the binary tree of first children and next siblings."""
     from treeloom.tree.nav import siblings
 
     rows = siblings(nodes)
-    size = F.col("last") - F.col("pre")
-    # nodes that end before: all earlier ones but the open ancestors, plus the own subtree
-    post = F.col("pre") - F.col("depth") + size + 1
-    place = {"pre": F.col("pre"), "post": post, "in": F.col("pre") + size}[layout]
-    return rows.select("doc", "pre", "depth", "first_child", "next_sibling", place.alias("place"))
+    out = ["doc", "pre", "depth", "first_child", "next_sibling"]
+    if layout == "pre":
+        return rows.select(*out, F.col("pre").alias("place"))
+    if layout == "in":
+        # the order in which nodes end: all earlier ones but the open ancestors, and the own subtree
+        return rows.select(*out, (F.col("last") - F.col("depth") + 1).alias("place"))
+    # after its siblings' subtrees and its own, but before the earlier siblings of itself and of its ancestors, which are still open:
+    # their number is a running sum over beginnings and ends
+    early = F.col("ord") - 1
+    marks = nodes.select("doc", F.col("pre").alias("at"), F.lit(0).alias("end"), early.alias("x"), "pre").unionAll(nodes.select("doc", F.col("last").alias("at"), F.lit(1).alias("end"), -early, F.lit(None).cast("long")))
+    w = Window.partitionBy("doc").orderBy("at", "end").rowsBetween(Window.unboundedPreceding, 0)
+    open_ = marks.withColumn("open", F.sum("x").over(w)).filter("end = 0").select("doc", "pre", "open")
+    up = nodes.select("doc", F.col("pre").alias("parent"), F.col("last").alias("up_last"))
+    place = F.coalesce("up_last", "last") - F.col("depth") - F.col("open") + 1
+    return rows.join(up, ["doc", "parent"], "left").join(open_, ["doc", "pre"]).select(*out, place.alias("place"))
+
+
+def pointer_walk(nodes: DataFrame, layout: str) -> DataFrame:
+    """doc, n: nodes reached over pointers between the rows of each document as the layout orders them in memory."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: pa.Table | None = None
+
+        def walk(t: pa.Table) -> tuple[int, int]:
+            pre, place = t.column("pre").to_numpy(), t.column("place").to_numpy()
+            at = np.zeros(len(pre) + 2, np.int64)
+            at[pre] = place - 1  # where each node lies; rows come in the order of their place
+            first, nxt = (np.where((v := t.column(c).to_numpy(zero_copy_only=False).astype(float)) > 0, at[np.nan_to_num(v).astype(np.int64)], -1).tolist() for c in ("first_child", "next_sibling"))
+            n, stack = 0, [int(at[1])]
+            while stack:
+                i = stack.pop()
+                while i >= 0:
+                    n += 1
+                    if nxt[i] >= 0:
+                        stack.append(nxt[i])
+                    i = first[i]
+            return t.column("doc")[0].as_py(), n
+
+        for batch in batches:
+            if batch.num_rows:
+                t = pa.Table.from_batches([batch])
+                t = t if held is None else pa.concat_tables([held, t])
+                docs = t.column("doc").to_numpy()
+                cuts = [0, *(np.nonzero(docs[1:] != docs[:-1])[0] + 1).tolist()]
+                found = [walk(t.slice(s, e - s)) for s, e in zip(cuts, cuts[1:])]
+                if found:
+                    yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in zip(*found)], ["doc", "n"])
+                held = t.slice(cuts[-1])
+        if held is not None:
+            yield pa.RecordBatch.from_arrays([pa.array([c], pa.int64()) for c in walk(held)], ["doc", "n"])
+
+    rows = pointer_table(nodes, layout).select("doc", "pre", "place", "first_child", "next_sibling")
+    return rows.repartition("doc").sortWithinPartitions("doc", "place").mapInArrow(run, "doc long, n long")
 
 
 def pointer_levels(nodes: DataFrame) -> DataFrame:

@@ -2,13 +2,15 @@
 
 from __future__ import annotations
 
+import numpy as np
 import pandas as pd
 from pyspark.sql import SparkSession
 from pyspark.sql import types as T
 from pyspark.sql.functions import pandas_udf, udtf
 
 from treeloom.automaton.compile import to_automaton
-from treeloom.automaton.evaluate import Counters, Runner
+from treeloom.automaton.evaluate import Counters, Document, Runner
+from treeloom.automaton.jump import Jumper
 from treeloom.baselines.engines import _holds, document_of
 from treeloom.sources.html import parse_html
 from treeloom.tree.encode import flatten
@@ -44,6 +46,32 @@ class ParseTree:
             yield pre, last, depth, parent, label, kind, value
 
 
+@udtf(returnType=T.StructType([T.StructField(n, T.LongType()) for n in ("doc", "pre", "last")]))
+class PathQuery:
+    """Results of a path in node tables: ``path_query(TABLE(nodes) PARTITION BY (doc) ORDER BY (pre), '//a//b')``.
+
+    Rows have doc, pre, last, parent, label, kind and value; a document is one partition and is run when its last row is in."""
+
+    def __init__(self):
+        self.rows: list = []
+        self.path: str | None = None
+
+    def eval(self, row, path: str):
+        self.path = path
+        self.rows.append((row["pre"], row["last"], row["parent"], row["label"], row["kind"], row["value"], row["doc"]))
+
+    def terminate(self):
+        if not self.rows:
+            return
+        automaton = to_automaton(parse(self.path))
+        pre, last, parent, labels, kinds, values, docs = zip(*self.rows)
+        doc = Document(*(np.array(x) for x in (pre, last, parent)), list(labels), list(kinds), [])
+        doc.flags = [_holds(p, doc, list(values), list(parent)) for p in automaton.preds]
+        runner = Jumper(automaton) if Jumper.fits(automaton) else Runner(automaton)
+        for i in runner.nodes_of(doc, runner.run(doc, Counters())):
+            yield docs[0], pre[i], last[i]
+
+
 @udtf(returnType=T.StructType([T.StructField("position", T.IntegerType())]))
 class Locate:
     """Positions (from 1) of a pattern in a text, overlapping ones too."""
@@ -65,5 +93,6 @@ def first_by_length(values: pd.Series) -> str:
 def register_functions(spark: SparkSession) -> None:
     spark.udtf.register("parse_tree", ParseTree)
     spark.udtf.register("locate_all", Locate)
+    spark.udtf.register("path_query", PathQuery)
     spark.udf.register("longest_string", first_by_length)
     spark.udf.register("count_links", path_count("//a"))

@@ -204,6 +204,34 @@ class TextIndex:
         rows = np.concatenate([np.arange(a, b) for a, b in found] or [np.zeros(0, np.int64)])
         return np.unique(self.locate(rows)[0])
 
+    def within_edits(self, p: str | bytes, k: int) -> np.ndarray:
+        """Texts with a substring at most ``k`` insertions, deletions or substitutions away, by backtracking on the backward search."""
+        p = self.symbols(p)
+        present = [c for c in np.unique(self.column).tolist() if c]
+        found: set[tuple[int, int]] = set()
+        seen: set[tuple[int, int, int, int]] = set()
+        stack = [(len(p), 0, self.n, k)]
+        while stack:
+            state = stack.pop()
+            if state in seen:
+                continue
+            seen.add(state)
+            i, low, high, left = state
+            if i == 0:
+                found.add((low, high))
+                continue
+            if left:
+                stack.append((i - 1, low, high, left - 1))  # a symbol of the pattern is missing in the text
+            for c in present if left else [p[i - 1]]:
+                r = self.rank.rank(c, np.array([low, high]))
+                a, b = int(self.smaller[c] + r[0]), int(self.smaller[c] + r[1])
+                if a < b:
+                    stack.append((i - 1, a, b, left - (c != p[i - 1])))
+                    if left:
+                        stack.append((i, a, b, left - 1))  # a symbol of the text more
+        rows = np.concatenate([np.arange(a, b) for a, b in found] or [np.zeros(0, np.int64)])
+        return np.unique(self.locate(np.unique(rows))[0])
+
     def matrix(self, weights: list[dict[int, int]], threshold: int) -> np.ndarray:
         """Rows of occurrences that score over ``threshold``: extended backwards, cut by the best that can still come."""
         best = np.cumsum([0, *(max(w.values()) for w in weights)])

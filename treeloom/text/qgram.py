@@ -25,6 +25,34 @@ def candidates(postings: DataFrame, pattern: str, q: int = Q) -> DataFrame:
     return postings.filter(F.col("gram").isin(grams)).groupBy("text_id").agg(F.count("*").alias("n")).filter(F.col("n") == len(grams)).select("text_id")
 
 
+def required_text(expression: str) -> str:
+    """The longest string that every match of a regular expression holds, as far as its parts in a row tell; empty if none."""
+    import re._parser as sre
+
+    best, run = "", ""
+
+    def walk(parts) -> None:
+        nonlocal best, run
+        for op, arg in parts:
+            name = str(op)
+            if name == "LITERAL":
+                run += chr(arg)
+                best = max(best, run, key=len)
+                continue
+            if name == "SUBPATTERN" and not arg[1] and not arg[2]:
+                walk(arg[3])
+                continue
+            run = ""
+            if name in ("MAX_REPEAT", "MIN_REPEAT", "POSSESSIVE_REPEAT") and arg[0] >= 1:
+                walk(arg[2])  # once at least, but what follows need not be next to it
+                run = ""
+
+    parsed = sre.parse(expression)
+    if not parsed.state.flags & 2:  # letters of either case stand for each other
+        walk(parsed)
+    return best
+
+
 def contains(postings: DataFrame, texts: DataFrame, pattern: str, q: int = Q) -> DataFrame:
     """text_id of the texts that hold the pattern: candidates, then the texts themselves."""
     return texts.join(candidates(postings, pattern, q), "text_id", "left_semi").filter(F.col("value").contains(pattern)).select("text_id")

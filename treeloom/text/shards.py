@@ -98,7 +98,7 @@ def search(shards: DataFrame, op: str, patterns: list[str], ids: tuple[int | Non
                 x = int(np.searchsorted(own, low)) if low is not None else None
                 y = int(np.searchsorted(own, high, "right")) - 1 if high is not None else None
                 for p in patterns:
-                    hits = ix.approximate(p, errors) if op == "approximate" else _ASK[op](ix, p)
+                    hits = ix.approximate(p, errors) if op == "approximate" else ix.within_edits(p, errors) if op == "edits" else _ASK[op](ix, p)
                     found = own[ix.in_range(hits, x, y)]
                     yield pa.RecordBatch.from_arrays([pa.array([p] * len(found), pa.string()), pa.array(found)], ["pattern", "text_id"])
 
@@ -143,6 +143,21 @@ def locate(shards: DataFrame, pattern: str) -> DataFrame:
     return shards.select("ids", "data").mapInArrow(run, "text_id long, offset long")
 
 
+def matrix(shards: DataFrame, weights: list[dict[str, int]], threshold: int) -> DataFrame:
+    """text_id of texts with a window that scores over ``threshold``, by backtracking in the index: branches whose best possible score
+    is too low are never entered."""
+    coded = [{ord(c): w for c, w in column.items()} for column in weights]
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for raw, data in zip(batch.column("ids").to_pylist(), batch.column("data").to_pylist()):
+                ix = TextIndex.unpack(data)
+                text, _ = ix.locate(ix.matrix(coded, threshold))
+                yield pa.RecordBatch.from_arrays([pa.array(np.frombuffer(raw, np.int64)[np.unique(text)])], ["text_id"])
+
+    return shards.select("ids", "data").mapInArrow(run, "text_id long")
+
+
 def extract(shards: DataFrame) -> DataFrame:
     """text_id, value: every text read back from its index."""
 

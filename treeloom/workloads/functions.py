@@ -27,6 +27,18 @@ def udtf_parse_tree(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.sql("SELECT p.page_id, count_if(t.label = 'p') AS n FROM treeloom_pages p, LATERAL parse_tree(p.html) t WHERE t.kind = 'elem' GROUP BY p.page_id")
 
 
+@register(
+    "udtf_path_query",
+    "SELECT conv_id AS doc, count(*)::BIGINT AS n FROM conversations b WHERE contains(text, 'the') AND EXISTS (SELECT 1 FROM conversations a WHERE a.conv_id = b.conv_id AND a.turn < b.turn AND a.role = 'user') GROUP BY 1",
+)
+def udtf_path_query(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """A path as a table function over a node table, in SQL."""
+    register_functions(spark)
+    open_tree(spark, sf_dir, "threads").all.createOrReplaceTempView("treeloom_threads")
+    path = '//turn[@role = "user"]//turn[contains(., "the")]'
+    return spark.sql(f"SELECT doc, count(*) AS n FROM path_query(TABLE(treeloom_threads) PARTITION BY (doc) ORDER BY (pre), '{path}') GROUP BY doc")
+
+
 @register("udtf_locate", "SELECT item_id, unnest(list_filter(range(1, length(text) + 1), lambda i: substr(text, i, 3) = 'the'))::INTEGER AS position FROM benchmark")
 def udtf_locate(spark: SparkSession, sf_dir: str) -> DataFrame:
     register_functions(spark)

@@ -12,14 +12,18 @@ from pyspark.sql.functions import pandas_udf
 from treeloom.baselines.engines import plain_scan
 from treeloom.engine import metrics
 from treeloom.engine.columnar import Columnar, count_nodes
-from treeloom.engine.topdown import run_bottom_up, run_top_down
-from treeloom.sources.trees import open_tree
+from treeloom.engine.planner import query
+from treeloom.engine.topdown import can_run_bottom_up, run_bottom_up, run_top_down
+from treeloom.sources.store import built_once
+from treeloom.sources.trees import build_citations, open_tree
 from treeloom.text import pssm, shards
+from treeloom.text.cutoff import calibrated
 from treeloom.text.plain import register_text_predicate
 from treeloom.tree.labelpairs import build_pairs
 from treeloom.workloads.paths import CITATIONS, MARKET, THREADS
 from treeloom.workloads.registry import register
-from treeloom.workloads.texts import _BASES, _matrix_sql, shards_of, texts_of
+from treeloom.workloads.texts import _BASES, LADDER, _matrix_sql, shards_of, texts_of
+from treeloom.xpath.parser import parse
 
 
 def _scores_over(value, name: str):
@@ -80,23 +84,82 @@ def cut_off(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Milliseconds of index and scan for patterns from rare to frequent, and where the scan begins to win."""
     texts, index = texts_of(spark, sf_dir), shards_of(spark, sf_dir, 64)
     ladder = []
-    for p in ("License", "para", "The", "ing", "a"):
+    for p in LADDER:
         n = shards.global_count(index, [p]).first()["occurrences"]
         ladder.append((p, n, metrics.timed(lambda: shards.search(index, "contains", [p]), 1), metrics.timed(lambda: plain_scan(texts, p), 1)))
-    found = metrics.cut_off_found(ladder)
-    return spark.createDataFrame([(*x, found) for x in ladder], "pattern string, occurrences long, index_ms double, scan_ms double, cut_off long")
+    found, fitted = metrics.cut_off_found(ladder), calibrated([x[1:] for x in ladder])
+    return spark.createDataFrame([(*x, found, fitted) for x in ladder], "pattern string, occurrences long, index_ms double, scan_ms double, cut_off long, calibrated double")
 
 
 @register("measure_phases")
 def measure_phases(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Text, automaton and total time of the hybrid queries, and each as a share of the total."""
     tree = open_tree(spark, sf_dir, "citations")
-    rows = [(q, part, ms) for q in ("x01", "x03", "x05") for part, ms in metrics.phases(tree, CITATIONS[q][0], 1).items()]
+    rows = [(q, part, ms) for q in CITATIONS if can_run_bottom_up(parse(CITATIONS[q][0])) for part, ms in metrics.phases(tree, CITATIONS[q][0], 1).items()]
     return metrics.relative(spark.createDataFrame(rows, "query string, engine string, ms double"), "total")
 
 
-@register("measure_modes")
+_W = [q for q in MARKET if q.startswith("w")]
+
+
+@register("measure_modes", " UNION ALL ".join(f"SELECT '{q}' AS query, '{mode}' AS mode, n FROM ({MARKET[q][1]})" for q in _W for mode in ("count", "materialise")))
 def measure_modes(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """What each tree query returns in each mode: the count, and the number of rows."""
     tree = open_tree(spark, sf_dir, "market")
-    rows = [(q, mode, ms) for q in ("w02", "w07") for mode, ms in metrics.modes(tree, MARKET[q][0], 1).items()]
+    frames = []
+    for q in _W:
+        frames.append(query(tree, MARKET[q][0], "count", hint="columnar").select(F.lit(q).alias("query"), F.lit("count").alias("mode"), "n"))
+        frames.append(count_nodes(query(tree, MARKET[q][0], "materialise", hint="columnar")).select(F.lit(q).alias("query"), F.lit("materialise").alias("mode"), "n"))
+    return reduce(DataFrame.unionAll, frames)
+
+
+@register("measure_mode_times")
+def measure_mode_times(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Milliseconds of every tree query in each mode; serialising comes on top of materialising."""
+    tree = open_tree(spark, sf_dir, "market")
+    rows = [(q, mode, ms) for q in _W for mode, ms in metrics.modes(tree, MARKET[q][0], 1).items()]
     return spark.createDataFrame(rows, "query string, mode string, ms double")
+
+
+@register("measure_sizes", " UNION ALL ".join(f"SELECT {k}::INTEGER AS fifths, count(*)::BIGINT AS n_texts, (sum(strlen(text)) + count(*))::BIGINT AS n_bytes, sum((length(text) - length(replace(text, 'the', ''))) // 3)::BIGINT AS occurrences FROM documents WHERE doc_id % 5 < {k}" for k in range(1, 6)))
+def measure_sizes(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Index of one to five fifths of the texts (the sizes are the feature): texts, bytes and occurrences grow alike."""
+    frames = []
+    for k in range(1, 6):
+        part = texts_of(spark, sf_dir).filter(F.col("text_id") % 5 < k)
+        index = built_once(spark, sf_dir, f"shards-{k}-fifths", lambda part=part: shards.build_shards(part, 64, "blocks", 1 << 20, 8))
+        n = index.agg(F.sum("n_texts").alias("n_texts"), F.sum("n_bytes").alias("n_bytes"))
+        frames.append(n.crossJoin(shards.global_count(index, ["the"]).select("occurrences")).select(F.lit(k).alias("fifths"), "n_texts", "n_bytes", "occurrences"))
+    return reduce(DataFrame.unionAll, frames)
+
+
+@register("measure_construction")
+def measure_construction(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """component, seconds, mb, mb of the documents, share: what it takes to build each part of the index and what it takes up."""
+    return metrics.construction(spark, {
+        "tree": lambda: build_citations(spark, sf_dir),
+        "text index, l = 64": lambda: shards.build_shards(texts_of(spark, sf_dir), 64, "blocks", 1 << 20, 8),
+        "text index, l = 4": lambda: shards.build_shards(texts_of(spark, sf_dir), 4, "blocks", 1 << 20, 8),
+        "label pairs": lambda: build_pairs(open_tree(spark, sf_dir, "citations").nodes),
+    }, texts_of(spark, sf_dir))
+
+
+@register("measure_memory")
+def measure_memory(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """query, strategy, peak_mb: the largest resident size of a Python worker during automaton runs of hybrid queries."""
+    tree = open_tree(spark, sf_dir, "citations")
+    runs = {"top-down": run_top_down, "bottom-up": run_bottom_up}
+    rows = [(q, name, metrics.peak_memory(run(tree, CITATIONS[q][0]))) for q in ("x01", "x03", "x05") for name, run in runs.items()]
+    return spark.createDataFrame(rows, "query string, strategy string, peak_mb double")
+
+
+@register("measure_cold_run")
+def measure_cold_run(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """query, cold_ms (the index is read by a session's new workers), warm_ms."""
+    tree = open_tree(spark, sf_dir, "citations")
+    tree.index
+    rows = []
+    for q in ("x01", "x04", "x06"):
+        cold = metrics.timed(lambda q=q: run_bottom_up(tree, CITATIONS[q][0]), 0)
+        rows.append((q, cold, metrics.timed(lambda q=q: run_bottom_up(tree, CITATIONS[q][0]), 2)))
+    return spark.createDataFrame(rows, "query string, cold_ms double, warm_ms double")

@@ -62,9 +62,9 @@ def _report_sql(test: str, patterns: list[str], column: str = "doc_id") -> str:
     return " UNION ALL ".join(f"SELECT {_quoted(p)} AS pattern, {column} AS text_id FROM documents WHERE {test.replace('?', _quoted(p))}" for p in patterns)
 
 
-@register("ladder_contains_report", _report_sql("contains(text, ?)", _RARE))
+@register("ladder_contains_report", _report_sql("contains(text, ?)", LADDER))
 def ladder_report(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return shards.search(shards_of(spark, sf_dir), "contains", _RARE)
+    return shards.search(shards_of(spark, sf_dir), "contains", LADDER)
 
 
 for _kind in ("wavelet", "huffman", "runs"):
@@ -77,7 +77,6 @@ for _kind in ("wavelet", "huffman", "runs"):
 _PREDICATES = {
     "starts_with": ("starts-with", "starts_with(text, ?)", ["The", "Le", "Und"]),
     "ends_with": ("ends-with", "suffix(text, ?)", [".", "License", "the."]),
-    "equals": ("=", "text = ?", ["The", "License"]),
     "less": ("<", "text < ?", ["B", "The"]),
     "at_most": ("<=", "text <= ?", ["B", "The"]),
     "greater": (">", "text > ?", ["The", "Und"]),
@@ -95,6 +94,27 @@ for _name, (_op, _test, _patterns) in _PREDICATES.items():
         return reduce(DataFrame.unionAll, [texts.filter(text_condition(op, F.col("value"), p)).select(F.lit(p).alias("pattern"), "text_id") for p in patterns])
 
 
+#: The first text in order: a pattern that some texts are equal to.
+_EQUAL = "SELECT md5(text) AS pattern, doc_id AS text_id FROM documents WHERE text = (SELECT min(text) FROM documents WHERE text <> '')"
+
+
+def _first_text(texts: DataFrame) -> str:
+    return texts.filter("value <> ''").agg(F.min("value")).first()[0] or " "
+
+
+@register("index_equals", _EQUAL)
+def index_equals(spark: SparkSession, sf_dir: str) -> DataFrame:
+    word = _first_text(texts_of(spark, sf_dir))
+    return shards.search(shards_of(spark, sf_dir), "=", [word]).select(F.md5("pattern").alias("pattern"), "text_id")
+
+
+@register("plain_equals", _EQUAL)
+def plain_equals(spark: SparkSession, sf_dir: str) -> DataFrame:
+    texts = texts_of(spark, sf_dir)
+    word = _first_text(texts)
+    return texts.filter(text_condition("=", F.col("value"), word)).select(F.md5("value").alias("pattern"), "text_id")
+
+
 @register("index_id_range", _report_sql("contains(text, ?) AND doc_id BETWEEN 100 AND 400", ["License", "para"]))
 def id_range(spark: SparkSession, sf_dir: str) -> DataFrame:
     return shards.search(shards_of(spark, sf_dir), "contains", ["License", "para"], (100, 400))
@@ -129,17 +149,35 @@ def _one_off(word: str) -> str:
     return "|".join(word[:i] + ("." if i in (0, len(word) - 1) else r"[\x01-\x7F]") + word[i + 1 :] for i in range(len(word)))
 
 
-@register("index_approximate", f"SELECT 'Lizense' AS pattern, item_id AS text_id FROM benchmark WHERE regexp_matches(text, '(?s){_one_off('Lizense')}')")
+@register("index_approximate", f"SELECT 'thxngand' AS pattern, item_id AS text_id FROM benchmark WHERE regexp_matches(text, '(?s){_one_off('thxngand')}') UNION ALL SELECT 'thxng', item_id FROM benchmark WHERE regexp_matches(text, '(?s){_one_off('thxng')}')")
 def approximate(spark: SparkSession, sf_dir: str) -> DataFrame:
-    texts = table(spark, sf_dir, "benchmark").select(F.col("item_id").alias("text_id"), F.col("text").alias("value"))
-    return shards.search(shards.build_shards(texts, 64, "blocks", 1 << 20, 2), "approximate", ["Lizense"], errors=1)
+    return shards.search(shards.build_shards(_small(spark, sf_dir), 64, "blocks", 1 << 20, 2), "approximate", ["thxng", "thxngand"], errors=1)
 
 
-@register("regex_contains", "SELECT doc_id AS text_id FROM documents WHERE contains(text, 'License') AND regexp_matches(text, '[A-Z][a-z]+ License')")
+def _one_edit(word: str) -> str:
+    """Expression for an ASCII word with one character changed, missing or more."""
+    missing = [word[:i] + word[i + 1 :] for i in range(len(word))]
+    more = [word[:i] + "." + word[i:] for i in range(1, len(word))]
+    return "|".join(dict.fromkeys([_one_off(word), *missing, *more, word]))
+
+
+@register("index_edit_distance", " UNION ALL ".join(f"SELECT '{w}' AS pattern, item_id AS text_id FROM benchmark WHERE regexp_matches(text, '(?s){_one_edit(w)}')" for w in ("thinng", "ereheon")))
+def edit_distance(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return shards.search(shards.build_shards(_small(spark, sf_dir), 64, "blocks", 1 << 20, 2), "edits", ["thinng", "ereheon"], errors=1)
+
+
+_EXPRESSIONS = ["[A-Z][a-z]+ License", "(th)+shst", "(x|y)[0-9]"]
+
+
+@register("regex_contains", " UNION ALL ".join(f"SELECT '{e}' AS expression, doc_id AS text_id FROM documents WHERE regexp_matches(text, '{e}')" for e in _EXPRESSIONS))
 def regex_contains(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Texts that hold what the expression requires, then the expression."""
-    texts = texts_of(spark, sf_dir)
-    return texts.join(qgram.candidates(_postings(spark, sf_dir), "License"), "text_id", "left_semi").filter(F.col("value").rlike("[A-Z][a-z]+ License")).select("text_id")
+    """Texts that hold what each expression requires, by their q-grams, then the expression; a scan where it requires too little."""
+    texts, frames = texts_of(spark, sf_dir), []
+    for e in _EXPRESSIONS:
+        needed = qgram.required_text(e)
+        some = texts.join(qgram.candidates(_postings(spark, sf_dir), needed), "text_id", "left_semi") if len(needed) >= qgram.Q else texts
+        frames.append(some.filter(F.col("value").rlike(e)).select(F.lit(e).alias("expression"), "text_id"))
+    return reduce(DataFrame.unionAll, frames)
 
 
 def _postings(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -152,7 +190,10 @@ def qgram_contains(spark: SparkSession, sf_dir: str) -> DataFrame:
     return reduce(DataFrame.unionAll, [qgram.contains(post, texts, p).select(F.lit(p).alias("pattern"), "text_id") for p in ("License", "thshst", "the of")])
 
 
-@register("text_path_choice")
+_OCC_OF = f"o AS ({_per_pattern(_OCC)}), b AS (SELECT sum(strlen(text))::BIGINT AS b FROM documents), c AS (SELECT pattern, sample::INTEGER AS sample, occurrences, greatest(1, CASE WHEN sample > 4 THEN b * 4 // (sample * 125) ELSE b // 150 END)::BIGINT AS cut_off FROM o, b, (SELECT unnest([64, 4]) AS sample))"
+
+
+@register("text_path_choice", f"WITH {_OCC_OF} SELECT *, CASE WHEN occurrences < cut_off THEN 'index' ELSE 'scan' END AS choice FROM c")
 def text_path_choice(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Index or scan for each pattern of the ladder, at both sampling steps."""
     n = texts_of(spark, sf_dir).agg(F.sum(F.octet_length("value"))).first()[0] or 0
@@ -166,10 +207,10 @@ def overlapping(spark: SparkSession, sf_dir: str) -> DataFrame:
     return table(spark, sf_dir, "benchmark").agg(F.coalesce(F.sum(occurrences(F.col("text"), "aa")), F.lit(0)).alias("occurrences")).select(F.lit("aa").alias("pattern"), "occurrences")
 
 
-@register("baseline_plain_scan", _per_pattern(f"{_OCC}, {_TXT}", ["License", "the of", "ing", "the"]))
+@register("baseline_plain_scan", _per_pattern(f"{_OCC}, {_TXT}"))
 def plain_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     texts = texts_of(spark, sf_dir)
-    return reduce(DataFrame.unionAll, [B.plain_scan(texts, p).select(F.lit(p).alias("pattern"), "occurrences", "texts") for p in ("License", "the of", "ing", "the")])
+    return reduce(DataFrame.unionAll, [B.plain_scan(texts, p).select(F.lit(p).alias("pattern"), "occurrences", "texts") for p in LADDER])
 
 
 def _words(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -182,6 +223,19 @@ def word_index(spark: SparkSession, sf_dir: str) -> DataFrame:
     return reduce(DataFrame.unionAll, [B.word_contains(words, texts, p).select(F.lit(p).alias("pattern"), "text_id") for p in ("License", "the of", "ing")])
 
 
+_HAS = lambda w: f"list_contains(string_split_regex(text, '[\\x20\\x09-\\x0D]+'), '{w}')"
+
+
+@register("baseline_word_boolean", f"SELECT doc_id AS text_id FROM documents WHERE {_HAS('the')} AND {_HAS('of')} AND NOT {_HAS('Nicht')} AND ({_HAS('License')} OR {_HAS('is')})")
+def word_boolean(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return B.word_boolean(_words(spark, sf_dir), ["the", "of"], ["Nicht"], ["License", "is"])
+
+
+@register("baseline_word_regex", r"SELECT doc_id AS text_id FROM documents WHERE len(list_filter(string_split_regex(text, '[\x20\x09-\x0D]+'), lambda w: regexp_matches(w, '^Lic[a-z]+e[.,]?$'))) > 0")
+def word_regex(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return B.word_regex(_words(spark, sf_dir), "^Lic[a-z]+e[.,]?$")
+
+
 @register(
     "baseline_ranked",
     r"""WITH w AS (SELECT doc_id, unnest(regexp_split_to_array(text, '[\x20\x09-\x0D]+')) AS word FROM documents),
@@ -343,10 +397,21 @@ def parentheses(spark: SparkSession, sf_dir: str) -> DataFrame:
     return back.join(turns, ["doc", "pre"], "left_semi").select("doc", "pre", "last", "depth")
 
 
-@register("tree_tag_sequence", "SELECT conv_id AS doc, (10 * count(*) + 10)::BIGINT AS n FROM conversations GROUP BY 1")
+@register(
+    "tree_tag_sequence",
+    "SELECT conv_id AS doc, '<& <thread <@ <id <% /% /id /@ ' || repeat('<turn <@ <role <% /% /role /@ <# /# ', count(*)::INT) || repeat('/turn ', count(*)::INT) || '/thread /&' AS tags FROM conversations GROUP BY 1",
+)
 def tag_sequence(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Length of the label sequence of each document: two symbols a node."""
-    return paren.tag_sequence(_threads(spark, sf_dir)).select("doc", F.size(F.split("tags", " ")).cast("long").alias("n"))
+    """The label sequence of each document: two symbols a node."""
+    return paren.tag_sequence(_threads(spark, sf_dir))
+
+
+@register("entropy_tag_sequence", "WITH n AS (SELECT unnest(['&', 'thread', '@', 'id', '%', 'turn', 'role', '#']) AS label, unnest([d, d, d + t, d, d + t, t, t, t]) AS n FROM (SELECT count(DISTINCT conv_id) AS d, count(*) AS t FROM conversations)) SELECT round(sum(-n * log2(n / (SELECT sum(n) FROM n))) / sum(n), 6) AS h FROM n")
+def entropy_tags(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Bits a label of the label sequence: what a compressed sequence is measured against."""
+    counts = _threads(spark, sf_dir).groupBy("label").agg(F.count("*").alias("n"))
+    whole = counts.agg(F.sum("n").alias("m"))
+    return counts.crossJoin(F.broadcast(whole)).agg(F.round(F.sum(-F.col("n") * F.log2(F.col("n") / F.col("m"))) / F.sum("n"), 6).alias("h"))
 
 
 # --- matrices ---------------------------------------------------------------------------------------------------------
@@ -367,6 +432,19 @@ x AS (SELECT id, i, sum(w) AS score FROM p JOIN m ON substr(s, i + k, 1) = c GRO
 SELECT {out} FROM (SELECT DISTINCT id FROM x WHERE score > {pssm.THRESHOLDS[name]})"""
 
 
+def _elements_sql(name: str) -> str:
+    """Sequences of genes, of transcripts (every other line) and of their sentences, with the first 1000 bases as promoters."""
+    bases = lambda x: _BASES.replace("lower(text)", f"lower({x})")
+    values = f"""SELECT row_number() OVER () AS id, kind, s FROM (
+  SELECT 'gene' AS kind, {bases('text')} AS s FROM documents WHERE lang = 'en'
+  UNION ALL SELECT 'promoter', substr({bases('text')}, 1, 1000) FROM documents WHERE lang = 'en'
+  UNION ALL SELECT 'line', {bases('line')} FROM l WHERE k % 2 = 0
+  UNION ALL SELECT 'exon', {bases('x')} FROM (SELECT unnest(string_split(line, '.')) AS x FROM l WHERE k % 2 = 0))"""
+    lines = "l AS (SELECT unnest(range(len(string_split(text, chr(10))))) AS k, unnest(string_split(text, chr(10))) AS line FROM documents WHERE lang = 'en'), u AS MATERIALIZED (" + values + ")"
+    hit = _matrix_sql("SELECT id, s FROM u", name, "id").replace("WITH m(", f"WITH {lines}, m(", 1)
+    return f"SELECT 'exon' AS query, count(*)::BIGINT AS n FROM ({hit.replace('SELECT id FROM (SELECT DISTINCT id FROM x', 'SELECT id FROM u WHERE kind = $$exon$$ AND id IN (SELECT id FROM x')}) UNION ALL SELECT 'any', count(*)::BIGINT FROM ({hit})"
+
+
 for _m in pssm.FREQUENCIES:
     _promoters = f"SELECT doc_id AS id, substr({_BASES}, 1, 1000) AS s FROM documents WHERE lang = 'en'"
 
@@ -377,14 +455,21 @@ for _m in pssm.FREQUENCIES:
         texts = tree.texts.filter("kind = 'text'").join(owner, ["doc", "parent"], "left_semi").select("doc", "value")
         return pssm.matches(texts, pssm.log_odds(pssm.FREQUENCIES[m]), pssm.THRESHOLDS[m]).select("doc")
 
-    @register(f"matrix_elements_{_m.lower()}")
-    def matrix_elements(spark: SparkSession, sf_dir: str, m: str = _m) -> DataFrame:
-        """Exons with a matching sequence, and elements of any label that hold a matching text."""
+    @register(f"matrix_index_promoter_{_m.lower()}", _matrix_sql(_promoters, _m, "id AS doc"))
+    def promoter_index(spark: SparkSession, sf_dir: str, m: str = _m) -> DataFrame:
+        """The same through an index of the promoters, by backtracking."""
         tree = open_tree(spark, sf_dir, "genes")
-        hit = pssm.matches(tree.texts.filter("kind = 'text'").select("doc", "parent", "value"), pssm.log_odds(pssm.FREQUENCIES[m]), pssm.THRESHOLDS[m])
-        holders = tree.nodes.filter("kind = 'elem'").join(hit.select("doc", F.col("parent").alias("pre")), ["doc", "pre"], "left_semi")
-        exons = tree.nodes.filter("label = 'exon'").join(holders.filter("label = 'sequence'").select("doc", F.col("parent").alias("pre")), ["doc", "pre"], "left_semi")
-        return count_nodes(exons).select(F.lit("exon").alias("query"), "n").unionAll(count_nodes(holders).select(F.lit("any").alias("query"), "n"))
+        owner = Columnar(tree).select("//promoter").select("doc", F.col("pre").alias("parent"))
+        texts = lambda: tree.texts.filter("kind = 'text'").join(owner, ["doc", "parent"], "left_semi").select(F.col("doc").alias("text_id"), "value")
+        index = built_once(spark, sf_dir, "promoter-shards", lambda: shards.build_shards(texts(), 16, "blocks", 1 << 20, 4))
+        return shards.matrix(index, pssm.log_odds(pssm.FREQUENCIES[m]), pssm.THRESHOLDS[m]).select(F.col("text_id").alias("doc"))
+
+    @register(f"matrix_elements_{_m.lower()}", _elements_sql(_m))
+    def matrix_elements(spark: SparkSession, sf_dir: str, m: str = _m) -> DataFrame:
+        """Exons with a matching sequence, and elements of any label that hold a matching text, as paths."""
+        col = Columnar(open_tree(spark, sf_dir, "genes"))
+        paths = {"exon": f'//exon[sequence[matrix(., "{m}")]]', "any": f'//*[matrix(., "{m}")]'}
+        return reduce(DataFrame.unionAll, [count_nodes(col.select(p)).select(F.lit(q).alias("query"), "n") for q, p in paths.items()])
 
 
 @register("runs_of_transform", "WITH r AS (SELECT item_id, i, substr(text || chr(1), i) || substr(text || chr(1), 1, i - 1) AS rot FROM (SELECT item_id, text, unnest(range(1, length(text) + 2)) AS i FROM benchmark)), l AS (SELECT item_id, right(rot, 1) AS c, lag(right(rot, 1)) OVER (PARTITION BY item_id ORDER BY rot) AS p FROM r) SELECT item_id AS text_id, count_if(p IS NULL OR p <> c)::BIGINT AS n_runs FROM l GROUP BY 1")
