@@ -590,3 +590,33 @@ def test_a_hot_bucket_of_texts_of_many_sizes(spark, monkeypatch):
     texts = [" ".join(words[: rng.randint(8, 400)]) for _ in range(60)]
     got = {r["doc_id"]: (r["n_shingles"], r["component_id"]) for r in near.near_duplicates(docs_of(spark, texts), 2).collect()}
     assert [got[i] for i in range(len(texts))] == components_by_definition(texts, 2, 80)
+
+
+# --- what awkward rows get
+
+
+def by_id(df, *columns):
+    out = defaultdict(list)
+    for r in df.collect():
+        out[r["doc_id"]].append(tuple(r[c] for c in columns))
+    return dict(out)
+
+
+def test_awkward_rows_have_defined_results(spark):
+    docs = edge_docs(spark)
+    words = {0: 7, 1: 7, 2: 0, 3: 0, 4: 0, None: 5, 5: 3000, 6: 6}
+    assert by_id(judge_quality(docs), "n_words", "base_failed", "kept") == {i: [(n, True, False)] * (1 + (i == 1)) for i, n in words.items()}
+    assert keep_good(docs).count() == 0
+    near_ = by_id(near.near_duplicates(docs), "n_shingles", "component_id", "kept")
+    assert near_ == {0: [(3, 0, True)], 1: [(3, 0, False)] * 2, 2: [(0, 2, True)], 3: [(0, 3, True)], 4: [(0, 4, True)], None: [(1, None, True)], 5: [(1, 5, True)], 6: [(2, 6, True)]}
+    assert sorted(str(r["doc_id"]) for r in near.drop_near_duplicates(docs).collect()) == ["0", "2", "3", "4", "5", "6", "None"]
+    size = {i: len((t or "").encode()) for i, t, *_ in EDGE}
+    gone = by_id(repeats.remove_repeats(docs), "n_bytes", "n_removed", "n_spans")
+    assert gone == {i: [(size[i], size[i] * (i == 5), int(i == 5))] * (1 + (i == 1)) for i in size}
+    lines = by_id(drop_recurring_lines(docs), "text", "n_lines", "n_dropped")
+    assert lines == {i: [(t, len(t.split("\n")) if t is not None else 0, 0)] * (1 + (i == 1)) for i, t, *_ in EDGE}
+    low = by_id(drop_recurring_lines(docs, min_docs=2), "n_dropped")
+    assert low[0] == [(0,)] and low[1] == [(3,), (3,)] and all(v == [(0,)] for i, v in low.items() if i not in (0, 1))
+    taken = Counter(r["doc_id"] for r in mix_index(docs, max_repetition=2.0).collect())
+    assert all(taken[i] >= 1 + (i == 1) for i in size)
+    assert by_id(encode_documents(docs, VOCABULARY), "n_tokens")[2] == by_id(encode_documents(docs, VOCABULARY), "n_tokens")[3] == [(0,)]
