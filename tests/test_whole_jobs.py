@@ -1,4 +1,4 @@
-"""Queries that take every row and every level, where their narrow forms stop early."""
+"""Queries that take every row, every whole text and every level."""
 
 from collections import Counter
 
@@ -8,14 +8,14 @@ from treeloom.sources.trees import open_tree
 
 def test_all_whole_texts_come_back_from_the_index(spark, small):
     docs = {r["doc_id"]: r["text"] for r in spark.read.parquet(f"{small}/documents.parquet").collect()}
-    got = {r["text_id"] for r in entry_module.queries()["index_extract_all"](spark, small).collect()}
+    got = {r["text_id"] for r in entry_module.queries()["index_extract"](spark, small).collect()}
     assert got == set(docs) and max(len(docs[i]) for i in got) >= 4000 and max(got) >= 40
 
 
 def test_members_past_the_first_200_go_through_markup_files(spark):
     folder = "/root/testdata/sf0.01"
     keys = [r["c_custkey"] for r in spark.read.parquet(f"{folder}/customer.parquet").select("c_custkey").collect()]
-    got = entry_module.queries()["source_markup_files_all"](spark, folder).first()["n"]
+    got = entry_module.queries()["source_markup_files"](spark, folder).first()["n"]
     assert got == sum(k % 4 == 0 for k in keys) > sum(k % 4 == 0 for k in keys if k <= 200)
 
 

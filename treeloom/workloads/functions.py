@@ -79,20 +79,8 @@ def partitioned(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.read.schema("doc_id long, lang string").parquet(path).filter("lang in ('de', 'es')").groupBy("lang").agg(F.count("*").alias("n"))
 
 
-@register("source_markup_files", "SELECT count(*)::BIGINT AS n FROM customer WHERE c_custkey % 4 = 0 AND c_custkey <= 200")
+@register("source_markup_files", "SELECT count(*)::BIGINT AS n FROM customer WHERE c_custkey % 4 = 0")
 def markup_files(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Serialised members written as text files, read again, and those with a label counted."""
-    tree = open_tree(spark, sf_dir, "market")
-    members = Columnar(tree).select("/market/members/member[not(persona)]")
-    attrs = tree.texts.filter("kind = 'attr' and cast(value as int) <= 200").select("doc", F.col("host").alias("pre"))
-    xml = subtrees(tree, members.join(attrs, ["doc", "pre"], "left_semi"))
-    path = f"{shared_root(spark)}/treeloom-markup-{uuid.uuid4().hex}"
-    xml.select("xml").write.text(path)
-    return spark.read.text(path).filter(F.xpath_string("value", F.lit("/member/label")) != "").agg(F.count("*").alias("n"))
-
-
-@register("source_markup_files_all", "SELECT count(*)::BIGINT AS n FROM customer WHERE c_custkey % 4 = 0")
-def markup_files_all(spark: SparkSession, sf_dir: str) -> DataFrame:
     """All members without persona written as text files, read again, and those with a label counted."""
     tree = open_tree(spark, sf_dir, "market")
     xml = subtrees(tree, Columnar(tree).select("/market/members/member[not(persona)]"))

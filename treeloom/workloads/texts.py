@@ -126,15 +126,8 @@ def locate_first(spark: SparkSession, sf_dir: str) -> DataFrame:
     return shards.locate(shards_of(spark, sf_dir, 4), "erüver").groupBy("text_id").agg(F.min("offset").alias("offset"))
 
 
-@register("index_extract", "SELECT doc_id AS text_id, md5(text) AS digest FROM documents WHERE doc_id < 40 AND length(text) < 4000")
+@register("index_extract", "SELECT doc_id AS text_id, md5(text) AS digest FROM documents")
 def extract_texts(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Short texts read back from their own index, compared by digest."""
-    short = texts_of(spark, sf_dir).filter("text_id < 40 and length(value) < 4000")
-    return shards.extract(shards.build_shards(short, 64, "blocks", 1 << 20, 4)).select("text_id", F.md5("value").alias("digest"))
-
-
-@register("index_extract_all", "SELECT doc_id AS text_id, md5(text) AS digest FROM documents")
-def extract_all(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Every whole text read back from the index of all documents, compared by digest."""
     return shards.extract(shards_of(spark, sf_dir)).select("text_id", F.md5("value").alias("digest"))
 
