@@ -120,8 +120,13 @@ def cascade_order(docs: DataFrame, rules: tuple[Rule, ...], sample_rows: int) ->
 
 
 def sampled(docs: DataFrame, rows: int) -> list[str | None]:
-    """Texts of ``rows`` rows out of all, those with the least hashes; tasks hand over that many each."""
-    return [r[0] for r in docs.select("text", F.xxhash64(F.lit(17), "doc_id", "text").alias("h")).orderBy("h").limit(rows).collect()]
+    """Texts of ``rows`` rows out of all, those with the least hashes; tasks hand over that many hashes each, and no text but the chosen."""
+    keyed = docs.select("text", F.xxhash64(F.lit(17), "doc_id", "text").alias("h"))
+    least = [r[0] for r in keyed.select("h").orderBy("h").limit(rows).collect()]
+    if not least:
+        return []
+    texts = dict(keyed.filter(F.col("h") <= least[-1]).groupBy("h").agg(F.max("text")).collect())  # a row for each of at most `rows` hashes
+    return [texts[h] for h in least]
 
 
 def cascade_report(docs: DataFrame, rules: tuple[Rule, ...] = RULES, sample_rows: int = 64) -> DataFrame:
