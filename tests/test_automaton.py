@@ -4,7 +4,7 @@ import pytest
 
 from tests.trees import Direct, random_path, random_tree
 from treeloom.automaton.compile import to_automaton
-from treeloom.automaton.evaluate import Counters, Runner
+from treeloom.automaton.evaluate import AllStates, Counters, Runner
 from treeloom.automaton.jump import Jumper
 from treeloom.automaton.model import FALSE, TRUE, conj, disj, down, neg
 from treeloom.baselines.engines import _holds, document_of
@@ -50,6 +50,44 @@ def test_jumping_runs_agree_with_definitions():
         done += 1
 
 
+def test_runs_of_all_states_agree_with_definitions():
+    rng = random.Random(13)
+    for _ in range(500):
+        tree, path = random_tree(rng, rng.randint(1, 40)), random_path(rng)
+        a = to_automaton(parse(path))
+        doc, values, parents = document_of(tree)
+        doc.flags = [_holds(p, doc, values, parents) for p in a.preds]
+        run = AllStates(a)
+        assert [doc.pre[i] for i in run.nodes_of(doc, run.run(doc, Counters()))] == Direct(flatten(tree)).select(parse(path)), path
+
+
+def pairs_of(tree: Node) -> set[tuple[str, str, str]]:
+    direct = Direct(flatten(tree))
+    elems = [r for r in direct.rows if r[6] == "elem"]
+    return {(axis, r[5], direct.by_pre[x][5]) for r in elems for axis in ("child", "descendant", "following-sibling") for x in direct.axis(r[0], axis) if direct.by_pre[x][6] == "elem"}
+
+
+def test_label_pairs_leave_answers_as_they_are():
+    rng = random.Random(14)
+    folded = 0
+    for _ in range(1500):
+        tree, path = random_tree(rng, rng.randint(1, 12)), random_path(rng)
+        plain, a = to_automaton(parse(path)), to_automaton(parse(path), pairs_of(tree))
+        folded += len(a.states) < len(plain.states)
+        want = Direct(flatten(tree)).select(parse(path))
+        for run in [Runner(a), AllStates(a)] + ([Jumper(a)] if Jumper.fits(a) else []):
+            doc, values, parents = document_of(tree)
+            doc.flags = [_holds(p, doc, values, parents) for p in a.preds]
+            assert [doc.pre[i] for i in run.nodes_of(doc, run.run(doc, Counters()))] == want, path
+    assert folded > 100
+
+
+def test_hopeless_filters_are_not_read():
+    pairs = {("child", "a", "b"), ("descendant", "a", "b")}
+    assert len(to_automaton(parse("//a[.//c or .//b]/b"), pairs).states) == 3 and len(to_automaton(parse("//a[.//c or .//b]/b")).states) == 4
+    assert to_automaton(parse('//a[c/b[contains(., "x")]]'), pairs).preds == []
+
+
 def test_jumps_visit_matches_only():
     entries = [Node("entry", [Node("note", [Node("term") for _ in range(5)])]) for _ in range(50)]
     tree = Node(ROOT, [Node("market", entries)])

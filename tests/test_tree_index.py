@@ -96,3 +96,17 @@ def test_bottom_up_shuffles_only_what_is_near_a_seed(spark, small):
 def test_cut_off_from_measured_times():
     assert calibrated([(0, 10.0, 60.0), (100, 20.0, 60.0), (200, 30.0, 60.0)]) == pytest.approx(500)
     assert calibrated([(5, 10.0, 60.0)]) is None and calibrated([(0, 10.0, 9.0), (9, 10.0, 9.0)]) is None
+
+
+@pytest.mark.parametrize("name", ["market", "pages", "threads"])
+def test_label_pairs_by_definition(spark, small, name):
+    """Child and descendant pairs, also below a spine, from the ancestors of every element."""
+    tree = open_tree(spark, small, name)
+    rows = sorted((r["doc"], r["pre"], r["last"], r["parent"], r["label"]) for r in tree.nodes.filter("kind = 'elem'").select("doc", "pre", "last", "parent", "label").collect())
+    want, above = set(), []
+    for doc, pre, last, parent, label in rows:
+        while above and (above[-1][0] != doc or above[-1][2] < pre):
+            above.pop()
+        want |= {("descendant", x[3], label) for x in above} | {("child", x[3], label) for x in above if x[1] == parent}
+        above.append((doc, pre, last, label))
+    assert {p for p in tree.pairs() if p[0] in ("child", "descendant")} == want

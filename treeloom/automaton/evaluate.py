@@ -200,22 +200,26 @@ class Runner:
                     frames.append([doc.next[i], right, 0, None, None])
                     continue
                 back = NOTHING
-            out: dict = {}
-            for q, match, loop in t.rules:
-                if match is not None:
-                    ok, rope = self.value(match, i, frame[3], back, doc)
-                    if ok:
-                        if rope is not None:
-                            counters.marked += 1
-                        out[q] = rope
-                        continue
-                ok, rope = self.value(loop, i, frame[3], back, doc)
-                if ok:
-                    out[q] = rope
-            back = out
+            back = self.holding(t, i, frame[3], back, doc, counters)
             frames.pop()
         return back
 
+    def holding(self, t: Transition, i: int, left: dict, right: dict, doc: Document, counters: Counters) -> dict:
+        """Of the states of a transition those that hold at node i, each with its marked nodes."""
+        out: dict = {}
+        for q, match, loop in t.rules:
+            if match is not None:
+                ok, rope = self.value(match, i, left, right, doc)
+                if ok:
+                    if rope is not None:
+                        counters.marked += 1
+                    out[q] = rope
+                    continue
+            ok, rope = self.value(loop, i, left, right, doc)
+            if ok:
+                out[q] = rope
+        return out
+
     def nodes_of(self, doc: Document, rope: tuple | None) -> list[int]:
         """Positions in the document, in order, each once."""
         found: list[int] = []
@@ -233,3 +237,20 @@ class Runner:
 
     def count(self, doc: Document, rope: tuple | None) -> int:
         return len(self.nodes_of(doc, rope))
+
+
+class AllStates(Runner):
+    """The plain bottom-up run: all states at all nodes, from the last to the first.  Nodes times states; what the others are held against."""
+
+    def run(self, doc: Document, counters: Counters) -> tuple | None:
+        if not doc.pre:
+            return None
+        empty: dict = {q: None for q in self.bottom}
+        everyone = frozenset(range(len(self.a.states)))
+        held: list[dict] = [empty] * len(doc.pre)
+        at = lambda i: held[i] if i >= 0 else empty
+        for i in range(len(doc.pre) - 1, 0, -1):
+            counters.visited += 1
+            t = self.transition(doc.kind[i], doc.label[i], doc.child[i], everyone)
+            held[i] = self.holding(t, i, at(doc.first[i]), at(doc.next[i]), doc, counters)
+        return next((rope for q, rope in at(doc.first[0]).items() if q in self.a.top), None)

@@ -17,7 +17,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from treeloom.automaton.compile import Unsupported, to_automaton
-from treeloom.automaton.evaluate import Counters, Document, Runner
+from treeloom.automaton.evaluate import AllStates, Counters, Document, Runner
 from treeloom.automaton.jump import Jumper
 from treeloom.automaton.model import MARK, Automaton, atoms
 from treeloom.engine.columnar import KEY, Columnar, above_any
@@ -46,6 +46,8 @@ def restricted(tree: Tree, a: Automaton) -> DataFrame:
     return tree.nodes.filter(reduce(lambda x, y: x | y, tests, F.col("kind") == "doc"))
 
 
+#: Option of the plain bottom-up run.
+ALL_STATES = {"all_states": True}
 #: Rows of neighbouring fragments that a task runs as one forest, about.
 FOREST_ROWS = 200_000
 
@@ -61,7 +63,10 @@ def _run(nodes: DataFrame, a: Automaton, flags: list[DataFrame], emit: Callable,
     names = [f"p{k}" for k in range(len(flags))]
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        runner = Jumper(a) if not options and Jumper.fits(a) else Runner(a, **options)
+        if options == ALL_STATES:
+            runner = AllStates(a)
+        else:
+            runner = Jumper(a) if not options and Jumper.fits(a) else Runner(a, **options)
         held: pa.Table | None = None
 
         def one(t: pa.Table) -> pa.RecordBatch:
@@ -128,28 +133,36 @@ _NODES = "doc long, pre long, last long"
 _COUNTERS = "doc long, rows long, visited long, marked long, results long"
 
 
-def _plan(tree: Tree, path: Path | str, jump: bool) -> tuple[DataFrame, Automaton, list[DataFrame]]:
-    a = to_automaton(parse(path) if isinstance(path, str) else path)
+def _plan(tree: Tree, path: Path | str, jump: bool, pairs: set[tuple[str, str, str]] | None = None) -> tuple[DataFrame, Automaton, list[DataFrame]]:
+    a = to_automaton(parse(path) if isinstance(path, str) else path, pairs)
     nodes = restricted(tree, a) if jump and a.can_jump else tree.nodes
     return nodes, a, [pred_hits(tree, p) for p in a.preds]
 
 
+def run_all_states(tree: Tree, path: Path | str) -> DataFrame:
+    """The same results from the plain bottom-up run: every state at every node.  For documents without a spine."""
+    if tree.spined:
+        raise Unsupported("a document with a spine is larger than a task")
+    nodes, a, flags = _plan(tree, path, False)
+    return _run(nodes, a, flags, _emit_nodes, _NODES, ALL_STATES)
+
+
 def _options(jump: bool, memo: bool, early: bool, lazy: bool) -> dict:
     """None of them for a run from match to match, which has no transitions to memoise."""
     return {} if jump and memo and early and lazy else {"memo": memo, "early": early, "lazy": lazy}
 
 
-def run_top_down(tree: Tree, path: Path | str, jump: bool = True, memo: bool = True, early: bool = True, lazy: bool = True) -> DataFrame:
-    """doc, pre, last of the results of a top-down run."""
-    nodes, a, flags = _plan(tree, path, jump)
+def run_top_down(tree: Tree, path: Path | str, jump: bool = True, memo: bool = True, early: bool = True, lazy: bool = True, pairs: set[tuple[str, str, str]] | None = None) -> DataFrame:
+    """doc, pre, last of the results of a top-down run; ``pairs`` of labels make hopeless filters constants."""
+    nodes, a, flags = _plan(tree, path, jump, pairs)
     if tree.spined and crosses_no_fragment(a):
         return _fragments(tree, nodes, a, flags, _emit_nodes, _NODES, _options(jump, memo, early, lazy))
     return _run(nodes, a, flags, _emit_nodes, _NODES, _options(jump, memo, early, lazy))
 
 
-def visits(tree: Tree, path: Path | str, jump: bool = True, memo: bool = True, early: bool = True, lazy: bool = True) -> DataFrame:
+def visits(tree: Tree, path: Path | str, jump: bool = True, memo: bool = True, early: bool = True, lazy: bool = True, pairs: set[tuple[str, str, str]] | None = None) -> DataFrame:
     """doc, rows read, nodes visited, marked and returned by the same run, one row a document or piece of it."""
-    nodes, a, flags = _plan(tree, path, jump)
+    nodes, a, flags = _plan(tree, path, jump, pairs)
     if tree.spined and crosses_no_fragment(a):
         return _fragments(tree, nodes, a, flags, _emit_counters, _COUNTERS, _options(jump, memo, early, lazy))
     return _run(nodes, a, flags, _emit_counters, _COUNTERS, _options(jump, memo, early, lazy))

@@ -287,6 +287,13 @@ class Tree:
 
         return built_once(self.spark, self.source, f"{self.name}-index", build)
 
+    def pairs(self) -> set[tuple[str, str, str]]:
+        """The (axis, a, b) of element labels that occur, kept beside a tree that is kept under a name; labels squared bounds them."""
+        from treeloom.tree.labelpairs import build_pairs
+
+        kept = built_once(self.spark, self.source, f"{self.name}-pairs", lambda: build_pairs(self.nodes)) if self.name else build_pairs(self.nodes)
+        return {tuple(r) for r in kept.select("axis", "a", "b").collect()}
+
     def occurrences(self, kind: str, word: str) -> tuple[int, int, int] | None:
         """(occurrences, bytes of all texts, sampling step) by backward search; None if the index cannot tell."""
         from treeloom.engine.textindex import count_hits, indexable
