@@ -26,6 +26,14 @@ def tag_sequence(nodes: DataFrame) -> DataFrame:
     return rows.select("doc", F.array_join(F.transform("e", lambda x: F.concat(F.when(x["open"], F.lit("<")).otherwise(F.lit("/")), x["label"])), " ").alias("tags"))
 
 
+def tag_entropy(nodes: DataFrame) -> DataFrame:
+    """symbols, h: opening and closing labels of all documents, and their bits a symbol without context."""
+    counts = events(nodes).groupBy("open", "label").agg(F.count("*").alias("n"))
+    total = counts.agg(F.sum("n").alias("m"))
+    # the total is one row
+    return counts.crossJoin(F.broadcast(total)).agg(F.sum("n").alias("symbols"), F.round(F.sum(-F.col("n") * F.log2(F.col("n") / F.col("m"))) / F.sum("n"), 6).alias("h"))
+
+
 def from_sequence(parens: DataFrame) -> DataFrame:
     """doc, pre, last, depth of every node, from doc and paren."""
     chars = parens.select("doc", F.posexplode(F.filter(F.split("paren", ""), lambda c: c != "")).alias("i", "c")).withColumn("step", F.when(F.col("c") == "(", 1).otherwise(-1))

@@ -19,6 +19,7 @@ from treeloom.sources.trees import build_citations, open_tree
 from treeloom.text import pssm, shards
 from treeloom.text.cutoff import calibrated
 from treeloom.text.plain import register_text_predicate
+from treeloom.tree import paren
 from treeloom.tree.labelpairs import build_pairs
 from treeloom.workloads.paths import CITATIONS, MARKET, THREADS
 from treeloom.workloads.registry import register
@@ -79,6 +80,16 @@ def tree_bits(spark: SparkSession, sf_dir: str) -> DataFrame:
     return metrics.tree_bits(open_tree(spark, sf_dir, "threads").nodes)
 
 
+@register(
+    "measure_tag_entropy",
+    """WITH c AS (SELECT count(DISTINCT conv_id) AS d, count(*) AS t FROM conversations), s AS (SELECT unnest([d, d, d + t, d, t, d + t, t, t]) AS n FROM c),
+m AS (SELECT 2 * sum(n) AS m FROM s) SELECT any_value(m)::BIGINT AS symbols, round(2 * sum(-n * log2(n / m)) / any_value(m), 6) AS h FROM s, m""",
+)
+def tag_entropy(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Entropy of the label sequence of the conversations, which bounds its size."""
+    return paren.tag_entropy(open_tree(spark, sf_dir, "threads").nodes)
+
+
 @register("measure_cut_off")
 def cut_off(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Milliseconds of index and scan for patterns from rare to frequent, and where the scan begins to win."""
