@@ -7,8 +7,11 @@ import pyarrow as pa
 import pyarrow.parquet as pq
 import pytest
 
+from tests.trees import random_tree
+from treeloom.baselines import engines
+from treeloom.baselines.engines import recurse_count
 from treeloom.sources import store
-from treeloom.sources.trees import _gene
+from treeloom.sources.trees import _gene, open_tree
 from treeloom.text.fm import TextIndex, merge
 from treeloom.text.shards import build_shards, locate
 from treeloom.tree import encode
@@ -65,3 +68,31 @@ def test_more_texts_go_to_more_tasks(spark):
     texts = spark.range(400).selectExpr("id as text_id", "repeat('abcdefgh', 100) as value")
     index = build_shards(texts, 64, "blocks", 1 << 10, 2)
     assert index.rdd.getNumPartitions() > 2 and index.agg({"n_texts": "sum"}).first()[0] == 400
+
+
+def test_a_document_with_a_spine_is_walked_in_more_than_one_task(spark, small):
+    nodes = open_tree(spark, small, "market").nodes
+    spark.conf.set("spark.sql.adaptive.enabled", "false")
+    try:
+        got = recurse_count(nodes)
+        walk = got._jdf.queryExecution().optimizedPlan().toString()
+        assert "RepartitionByExpression [doc" in walk and "frag" in walk.split("RepartitionByExpression [doc")[1].split("]")[0]
+        assert got.first()["n"] == nodes.filter("kind = 'elem'").count()
+    finally:
+        spark.conf.unset("spark.sql.adaptive.enabled")
+
+
+def test_walks_in_pieces(spark, monkeypatch):
+    monkeypatch.setattr(engines, "WALK_ROWS", 3)
+    rng = random.Random(9)
+    rows = []
+    for doc in range(12):
+        for r in encode.flatten(random_tree(rng, rng.randint(1, 60))):
+            rows.append((doc, 0, r[0], r[1], r[6]))
+    # one document whose nodes below the root's children lie in fragments of their own
+    rows += [(99, -1, 1, 7, "doc"), (99, -1, 2, 7, "elem"), (99, 5, 3, 4, "elem"), (99, 5, 4, 4, "text"), (99, 6, 5, 7, "elem"), (99, 6, 6, 6, "elem"), (99, 6, 7, 7, "elem")]
+    nodes = spark.createDataFrame(rows, "doc long, frag long, pre long, last long, kind string")
+    for tasks in ("1", "8"):
+        spark.conf.set("spark.sql.shuffle.partitions", tasks)
+        assert recurse_count(nodes).first()["n"] == sum(r[4] == "elem" for r in rows)
+    spark.conf.set("spark.sql.shuffle.partitions", "8")
