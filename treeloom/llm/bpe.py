@@ -6,7 +6,8 @@ rank.  The scan is quadratic in the parts of a word, so it serves words of up to
 ones take the same merges in the same order from a heap.
 
 Null texts count as empty: no token, empty decoding.  Repeated rows are encoded alike.  Texts may be of any
-length; memory is bounded by one Arrow batch and a word cache of ``CACHE_WORDS`` entries.
+length; memory is bounded by one Arrow batch and a word cache of ``CACHE_WORDS`` entries, half of them new ones and
+half those of the time before, so that frequent words stay.
 """
 
 from __future__ import annotations
@@ -21,8 +22,10 @@ import pyarrow as pa
 import regex
 from pyspark.sql import DataFrame
 
+from treeloom.llm.store import lean
+
 SHORT_WORD = 64
-CACHE_WORDS = 200_000
+CACHE_WORDS = 100_000
 CACHE_WORD_CHARS = 64
 NO_RANK = 1 << 60
 
@@ -60,6 +63,7 @@ class WordBpe:
         self.inner = [self.vocab[s] for s in symbols]
         self.last = [self.vocab[s + suffix] for s in symbols]
         self.cache: dict[str, tuple[int, ...]] = {}
+        self.older: dict[str, tuple[int, ...]] = {}
         self._special = regex.compile("|".join(map(regex.escape, sorted(self.specials, key=len, reverse=True)))) if self.specials else None
         self._spaces = regex.compile(f"[{SPACES}]+")
         self._words = regex.compile(rf"'s|'t|'re|'ve|'m|'ll|'d|\p{{L}}+|\p{{N}}|[^{SPACES}\p{{L}}\p{{N}}]+")
@@ -116,10 +120,13 @@ class WordBpe:
         for word in self._words.findall(self.normalise(text)):
             got = cache.get(word)
             if got is None:
-                got = self.merge(word)
+                got = self.older.get(word)
+                if got is None:
+                    got = self.merge(word)
                 if len(word) <= CACHE_WORD_CHARS:
-                    if len(cache) >= CACHE_WORDS:
-                        cache.clear()
+                    if len(cache) >= CACHE_WORDS // 2:
+                        self.older, self.cache = cache, {}
+                        cache = self.cache
                     cache[word] = got
             ids += got
 
@@ -168,4 +175,4 @@ def encode_documents(docs: DataFrame, spec_path: str, with_ids: bool = False) ->
             yield pa.RecordBatch.from_pydict(out)
 
     schema = f"doc_id {docs.schema['doc_id'].dataType.simpleString()}, n_tokens long, ids_sha256 string, decoded_sha256 string"
-    return docs.select("doc_id", "text").mapInArrow(run, schema + (", ids array<int>" if with_ids else ""))
+    return docs.select("doc_id", "text").mapInArrow(lean(run), schema + (", ids array<int>" if with_ids else ""))

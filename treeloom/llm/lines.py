@@ -26,7 +26,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from treeloom.llm.store import discard, fresh, keyed_join, row_identity, saved
+from treeloom.llm.store import discard, fresh, keyed_join, lean, row_identity, saved
 
 LEAD = 3
 SEGMENTS = 6
@@ -79,7 +79,7 @@ def template_lines(docs: DataFrame) -> DataFrame:
             )
 
     kind = docs.schema["doc_id"].dataType.simpleString()
-    return docs.select("r1", "r2", "doc_id", "text").mapInArrow(run, f"r1 long, r2 long, doc_id {kind}, line int, tokens int, leaf long, segments array<long>")
+    return docs.select("r1", "r2", "doc_id", "text").mapInArrow(lean(run), f"r1 long, r2 long, doc_id {kind}, line int, tokens int, leaf long, segments array<long>")
 
 
 def _without(number: int, out: tuple[int, ...]) -> Column:
@@ -140,4 +140,4 @@ def drop_recurring_lines(docs: DataFrame, min_docs: int = MIN_DOCS) -> DataFrame
             yield pa.RecordBatch.from_arrays([*cols, pa.array(n, pa.int64()), pa.array(lost, pa.int64())], [*own, "n_lines", "n_dropped"])
 
     schema = ", ".join(f"`{c}` {docs.schema[c].dataType.simpleString()}" for c in own) + ", n_lines long, n_dropped long"
-    return keyed.join(gone, [k1, k2], "left").select(*[F.col(f"`{c}`") for c in own], drop_col).mapInArrow(run, schema)
+    return keyed.join(gone, [k1, k2], "left").select(*[F.col(f"`{c}`") for c in own], drop_col).mapInArrow(lean(run), schema)

@@ -31,7 +31,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from treeloom.llm.store import discard, fresh, keyed_join, row_identity, saved
+from treeloom.llm.store import discard, fresh, keyed_join, lean, row_identity, saved, shuffles_removed
 
 BANDS, ROWS = 32, 4
 BUCKET_BITS = 9
@@ -161,7 +161,7 @@ def signatures(docs: DataFrame, k: int) -> DataFrame:
             yield pa.RecordBatch.from_arrays([*(batch.column(c) for c in ("doc_id", "r1", "r2")), *made], ["doc_id", "r1", "r2", "n_shingles", "digest", "full"])
 
     kind = docs.schema["doc_id"].dataType.simpleString()
-    return docs.select("doc_id", "r1", "r2", "text").mapInArrow(run, f"doc_id {kind}, r1 long, r2 long, n_shingles long, digest binary, full binary")
+    return docs.select("doc_id", "r1", "r2", "text").mapInArrow(lean(run), f"doc_id {kind}, r1 long, r2 long, n_shingles long, digest binary, full binary")
 
 
 def sketches(texts: DataFrame, k: int) -> DataFrame:
@@ -175,7 +175,7 @@ def sketches(texts: DataFrame, k: int) -> DataFrame:
             made = [pa.array([len(s) for s in sets], pa.int64()), pa.array([r.tobytes() for r in regs], pa.binary()), pa.array([borrowed(r, s).tobytes() if len(s) else None for r, s in zip(regs, sets)], pa.binary())]
             yield pa.RecordBatch.from_arrays([batch.column("node"), batch.column("text"), *made], ["node", "text", "n_shingles", "regs", "full"])
 
-    return texts.select("node", "text").mapInArrow(run, "node long, text string, n_shingles long, regs binary, full binary")
+    return texts.select("node", "text").mapInArrow(lean(run), "node long, text string, n_shingles long, regs binary, full binary")
 
 
 def possible(r1: np.ndarray, r2: np.ndarray, n1: np.ndarray, n2: np.ndarray, threshold: float) -> np.ndarray:
@@ -205,7 +205,7 @@ def likely_pairs(pairs: DataFrame, known: DataFrame, threshold: float) -> DataFr
                 fits = possible(_rows(batch.column("ru")), _rows(batch.column("rw")), batch.column("nu").to_numpy(), batch.column("nw").to_numpy(), threshold)
                 yield batch.select(["u", "w"]).filter(pa.array(fits))
 
-    return pairs.join(b, "w").join(a, "u").select("u", "w", "nu", "nw", "ru", "rw").mapInArrow(run, "u long, w long")
+    return pairs.join(b, "w").join(a, "u").select("u", "w", "nu", "nw", "ru", "rw").mapInArrow(lean(run), "u long, w long")
 
 
 def dealt_blocks(apart: DataFrame, threshold: float) -> DataFrame:
@@ -271,7 +271,7 @@ def pairs_across(apart: DataFrame, known: DataFrame, threshold: float) -> DataFr
             yield from compare(held_)
 
     dealt = sketched.repartition("key", "grp", "i", "j").sortWithinPartitions("key", "grp", "i", "j")
-    return dealt.select("key", "band", "grp", "high", "i", "j", "b", "id", "label", "n_shingles", "regs", "full").mapInArrow(run, "u long, w long").distinct()
+    return dealt.select("key", "band", "grp", "high", "i", "j", "b", "id", "label", "n_shingles", "regs", "full").mapInArrow(lean(run), "u long, w long").distinct()
 
 
 def confirmed(pairs: DataFrame, texts: DataFrame, k: int, percent: int) -> DataFrame:
@@ -292,7 +292,7 @@ def confirmed(pairs: DataFrame, texts: DataFrame, k: int, percent: int) -> DataF
                 keep.append(100 * shared >= percent * (len(last) + len(other) - shared))
             yield batch.select(["u", "w"]).filter(pa.array(keep, pa.bool_()))
 
-    return pairs.join(b, "w").join(a, "u").select("u", "w", "tu", "tw").mapInArrow(run, "u long, w long")
+    return pairs.join(b, "w").join(a, "u").select("u", "w", "tu", "tw").mapInArrow(lean(run), "u long, w long")
 
 
 def components(links: DataFrame) -> DataFrame:
@@ -314,7 +314,9 @@ def components(links: DataFrame) -> DataFrame:
         spent = edges
         forked = edges.groupBy("a").agg(F.min("b").alias("lo"), F.max("b").alias("hi")).filter("lo < hi").select("a")
         onward = edges.select(F.col("b").alias("a")).join(edges.select("a"), "a", "left_semi")
-        if forked.unionAll(onward).isEmpty():
+        with shuffles_removed(edges.sparkSession):
+            done = forked.unionAll(onward).isEmpty()
+        if done:
             break
     return edges.select(F.col("a").alias("node"), F.col("b").alias("label")).unionAll(edges.select(F.col("b").alias("node"), F.col("b").alias("label")).distinct())
 
@@ -402,7 +404,7 @@ def drop_near_duplicates(docs: DataFrame, k: int = 5, percent: int = 80) -> Data
     first = saved(rows.groupBy("component").agg(keeper, F.count("*").alias("n")).select("k.r1", "k.r2", "component", "n"), "keepers")
     # equal rows: only these need their columns to be gathered, one row a key with sums before the shuffle
     again = saved(rows.join(first.filter("n > 1"), ["r1", "r2"], "left_semi").groupBy("r1", "r2").agg(F.count("*").alias("n")).filter("n > 1"), "again", few_files=True)
-    gone = rows.select("r1", "r2").join(first, ["r1", "r2"], "left_anti").distinct()
+    gone = rows.select("r1", "r2").join(first.hint("merge"), ["r1", "r2"], "left_anti").distinct().hint("merge")
     to_own = lambda df: df.select(F.col("r1").alias(n1), F.col("r2").alias(n2))
     kept = keyed.join(to_own(gone), [n1, n2], "left_anti")
     if again.isEmpty():
