@@ -81,3 +81,17 @@ def test_range_report_and_matrix_search():
 def test_matrix_score_of_the_example():
     w = [{"A": 0, "G": 4, "C": 0, "T": 0}, {"A": 6, "G": 0, "C": 6, "T": 0}, {"A": 0, "G": 10, "C": 0, "T": 0}, {"A": 0, "G": 0, "C": 0, "T": 1}]
     assert score(w, "ACGA") == 16
+
+
+def test_a_search_counts_the_symbols_of_its_pattern_only():
+    rng = random.Random(61)
+    texts = [bytes(rng.choice(b"abcdefgh") for _ in range(rng.randint(0, 300))) for _ in range(40)]
+    ix = TextIndex.unpack(TextIndex.build(texts, 4).pack())
+    low, high = ix.search(b"ab")
+    assert high - low == sum(t.count(b"ab") for t in texts)
+    assert set(ix.rank._own) == {ord("a"), ord("b")} and ix.rank._all is None
+    places = np.arange(ix.n + 1)
+    for c in (*b"abh", 0, ord("z")):
+        assert ix.rank.rank(c, places).tolist() == np.concatenate([[0], np.cumsum(ix.column == c)]).tolist()
+        assert ix.rank.ranks(np.full(ix.n, c), places[:-1]).tolist() == ix.rank.rank(c, places[:-1]).tolist()
+    assert ix.rank.bits() == 8 * (ix.rank.seq.nbytes + ix.rank.before.nbytes)
